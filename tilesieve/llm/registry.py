@@ -18,6 +18,13 @@ def word_tokenizer() -> str:
     return str(public_tokenizers.path("word_bpe_49k.json"))
 
 
+def op1_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from tilesieve.llm.quality import score_documents, train
+
+    docs = table(spark, sf_dir, "documents")
+    return score_documents(docs, train(docs, table(spark, sf_dir, "labels")))
+
+
 def op4_secrets(spark: SparkSession, sf_dir: str) -> DataFrame:
     from tilesieve.llm.secrets import find_secrets
 
@@ -44,6 +51,7 @@ def op9_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
+        "op1_quality": op1_quality,
         "op4_secrets": op4_secrets,
         "op5_curriculum": op5_curriculum,
         "op7_packed_ids": op7_packed_ids,
