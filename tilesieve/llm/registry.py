@@ -43,6 +43,13 @@ def op7_packed_ids(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packed_documents(table(spark, sf_dir, "documents"), word_tokenizer())
 
 
+def op8_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from tilesieve.llm.toxicity import score_documents, train
+
+    docs = table(spark, sf_dir, "documents")
+    return score_documents(docs, train(docs, table(spark, sf_dir, "labels")))
+
+
 def op9_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
     from tilesieve.llm.shards import shard_rows
 
@@ -55,6 +62,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op4_secrets": op4_secrets,
         "op5_curriculum": op5_curriculum,
         "op7_packed_ids": op7_packed_ids,
+        "op8_toxicity": op8_toxicity,
         "op9_shards": op9_shards,
     }
 
