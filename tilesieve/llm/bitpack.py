@@ -10,8 +10,9 @@ only files that every store Spark writes to can hold; ``block_index`` gives wher
 from __future__ import annotations
 
 import json
-import re
+import os
 import struct
+import uuid
 import zlib
 from collections.abc import Iterator
 
@@ -19,8 +20,10 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
+from tokenizers import Tokenizer
 
-from tilesieve.llm.common import scratch_root, ship, text_slices
+from tilesieve.llm.common import scratch_root, ship, text_bytes, text_slices
+from tilesieve.llm.wordbpe import WordBPE
 
 ship(__name__)
 
@@ -28,8 +31,8 @@ MAGIC = b"TSBP"
 HEADER = "<4sBBHIQ"
 #: A block closes with the document that brings it to so many ids.
 BLOCK_IDS = 1 << 17
-#: Words whose ids a worker remembers; beyond it, it begins anew.
-REMEMBERED = 300_000
+#: Bytes of text encoded at once: a word that they repeat is merged once.
+SLICE_BYTES = 16 << 20
 
 
 def width(vocabulary: int) -> int:
@@ -80,63 +83,28 @@ class Block:
         return int(unpack(self.data, self.bits, i, 1)[0])
 
 
-class WordEncoder:
-    """Encodes texts by their words, each distinct word once.
+class ColumnEncoder:
+    """Encodes a column of texts: in numpy where the definition allows, else by the library."""
 
-    Right only for tokenizers that drop white space and never look across it, which
-    ``for_tokenizer`` checks; others encode whole texts.
-    """
+    def __init__(self, definition: dict, library):
+        self.library = library
+        fast = WordBPE(definition, library) if WordBPE.fits(definition) else None
+        self.fast = fast if fast is not None and fast.orderly else None
 
-    def __init__(self, tokenizer, remembered: int = REMEMBERED):
-        self.tokenizer, self.remembered, self.known = tokenizer, remembered, {}
-
-    def encode(self, texts: list[bytes]) -> list[bytes]:
-        """Little-endian 32-bit ids of each text."""
-        split = [t.split() for t in texts]
-        new = {w for words in split for w in words if w not in self.known}
-        if len(self.known) + len(new) > self.remembered:
-            self.known = {}
-            new = {w for words in split for w in words}
-        if new:
-            order = list(new)
-            found = self.tokenizer.encode_batch_fast([w.decode() for w in order], add_special_tokens=False)
-            self.known.update(zip(order, (np.array(e.ids, "<u4").tobytes() for e in found), strict=True))
-        get = self.known.__getitem__
-        return [b"".join(map(get, words)) for words in split]
-
-
-class TextEncoder:
-    def __init__(self, tokenizer):
-        self.tokenizer = tokenizer
-
-    def encode(self, texts: list[bytes]) -> list[bytes]:
-        found = self.tokenizer.encode_batch_fast([t.decode() for t in texts], add_special_tokens=False)
-        return [np.array(e.ids, "<u4").tobytes() for e in found]
-
-
-def drops_white_space(definition: dict) -> bool:
-    """Whether a tokenizer's definition makes words independent of what stands across white space."""
-    normal = (definition.get("normalizer") or {}).get("normalizers") or [definition.get("normalizer") or {}]
-    split = ((definition.get("pre_tokenizer") or {}).get("pretokenizers") or [{}])[0]
-    plain = all(n.get("type") in ("NFC", "NFD", "Lowercase") or n.get("type") == "Replace" and n.get("pattern") == {"Regex": r"\s+"} and n.get("content") == " " for n in normal)
-    pattern = (split.get("pattern") or {}).get("Regex", "")
-    bare = re.sub(r"\[\^\\s[^]]*\]", "", pattern)
-    words = split.get("type") == "Split" and split.get("behavior") == "Removed" and split.get("invert") and not re.search(r"\\s|\x20|\.|\[\^", bare)
-    added = all(not (t["lstrip"] or t["rstrip"] or t["single_word"]) and not re.search(r"\s", t["content"]) for t in definition.get("added_tokens", []))
-    return bool(plain and words and added)
-
-
-def load_encoder(path: str):
-    """An encoder and the vocabulary's size, from a tokenizer file."""
-    import os
+    def encode(self, column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+        """Flat ids, and how many each text has."""
+        if self.fast is not None:
+            return self.fast.encode(*text_bytes(column))
+        found = [e.ids for e in self.library.encode_batch_fast([t or "" for t in column.to_pylist()], add_special_tokens=False)]
+        return np.array([i for ids in found for i in ids], np.uint32), np.array([len(ids) for ids in found], np.int64)
 
-    os.environ["TOKENIZERS_PARALLELISM"] = "false"
-    from tokenizers import Tokenizer
 
-    tokenizer = Tokenizer.from_file(path)
+def load_encoder(path: str) -> tuple[ColumnEncoder, int]:
+    """An encoder and the vocabulary's size, from a tokenizer file."""
+    os.environ["TOKENIZERS_PARALLELISM"] = "false"
+    library = Tokenizer.from_file(path)
     with open(path, encoding="utf-8") as f:
-        local = drops_white_space(json.load(f))
-    return (WordEncoder if local else TextEncoder)(tokenizer), tokenizer.get_vocab_size()
+        return ColumnEncoder(json.load(f), library), library.get_vocab_size()
 
 
 FILE_SCHEMA = "part int, block int, n_docs int, n_ids bigint, bits int, doc_ids array<bigint>, payload binary"
@@ -157,24 +125,29 @@ def write_ids(df: DataFrame, path: str, tokenizer: str, *, end_id: int = 1, bloc
         bits, part, block = width(max(size, end_id + 1)), TaskContext.get().partitionId(), 0
         keys: list[int | None] = []
         lengths: list[int] = []
-        held: list[bytes] = []
-        end = np.array([end_id], "<u4").tobytes()
+        held: list[np.ndarray] = []
 
         def close() -> pa.RecordBatch:
-            ids = np.frombuffer(b"".join(held), "<u4")
+            ids = np.concatenate(held)
             row = [[part], [block], [len(keys)], [len(ids)], [bits], [list(keys)], [encode_block(lengths, ids, bits)]]
             kinds = [pa.int32(), pa.int32(), pa.int32(), pa.int64(), pa.int32(), pa.list_(pa.int64()), pa.binary()]
             return pa.RecordBatch.from_arrays([pa.array(v, k) for v, k in zip(row, kinds, strict=True)], names=["part", "block", "n_docs", "n_ids", "bits", "doc_ids", "payload"])
 
         total = 0
         for batch in batches:
-            for rows in text_slices(batch):
-                texts = [t or b"" for t in rows.column(1).cast(pa.binary()).to_pylist()]
-                for key, ids in zip(rows.column(0).to_pylist(), encoder.encode(texts), strict=True):
-                    keys.append(key)
-                    held.append(ids + end)
-                    lengths.append(len(ids) // 4 + 1)
-                    total += lengths[-1]
+            for rows in text_slices(batch, most=SLICE_BYTES):
+                flat, counts = encoder.encode(rows.column(1))
+                ids = np.insert(flat, np.cumsum(counts), np.uint32(end_id))
+                ends = np.cumsum(counts + 1)
+                names, at = rows.column(0).to_pylist(), 0
+                while at < len(names):
+                    begin = int(ends[at - 1]) if at else 0
+                    to = min(int(np.searchsorted(ends, begin + block_ids - total)) + 1, len(names))
+                    keys += names[at:to]
+                    lengths += (counts[at:to] + 1).tolist()
+                    held.append(ids[begin : int(ends[to - 1])])
+                    total += int(ends[to - 1]) - begin
+                    at = to
                     if total >= block_ids:
                         yield close()
                         block, total = block + 1, 0
@@ -221,8 +194,6 @@ def read_ids(spark: SparkSession, path: str) -> DataFrame:
 
 def packed_documents(df: DataFrame, tokenizer: str, *, end_id: int = 1, path: str | None = None) -> DataFrame:
     """Write the ids of all documents to ``path`` (a new shared folder unless given) and read them back."""
-    import uuid
-
     spark = df.sparkSession
     path = path or f"{scratch_root(spark)}/packed-{uuid.uuid4().hex}"
     write_ids(df, path, tokenizer, end_id=end_id)
