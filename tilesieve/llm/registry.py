@@ -56,6 +56,12 @@ def op9_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
     return shard_rows(table(spark, sf_dir, "documents"), 8)
 
 
+def op10_nearest(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from tilesieve.llm.collision import nearest
+
+    return nearest(table(spark, sf_dir, "embeddings"))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op1_quality": op1_quality,
@@ -64,6 +70,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op7_packed_ids": op7_packed_ids,
         "op8_toxicity": op8_toxicity,
         "op9_shards": op9_shards,
+        "op10_nearest": op10_nearest,
     }
 
 
