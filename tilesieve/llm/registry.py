@@ -43,6 +43,12 @@ def op5_curriculum(spark: SparkSession, sf_dir: str) -> DataFrame:
     return plan_mix(table(spark, sf_dir, "documents"))
 
 
+def op6_line_chunks(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from tilesieve.llm.linechunks import dedup_chunks
+
+    return dedup_chunks(table(spark, sf_dir, "documents"))
+
+
 def op7_packed_ids(spark: SparkSession, sf_dir: str) -> DataFrame:
     from tilesieve.llm.bitpack import packed_documents
 
@@ -74,6 +80,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op2_decontaminate": op2_decontaminate,
         "op4_secrets": op4_secrets,
         "op5_curriculum": op5_curriculum,
+        "op6_line_chunks": op6_line_chunks,
         "op7_packed_ids": op7_packed_ids,
         "op8_toxicity": op8_toxicity,
         "op9_shards": op9_shards,
