@@ -86,8 +86,11 @@ def plan_mix(docs: DataFrame, *, weights: tuple[float, ...] = WEIGHTS, schedules
     return out.select(F.col("_id").alias("doc_id"), "size", "source_size", "target", "copies", (F.col("size") * F.col("copies")).cast("bigint").alias("taken"), chosen.alias("positions"), *(["row"] if payload else []))
 
 
-def mixed_documents(docs: DataFrame, **how) -> DataFrame:
-    """The training stream: a row of ``docs`` for each copy taken, plus its ``position``, range-sorted by it."""
+def mixed_documents(docs: DataFrame, *, position: str | None = "position", **how) -> DataFrame:
+    """The training stream: a row of ``docs`` for each copy taken, range-sorted by its training time.
+
+    ``position`` names a column for that time; none is added if it is None.
+    """
     plan = plan_mix(docs, payload=True, **how)
     copies = plan.select("row", "doc_id", F.explode("positions").alias("at"))
-    return copies.repartitionByRange("at", "doc_id").sortWithinPartitions("at", "doc_id").select("row.*", F.col("at").alias("position"))
+    return copies.repartitionByRange("at", "doc_id").sortWithinPartitions("at", "doc_id").select("row.*", *([F.col("at").alias(position)] if position else []))

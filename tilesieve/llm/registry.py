@@ -31,6 +31,12 @@ def op2_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
     return contaminated(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
 
 
+def op3_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from tilesieve.llm.jaccard import near_duplicate_classes
+
+    return near_duplicate_classes(table(spark, sf_dir, "documents"))
+
+
 def op4_secrets(spark: SparkSession, sf_dir: str) -> DataFrame:
     from tilesieve.llm.secrets import find_secrets
 
@@ -78,6 +84,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op1_quality": op1_quality,
         "op2_decontaminate": op2_decontaminate,
+        "op3_jaccard_join": op3_jaccard_join,
         "op4_secrets": op4_secrets,
         "op5_curriculum": op5_curriculum,
         "op6_line_chunks": op6_line_chunks,
