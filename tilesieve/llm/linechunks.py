@@ -11,6 +11,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from tilesieve.llm.common import stored
+
 #: A chunk closes after one line pair in so many, and never holds more than MOST lines.
 MODULUS = 3
 MOST = 32
@@ -18,59 +20,72 @@ MOST = 32
 ROLL = 2
 #: Fewest lines of a chunk that is ever removed.
 LEAST_LINES = 2
+#: Rows up to this many (some 40 bytes each) are sent to all tasks.
+BROADCAST_ROWS = 500_000
+
+
+def line_hashes(text: Column) -> Column:
+    return F.transform(F.split(text, "\n", -1), lambda x: F.xxhash64(x))
 
 
-def chunk_ends(lines: Column, *, modulus: int = MODULUS, most: int = MOST) -> Column:
-    """Positions (from 1) of the lines that close a chunk; the last line always does.
+def chunk_ends(hashes: Column, *, modulus: int = MODULUS, most: int = MOST) -> Column:
+    """Positions (from 1) of the lines that close a chunk, given all lines' hashes; the last line always does.
 
     A boundary follows line i where the hash of lines i-1 and i meets the residue. Where there is
     none for ``most`` lines, as within one line repeated, every position divisible by ``most`` closes.
     """
-    hashes = F.transform(lines, lambda x: F.xxhash64(x))
-    pairs = F.zip_with(F.slice(hashes, F.lit(1), F.size(lines) - 1), F.slice(hashes, F.lit(2), F.size(lines) - 1), lambda a, b: F.pmod(F.xxhash64(a, b), F.lit(modulus)) == 0)
-    meets = F.when(F.size(lines) > 1, pairs).otherwise(F.array().cast("array<boolean>"))
+    pairs = F.zip_with(F.slice(hashes, F.lit(1), F.size(hashes) - 1), F.slice(hashes, F.lit(2), F.size(hashes) - 1), lambda a, b: F.pmod(F.xxhash64(a, b), F.lit(modulus)) == 0)
+    meets = F.when(F.size(hashes) > 1, pairs).otherwise(F.array().cast("array<boolean>"))
     picked = F.filter(F.transform(meets, lambda hit, i: F.when(hit | ((i + 2) % most == 0), i + 2)), lambda x: x.isNotNull())
-    return F.array_distinct(F.array_append(picked, F.size(lines)))
+    return F.array_distinct(F.array_append(picked, F.size(hashes)))
 
 
-def chunks(text: Column, **how) -> Column:
-    """The chunks of a text in order: first line, number of lines and their text. Joined by line ends they give the text."""
-    lines = F.split(text, "\n", -1)
-    ends = chunk_ends(lines, **how)
+def chunks(hashes: Column, **how) -> Column:
+    """First line and number of lines of each chunk, in order; together they are all lines."""
+    ends = chunk_ends(hashes, **how)
     begins = F.concat(F.array(F.lit(1)), F.transform(F.slice(ends, F.lit(1), F.size(ends) - 1), lambda e: e + 1))
-    return F.zip_with(begins, ends, lambda a, b: F.struct(a.alias("line"), (b - a + 1).alias("lines"), F.array_join(F.slice(lines, a, b - a + 1), "\n").alias("body")))
+    return F.zip_with(begins, ends, lambda a, b: F.struct(a.alias("line"), (b - a + 1).alias("lines")))
+
+
+def _few(table: DataFrame) -> DataFrame:
+    """Sent to all tasks if its rows, counted, are few; joined by shuffle otherwise."""
+    return F.broadcast(table) if table.limit(BROADCAST_ROWS + 1).count() <= BROADCAST_ROWS else table
 
 
 def dedup_chunks(docs: DataFrame, *, least_lines: int = LEAST_LINES, modulus: int = MODULUS, most: int = MOST) -> DataFrame:
     """Every document with its repeated chunks removed.
 
-    Returns ``doc_id``, ``text`` (what is left; null stays null), ``n_chunks``, ``n_removed`` (chunks)
-    and ``removed_lines``. The first place of a chunk, by id (null first), then line, keeps it; rows
-    that repeat one id and text share a place and keep or lose it alike. A chunk whose lines are all
-    blank is never removed. Empty texts are one empty line; an empty table gives no rows; other columns
-    are left out, whatever their names.
+    Returns ``doc_id``, ``text`` (what is left; null stays null), ``n_removed`` (chunks) and
+    ``removed_lines``. The first place of a chunk, by id (null first), then line, keeps it; rows that
+    repeat one id and text share a place and keep or lose it alike. A chunk whose lines are all blank
+    is never removed. Empty texts are one empty line; an empty table gives no rows; other columns are
+    left out, whatever their names.
+
+    Chunks are counted by hash, so no text moves; texts of chunks whose hashes repeat are then
+    compared as bytes; what is lost goes back to the documents, by broadcast only if counted small.
     """
     rows = docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), F.col("text").alias("text"))
-    cut = chunks(F.col("text"), modulus=modulus, most=most)
-    owner = F.xxhash64("doc_id", "text")
-    # counted by hash alone: no text moves
-    marked = rows.where(F.col("text").contains("\n")).select("doc_id", owner.alias("owner"), F.explode(cut).alias("c")).where((F.col("c.lines") >= least_lines) & (F.length(F.regexp_replace("c.body", r"[\s]+", "")) > 0))
-    keyed = marked.select("doc_id", "owner", F.col("c.line").alias("line"), F.col("c.lines").alias("lines"), F.xxhash64("c.body").alias("h1"), F.xxhash64(F.lit(7), F.col("c.body"), F.length("c.body")).alias("h2"), F.col("c.body").alias("body"))
-    again = keyed.groupBy("h1", "h2").agg(F.count("*").alias("n")).where("n > 1").select("h1", "h2")
-    # byte comparison: only texts whose hashes repeat are moved, and grouped as bytes
-    doubled = keyed.join(again, ["h1", "h2"]).select("h1", "h2", "body", "doc_id", "owner", "line", "lines")
+    owner = F.xxhash64("doc_id", "text").alias("owner")
+    cut = rows.where(F.col("text").contains("\n")).select(owner, line_hashes(F.col("text")).alias("hs"))
+    spread = cut.select("owner", "hs", F.inline(F.filter(chunks(F.col("hs"), modulus=modulus, most=most), lambda c: c["lines"] >= least_lines)))
+    own = F.slice("hs", F.col("line"), F.col("lines"))
+    # all hashes equal to that of an empty line: dropped at once; other blank lines are seen with their texts
+    meta = stored(spread.where(F.size(F.array_except(own, F.array(F.xxhash64(F.lit(""))))) > 0).select("owner", "line", "lines", F.xxhash64(own).alias("h1"), F.xxhash64(F.lit(7), own).alias("h2")), "chunks")
+    again = meta.groupBy("h1", "h2").agg(F.count("*").alias("n")).where("n > 1").select("h1", "h2")
+    marks = stored(meta.join(again, ["h1", "h2"]).groupBy("owner").agg(F.collect_set(F.struct("line", "lines", "h1", "h2")).alias("marks")), "marked")
+    lines = F.split("text", "\n", -1)
+    body = F.array_join(F.slice(F.col("ls"), F.col("line"), F.col("lines")), "\n")
+    held = rows.withColumn("owner", owner).join(_few(marks), "owner").select("doc_id", "owner", lines.alias("ls"), F.inline("marks"))
+    doubled = stored(held.select("doc_id", "owner", "line", "lines", "h1", "h2", body.alias("body")).where(F.col("body").rlike(r"[^\s]")), "doubled")
     place = F.struct(F.col("doc_id").isNotNull().alias("known"), "doc_id", "line", "owner")
     first = doubled.groupBy("h1", "h2", "body").agg(F.min(place).alias("first"))
     later = doubled.join(first, ["h1", "h2", "body"]).where(~place.eqNullSafe(F.col("first")))
-    lost = later.select("owner", "line").distinct().groupBy("owner").agg(F.array_sort(F.collect_list("line")).alias("gone"))
-    joined = rows.withColumn("owner", owner).join(lost, "owner", "left")
-    kept = F.filter("c", lambda x: ~F.array_contains(F.coalesce("gone", F.array().cast("array<int>")), x["line"]))
-    out = joined.select("doc_id", "text", "gone", F.when(F.col("gone").isNotNull(), cut).alias("c"), F.when(F.col("text").isNull(), F.lit(0)).otherwise(F.size(chunk_ends(F.split("text", "\n", -1), modulus=modulus, most=most))).cast("bigint").alias("n_chunks"))
-    gone = F.filter("c", lambda x: F.array_contains("gone", x["line"]))
-    return out.select(
+    lost = stored(later.select("owner", "line", "lines").distinct().groupBy("owner").agg(F.collect_list(F.struct("line", "lines")).alias("gone")), "lost")
+    joined = rows.withColumn("owner", owner).join(_few(lost), "owner", "left")
+    left = F.filter(lines, lambda x, i: ~F.exists("gone", lambda g: (i + 1 >= g["line"]) & (i + 1 < g["line"] + g["lines"])))
+    return joined.select(
         "doc_id",
-        F.when(F.col("gone").isNull(), F.col("text")).otherwise(F.array_join(F.transform(kept, lambda x: x["body"]), "\n")).alias("text"),
-        "n_chunks",
+        F.when(F.col("gone").isNull(), F.col("text")).otherwise(F.array_join(left, "\n")).alias("text"),
         F.coalesce(F.size("gone"), F.lit(0)).cast("bigint").alias("n_removed"),
-        F.when(F.col("gone").isNull(), F.lit(0)).otherwise(F.aggregate(gone, F.lit(0), lambda s, x: s + x["lines"])).cast("bigint").alias("removed_lines"),
+        F.coalesce(F.aggregate("gone", F.lit(0), lambda s, g: s + g["lines"]), F.lit(0)).cast("bigint").alias("removed_lines"),
     )
