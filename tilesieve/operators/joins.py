@@ -30,10 +30,11 @@ def range_join(points: DataFrame, ranges: DataFrame, *, point: str, low: str, hi
 
 def interval_join(left: DataFrame, right: DataFrame, *, key: str, left_ts: str, right_ts: str, seconds: int) -> DataFrame:
     """Pairs of one key whose right time lies within ``seconds`` after the left one."""
-    bin_ = lambda c: F.floor(F.unix_micros(c) / F.lit(seconds * 1_000_000))
-    a = left.withColumn("_bin", bin_(F.col(left_ts)))
-    b = right.withColumn("_bin", F.explode(F.array(bin_(F.col(right_ts)), bin_(F.col(right_ts)) - 1)))
-    gap: Column = F.unix_micros(right_ts) - F.unix_micros(left_ts)
+    micros = lambda c: F.unix_micros(F.col(c).cast("timestamp"))
+    bin_ = lambda c: F.floor(micros(c) / F.lit(seconds * 1_000_000))
+    a = left.withColumn("_bin", bin_(left_ts))
+    b = right.withColumn("_bin", F.explode(F.array(bin_(right_ts), bin_(right_ts) - 1)))
+    gap: Column = micros(right_ts) - micros(left_ts)
     return a.join(b, [key, "_bin"]).where((gap >= 0) & (gap <= seconds * 1_000_000)).drop("_bin")
 
 
