@@ -55,6 +55,32 @@ def test_sources(spark, tmp_path):
     assert io.inline(spark, [(1,)], "a int").count() == 1
 
 
+def test_composed_checks(spark):
+    from tilesieve.operators import bloom, checks
+
+    rng = random.Random(6)
+    text = "".join(rng.choices("abcdefghij klmnop", k=700))
+    docs = spark.createDataFrame([(1, text)], "doc_id bigint, text string")
+    f = bloom.corpus_filter(docs, fpp=1e-9)
+    gram = bloom.normalized(docs, f.spec).first()["text"][50:100]
+    assert checks.contains_gram(f, gram) and not checks.contains_gram(f, "#" * 50)
+    out = spark.createDataFrame([(1, "own words, then " + text[100:400]), (2, "own words alone " * 20)], "doc_id bigint, text string")
+    (hit,) = checks.copy_check(out, f, key="doc_id").collect()
+    assert hit["doc_id"] == 1 and hit["overlap"] in " ".join(text.split()) and hit["max_tiles"] >= 4
+    lines = spark.createDataFrame([(7, i, text[i * 100 : (i + 1) * 100]) for i in range(7)], "k int, i int, text string")
+    assert checks.leak_scan(lines, f, key="k", order="i").first()["max_tiles"] >= 1
+    assert checks.timed(lambda: docs, runs=2) >= 0 and 0 < checks.build_report(docs)["ratio"]
+
+
+def test_offset_map(spark):
+    from tilesieve.functions.text import offset_map
+
+    raw = "  a \t b\n\ncd  "
+    got = spark.createDataFrame([(raw,), (None,), (" ",)], "t string").select(normalize(F.col("t")).alias("n"), offset_map(F.col("t")).alias("m")).collect()
+    assert got[0]["n"] == "a b cd" and [raw[i] if raw[i] > " " else " " for i in got[0]["m"]] == list(got[0]["n"])
+    assert got[1]["m"] is None and got[2]["m"] == []
+
+
 def test_properties_hold(spark):
     rows = {r["tool"]: r for r in analysis.property_matrix(spark).collect()}
     assert rows["tiled Bloom filter"]["avoids_redistribution"] and not rows["tiled Bloom filter"]["has_index"]

@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+import re
+
+import pandas as pd
 from pyspark.sql import Column
 from pyspark.sql import functions as F
 
@@ -47,3 +50,34 @@ def page_text(html: Column) -> Column:
 def page_language(url: Column) -> Column:
     """Two-letter language in a URL's path; empty if none."""
     return F.regexp_extract(url, r"/([a-z][a-z])/", 1)
+
+
+def offset_map(text: Column) -> Column:
+    """For each character of the collapsed text, where it stands in the raw one: spans lead back to the original."""
+
+    @F.pandas_udf("array<int>")
+    def places(texts: pd.Series) -> pd.Series:
+        def one(t):
+            if t is None:
+                return None
+            out, blank = [], re.compile(BLANKS)
+            at = 0
+            while at < len(t):
+                run = blank.match(t, at)
+                if run is None:
+                    out.append(at)
+                    at += 1
+                else:
+                    out.append(at)
+                    at = run.end()
+            kept = [c if not blank.match(c) else " " for c in (t[i] for i in out)]
+            a, b = 0, len(out)
+            while a < b and kept[a] == " ":
+                a += 1
+            while b > a and kept[b - 1] == " ":
+                b -= 1
+            return out[a:b]
+
+        return texts.map(one)
+
+    return places(text)

@@ -12,7 +12,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from tilesieve.functions.grams import slide_grams, tile_grams
-from tilesieve.functions.hashing import bit_positions
+from tilesieve.functions.hashing import bit_positions, lanes
 from tilesieve.functions.sizing import BUCKET_BITS, FilterSpec, plan_filter
 from tilesieve.functions.text import normalize
 
@@ -84,9 +84,9 @@ def probe(windows: DataFrame, filter_: Filter, *, mode: str = "auto", gram: str
     spec = filter_.spec
     if mode == "auto":
         mode = "packed" if spec.m_bits // 8 <= PACKED_BYTES else "shuffle"
-    rows = windows.withColumn("_bits", bit_positions(F.col(gram), spec))
     if mode == "packed":
-        return rows.withColumn("hit", packed_probe_udf(pack(filter_), windows.sparkSession)("_bits")).drop("_bits")
+        return windows.withColumn("hit", packed_probe_udf(pack(filter_), spec, windows.sparkSession)(*lanes(F.col(gram), spec)))
+    rows = windows.withColumn("_bits", bit_positions(F.col(gram), spec))
     table = filter_.table.select(F.col("bucket").alias("_bucket"), F.col("bitmap").alias("_bitmap"))
     table = F.broadcast(table) if mode == "broadcast" else table.hint("merge")
     if spec.layout == "blocked":  # all bits in one bucket: one lookup, no second shuffle
@@ -136,17 +136,26 @@ def pack(filter_: Filter) -> bytes:
     return bytes(out)
 
 
-def packed_probe_udf(data: bytes, spark):
-    """Column of bit positions -> whether all are set in the packed filter."""
+def packed_probe_udf(data: bytes, spec: FilterSpec, spark):
+    """Two hash lanes -> whether all k bits are set in the packed filter; a window is done at its first clear bit."""
     sent = spark.sparkContext.broadcast(data)
+    m, k, buckets, blocked, odd = spec.m_bits, spec.k, spec.buckets, spec.layout == "blocked", spec.hash != "md5"
 
     @F.pandas_udf("boolean")
-    def test(bits: pd.Series) -> pd.Series:
+    def test(h1: pd.Series, h2: pd.Series) -> pd.Series:
         array = np.frombuffer(sent.value, np.uint8)
-        flat = np.concatenate(bits.to_numpy()) if len(bits) else np.zeros(0, np.int64)
-        k = len(flat) // len(bits) if len(bits) else 1
-        on = (array[flat >> 3] >> (flat & 7).astype(np.uint8)) & 1
-        return pd.Series(on.reshape(-1, k).all(axis=1) if len(bits) else [], dtype=bool)
+        a, b = h1.to_numpy(np.int64), h2.to_numpy(np.int64)
+        if blocked:
+            base, start, jump, size = a % buckets * BUCKET_BITS, b % BUCKET_BITS, (a // buckets) % BUCKET_BITS | 1, BUCKET_BITS
+        else:
+            base, start, jump, size = np.zeros(len(a), np.int64), a % m, (b | 1 if odd else b) % m, m
+        alive = np.arange(len(a))
+        for i in range(k):
+            p = base[alive] + (start[alive] + i * jump[alive]) % size
+            alive = alive[(array[p >> 3] >> (p & 7).astype(np.uint8)) & 1 == 1]
+        hit = np.zeros(len(a), bool)
+        hit[alive] = True
+        return pd.Series(hit)
 
     return test
 
