@@ -65,6 +65,14 @@ def test_no_false_negative_and_modes_agree(spark, layout, family, mode):
     assert rows(bloom.probe(other, f, mode=mode), "pos", "hit") == rows(bloom.probe(other, f, mode="packed"), "pos", "hit")
 
 
+@pytest.mark.parametrize("layout", ["classic", "blocked"])
+@pytest.mark.parametrize("family", ["md5", "xxhash64"])
+def test_builds_agree(spark, layout, family):
+    df = frame(spark, [(i, f"text number {i} " * 20) for i in range(30)])
+    two = [bloom.corpus_filter(df, n=10, stride=10, layout=layout, hash=family, build=b) for b in ("native", "packed")]
+    assert rows(bloom.filter_digest(two[0]), "bucket", "set_bits", "place_sum") == rows(bloom.filter_digest(two[1]), "bucket", "set_bits", "place_sum")
+
+
 def test_local_probe_agrees(spark):
     df = frame(spark, [(1, "the quick brown fox jumps over the lazy dog and runs away again")])
     for layout in ("classic", "blocked"):

@@ -141,7 +141,7 @@ def filter_build_pages(s, d):
 
 @query(f"WITH {o.src('a', 'documents', 'doc_id')}, {o.windows('t', 'a', 'doc_id')}, {o.spec('sp', 't')}, {o.bits('b', 't', 'sp')} {_DIGEST.format('b')}")
 def filter_dense(s, d):
-    return bloom.filter_digest(corpus(s, d, stride=1))
+    return bloom.filter_digest(corpus(s, d, stride=1, build="packed"))
 
 
 @query(f"WITH {o.corpus()}, {o.tiles('pt', 'ps', 'page_id')}, {o.src('ps', 'pages', 'page_id', 'html')}, {o.bits('pb', 'pt', 'spec')}, u AS (SELECT p FROM bits UNION SELECT p FROM pb) {_DIGEST.format('u')}".replace(o.tiles("pt", "ps", "page_id") + ", " + o.src("ps", "pages", "page_id", "html"), o.src("ps", "pages", "page_id", "html") + ", " + o.tiles("pt", "ps", "page_id")))
@@ -656,7 +656,7 @@ def extension_attack(s, d):
     alphabet = "".join(r["c"] for r in rows.select(F.explode(F.split("text", "")).alias("c")).distinct().collect())
     out = []
     for stride in (1, N):
-        f = corpus(s, d, stride=stride, fpp=1e-6)
+        f = corpus(s, d, stride=stride, fpp=1e-6, build="packed")
         local = bloom.LocalProbe(f.spec, bloom.pack(f))
         out.append((stride, len(analysis.extension_attack(local.contains, seed[0], alphabet, n=N, steps=200))))
     return s.createDataFrame(out, "stride int, reached int")
