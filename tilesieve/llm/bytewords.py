@@ -38,7 +38,7 @@ class Powers:
 
     def __call__(self, n: int) -> tuple[np.ndarray, np.ndarray]:
         if len(self.up) < n:
-            size = max(n, 2 << 20)
+            size = max(n, 1 << 20)
             grow = lambda b: np.concatenate([np.ones(1, np.uint64), np.cumprod(np.full(size - 1, b, np.uint64), dtype=np.uint64)])
             self.up, self.down = grow(_BASE), grow(_INVERSE)
         return self.up[:n], self.down[:n]

@@ -20,13 +20,12 @@ import zlib
 from collections.abc import Iterator
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from tilesieve.llm.bytewords import Powers, mix, words
-from tilesieve.llm.common import discard, ship, stored, text_bytes, text_slices
+from tilesieve.llm.common import discard, frugal, ship, stored, text_bytes, text_slices
 from tilesieve.llm.components import components
 
 ship(__name__)
@@ -91,6 +90,7 @@ def frequency_sketch(docs: DataFrame, n: int = WORDS) -> np.ndarray:
     """
     size = (1 << SKETCH_BITS) // SKETCH_CHUNKS
 
+    @frugal
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         from pyspark import TaskContext
 
@@ -102,16 +102,16 @@ def frequency_sketch(docs: DataFrame, n: int = WORDS) -> np.ndarray:
         blobs = [zlib.compress(total[k * size : (k + 1) * size].astype("<i8").tobytes(), 1) for k in range(SKETCH_CHUNKS)]
         yield pa.RecordBatch.from_arrays([pa.array(range(SKETCH_CHUNKS), pa.int32()), pa.array([group] * SKETCH_CHUNKS, pa.int32()), pa.array(blobs, pa.binary())], names=["chunk", "grp", "counts"])
 
-    def add(part: pd.DataFrame) -> pd.DataFrame:
+    def add(part: pa.Table) -> pa.Table:
         total = np.zeros(size, np.int64)
-        for blob in part["counts"]:
-            total += np.frombuffer(zlib.decompress(blob), "<i8")
-        return pd.DataFrame({"chunk": [part["chunk"].iloc[0]], "grp": [part["grp"].iloc[0]], "counts": [zlib.compress(total.tobytes(), 1)]})
+        for blob in part.column("counts"):
+            total += np.frombuffer(zlib.decompress(blob.as_py()), "<i8")
+        return part.slice(0, 1).set_column(2, "counts", pa.array([zlib.compress(total.tobytes(), 1)], pa.binary()))
 
     schema = "chunk int, grp int, counts binary"
-    some = docs.select("text").mapInArrow(count, schema).groupBy("chunk", "grp").applyInPandas(add, schema)
+    some = docs.select("text").mapInArrow(count, schema).groupBy("chunk", "grp").applyInArrow(add, schema)
     out = np.zeros(1 << SKETCH_BITS, np.int64)
-    for r in some.groupBy("chunk").applyInPandas(add, schema).collect():
+    for r in some.groupBy("chunk").applyInArrow(add, schema).collect():
         out[r["chunk"] * size : (r["chunk"] + 1) * size] = np.frombuffer(zlib.decompress(bytes(r["counts"])), "<i8")
     return out
 
@@ -120,6 +120,7 @@ def _signatures(docs: DataFrame, sketch: np.ndarray, percent: int, n: int) -> Da
     """doc_id, size, a digest of the whole set, the rarest shingles in order, and small sets whole."""
     sent = docs.sparkSession.sparkContext.broadcast(np.minimum(sketch, 2**31 - 1).astype(np.int32))
 
+    @frugal
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         powers, freq = Powers(), sent.value
         for batch in batches:
@@ -164,6 +165,7 @@ def light_boundary(sizes: dict[int, int], scan_cost: float, percent: int = PERCE
 def _light_edges(classes: DataFrame, boundary: int, percent: int) -> DataFrame:
     """Edges among light classes: those that share a subset of the size their two sizes demand."""
 
+    @frugal
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for rep, items in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
@@ -190,19 +192,47 @@ def _can_link(a: str, b: str, percent: int) -> Column:
     return (n * percent <= m * 100) & (m * percent <= n * 100) & (F.least(n - F.col(f"{a}_pos"), m - F.col(f"{b}_pos")) >= need)
 
 
-def _linked(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
-    """Of distinct pairs (a, b), those whose whole sets link."""
+def _only(table: DataFrame, ids: DataFrame, column: str) -> DataFrame:
+    """Rows of ``table`` whose ``column`` is among ``ids``: by broadcast if those are counted few, else by shuffle."""
+    named = ids.select(F.col("doc_id").alias(column))
+    return table.join(F.broadcast(named) if named.limit(BROADCAST_IDS + 1).count() <= BROADCAST_IDS else named, column, "left_semi")
+
+
+def _named(pairs: DataFrame) -> DataFrame:
+    return stored(pairs.select(F.explode(F.array("a", "b")).alias("doc_id")).distinct(), "named")
+
+
+def _possible(pairs: DataFrame, classes: DataFrame, percent: int) -> DataFrame:
+    """Pairs that their rarest shingles don't rule out.
+
+    Of two sets, one's prefix ends first in the global order; what they share up to there is in both
+    prefixes, so the whole intersection is at most the prefixes' plus that set's remainder.
+    """
+    small = stored(_only(classes.select("rep", "n", "prefix"), _named(pairs), "rep"), "prefixes")
+    left = pairs.join(small.select(F.col("rep").alias("a"), F.col("n").alias("na"), F.col("prefix").alias("pa")), "a")
+    both = left.join(small.select(F.col("rep").alias("b"), F.col("n").alias("nb"), F.col("prefix").alias("pb")), "b")
+    most = F.size(F.array_intersect("pa", "pb")) + F.greatest(F.col("na") - F.size("pa"), F.col("nb") - F.size("pb"))
+    return both.where(most * (100 + percent) >= percent * (F.col("na") + F.col("nb"))).select("a", "b")
+
+
+def _linked(pairs: DataFrame, classes: DataFrame, docs: DataFrame, percent: int, n: int, repeats: bool) -> DataFrame:
+    """Of distinct pairs (a, b), those whose whole sets link. Only the sets that pairs still name are made and moved."""
+    pairs = stored(_possible(pairs, classes, percent), "possible")
+    whole = _sets_of(docs, _named(pairs), n)
+    sets = stored(whole.dropDuplicates(["rep"]) if repeats else whole, "sets")
     left = pairs.join(sets.select(F.col("rep").alias("a"), F.col("s").alias("sa")), "a")
     both = left.join(sets.select(F.col("rep").alias("b"), F.col("s").alias("sb")), "b")
     common = F.size(F.array_intersect("sa", "sb"))
-    return both.where(100 * common >= percent * (F.size("sa") + F.size("sb") - common)).select("a", "b")
+    links = stored(both.where(100 * common >= percent * (F.size("sa") + F.size("sb") - common)).select("a", "b"), "linked")
+    discard(sets)
+    return links
 
 
 def _sets_of(docs: DataFrame, ids: DataFrame, n: int) -> DataFrame:
     """Whole sets of the documents whose ids are given, from their whole texts."""
-    few = ids.limit(BROADCAST_IDS + 1).count() <= BROADCAST_IDS
-    picked = docs.select("doc_id", "text").join(F.broadcast(ids) if few else ids, "doc_id", "left_semi")
+    picked = _only(docs.select("doc_id", "text"), ids, "doc_id")
 
+    @frugal
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         powers = Powers()
         for batch in batches:
@@ -244,21 +274,33 @@ def near_duplicate_classes(docs: DataFrame, *, percent: int = PERCENT, n: int =
     edges = stored(_light_edges(classes, boundary, percent), "links")
 
     least = -(-percent * (boundary + 1) // 100)
-    entries = classes.where(F.col("n") >= least).select("rep", "n", "copies", F.posexplode("prefix").alias("pos", "token"))
-    lists = entries.groupBy("token").agg(F.count("*").alias("c")).where("c > 1").select("token")
-    postings = stored(entries.join(lists, "token"), "postings")
-    sets = stored(_sets_of(docs, postings.select(F.col("rep").alias("doc_id")).distinct(), n).dropDuplicates(["rep"]), "sets")
+    place = F.shiftleft(F.col("n"), 31) + F.col("pos")  # size and position in one number: a row less wide to deal
+    entries = classes.where(F.col("n") >= least).select("rep", "n", F.posexplode("prefix").alias("pos", "token")).select("token", "rep", place.alias("place"))
+    dealt = entries.repartition("token")  # one exchange serves the count and the join
+    size, at = F.shiftright("place", 31), F.col("place").bitwiseAND(F.lit((1 << 31) - 1))
+    # of two linked sets, the smaller one (or either of equal ones) has its first common shingle this early
+    early = size - at >= F.ceil(size * 2 * percent / F.lit(100.0 + percent) - F.lit(1e-9))
+    lists = dealt.groupBy("token").agg(F.count("*").alias("c"), F.bool_or(early).alias("early")).where("c > 1 and early").select("token")
+    listed = dealt.join(lists, "token").select("token", "rep", size.alias("n"), at.alias("pos"))
+    postings = stored(listed.join(classes.select("rep", "copies"), "rep"), "postings")
+    repeats = bool(known.groupBy("doc_id").count().where("count > 1").head(1))
+
+    done: list[DataFrame] = []
 
     def checked(pairs: DataFrame) -> DataFrame:
-        return _linked(stored(pairs.where(F.greatest("a_n", "b_n") > boundary).select(F.least("a_rep", "b_rep").alias("a"), F.greatest("a_rep", "b_rep").alias("b")).distinct(), "pairs"), sets, percent)
+        named = pairs.where(F.greatest("a_n", "b_n") > boundary).select(F.least("a_rep", "b_rep").alias("a"), F.greatest("a_rep", "b_rep").alias("b")).distinct()
+        for before in done:  # a pair is checked once
+            named = named.join(before, ["a", "b"], "left_anti")
+        done.append(stored(named, "pairs"))
+        return _linked(done[-1], classes, docs, percent, n, repeats)
 
     def side(df: DataFrame, name: str) -> DataFrame:
         return df.select("token", *[F.col(c).alias(f"{name}_{c}") for c in ("rep", "n", "pos", "root")])
 
     for turn in range(HUB_ROUNDS):
         rooted = stored(_rooted(postings, edges if edges.head(1) else None), "rooted")
-        # the hub of a list: the most copied class first, any class by hash in later rounds
-        rank = F.struct(F.col("copies") if turn == 0 else F.lit(0), F.xxhash64(F.lit(turn), "token", "rep"), "rep", "n", "pos", "root")
+        # the hub of a list: the most copied class first, any class by hash in later rounds; lists of one group agree on it
+        rank = F.struct(F.col("copies") if turn == 0 else F.lit(0), F.xxhash64(F.lit(turn), "rep"), "rep", "n", "pos", "root")
         hubs = rooted.groupBy("token").agg(F.max(rank).alias("h"), F.min("root").alias("r0"), F.max("root").alias("r1")).where("r0 != r1").select("token", *[F.col(f"h.{c}").alias(f"b_{c}") for c in ("rep", "n", "pos", "root")])
         new = checked(side(rooted, "a").join(hubs, "token").where((F.col("a_root") != F.col("b_root")) & _can_link("a", "b", percent)))
         edges = stored(edges.unionByName(new), "links")
@@ -280,7 +322,7 @@ def near_duplicate_classes(docs: DataFrame, *, percent: int = PERCENT, n: int =
     else:
         named = named.select("digest", F.col("rep").alias("root"))
     named = stored(named, "named")
-    for table in (sets, postings, rooted, split):
+    for table in (postings, rooted, split):
         discard(table)
     return signed.select("doc_id", "n", "digest").join(named, "digest", "left").select("doc_id", F.col("n").alias("n_shingles"), F.when(F.col("doc_id").isNotNull(), F.coalesce("root", "doc_id")).alias("component_id"))
 
