@@ -22,7 +22,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 from tokenizers import Tokenizer
 
-from tilesieve.llm.common import scratch_root, ship, text_bytes, text_slices
+from tilesieve.llm.common import frugal, scratch_root, ship, text_bytes, text_slices
 from tilesieve.llm.wordbpe import WordBPE
 
 ship(__name__)
@@ -32,7 +32,7 @@ HEADER = "<4sBBHIQ"
 #: A block closes with the document that brings it to so many ids.
 BLOCK_IDS = 1 << 17
 #: Bytes of text encoded at once: a word that they repeat is merged once.
-SLICE_BYTES = 16 << 20
+SLICE_BYTES = 8 << 20
 
 
 def width(vocabulary: int) -> int:
@@ -84,29 +84,30 @@ class Block:
 
 
 class ColumnEncoder:
-    """Encodes a column of texts: in numpy where the definition allows, else by the library."""
-
-    def __init__(self, definition: dict, library):
-        self.library = library
-        fast = WordBPE(definition, library) if WordBPE.fits(definition) else None
+    """Encodes a column of texts: in numpy where the definition allows, else by the library, loaded only then."""
+
+    def __init__(self, path: str):
+        self.path, self._library = path, None
+        with open(path, encoding="utf-8") as f:
+            definition = json.load(f)
+        self.vocabulary = 1 + max([*definition["model"]["vocab"].values(), *(t["id"] for t in definition.get("added_tokens", []))])
+        fast = WordBPE(definition, self.library) if WordBPE.fits(definition) else None
         self.fast = fast if fast is not None and fast.orderly else None
 
+    def library(self) -> Tokenizer:
+        if self._library is None:
+            os.environ["TOKENIZERS_PARALLELISM"] = "false"
+            self._library = Tokenizer.from_file(self.path)
+        return self._library
+
     def encode(self, column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
         """Flat ids, and how many each text has."""
         if self.fast is not None:
             return self.fast.encode(*text_bytes(column))
-        found = [e.ids for e in self.library.encode_batch_fast([t or "" for t in column.to_pylist()], add_special_tokens=False)]
+        found = [e.ids for e in self.library().encode_batch_fast([t or "" for t in column.to_pylist()], add_special_tokens=False)]
         return np.array([i for ids in found for i in ids], np.uint32), np.array([len(ids) for ids in found], np.int64)
 
 
-def load_encoder(path: str) -> tuple[ColumnEncoder, int]:
-    """An encoder and the vocabulary's size, from a tokenizer file."""
-    os.environ["TOKENIZERS_PARALLELISM"] = "false"
-    library = Tokenizer.from_file(path)
-    with open(path, encoding="utf-8") as f:
-        return ColumnEncoder(json.load(f), library), library.get_vocab_size()
-
-
 FILE_SCHEMA = "part int, block int, n_docs int, n_ids bigint, bits int, doc_ids array<bigint>, payload binary"
 
 
@@ -118,11 +119,12 @@ def write_ids(df: DataFrame, path: str, tokenizer: str, *, end_id: int = 1, bloc
     writes no block. Documents never span blocks, and files never span range partitions.
     """
 
+    @frugal
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         from pyspark import TaskContext
 
-        encoder, size = load_encoder(tokenizer)
-        bits, part, block = width(max(size, end_id + 1)), TaskContext.get().partitionId(), 0
+        encoder = ColumnEncoder(tokenizer)
+        bits, part, block = width(max(encoder.vocabulary, end_id + 1)), TaskContext.get().partitionId(), 0
         keys: list[int | None] = []
         lengths: list[int] = []
         held: list[np.ndarray] = []
@@ -179,6 +181,7 @@ READ_SCHEMA = "doc_id bigint, start bigint, n_tokens bigint, ids_crc32 bigint"
 def read_ids(spark: SparkSession, path: str) -> DataFrame:
     """A row for each document of packed files: where its ids begin, how many, and their crc32."""
 
+    @frugal
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for k in range(batch.num_rows):

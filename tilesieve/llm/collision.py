@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from tilesieve.llm.common import ship
+from tilesieve.llm.common import frugal, ship
 
 ship(__name__)
 
@@ -153,6 +153,7 @@ def nearest(df: DataFrame, *, k: int = 20, every: int = QUERY_EVERY, key: str =
     spread = vectors.withColumn("lane", F.explode(F.sequence(F.lit(0), F.lit(lanes - 1))))
     met = spread.join(asked.select(F.col("block").alias("lane"), F.col("ids").alias("q_ids"), F.col("data").alias("q_data")), "lane").select("ids", "data", "q_ids", "q_data").repartition(max(1, -(-n // BLOCK_VECTORS)) * lanes)
 
+    @frugal
     def search(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         a = projections(dim, seed)
         hits = int(np.ceil(threshold * a.shape[1]))

@@ -17,7 +17,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from tilesieve.llm.bytewords import mix
-from tilesieve.llm.common import ship, text_slices
+from tilesieve.llm.common import frugal, ship, text_slices
 
 ship(__name__)
 
@@ -207,6 +207,7 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, *, most: int = PASS_CHAR
     def one(part: list[tuple[int, str]]) -> DataFrame:
         sent = spark.sparkContext.broadcast(build_index(part))
 
+        @frugal
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             index = sent.value
             for batch in batches:
@@ -237,6 +238,7 @@ def drop_contaminated(docs: DataFrame, benchmark: DataFrame, *, most: int = PASS
     for part in _passes(benchmark, most):
         sent = spark.sparkContext.broadcast(build_index(part))
 
+        @frugal
         def run(batches: Iterator[pa.RecordBatch], sent=sent) -> Iterator[pa.RecordBatch]:
             for batch in batches:
                 for some in text_slices(batch, f"c{place}"):

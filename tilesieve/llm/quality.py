@@ -17,7 +17,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from tilesieve.llm.bytewords import Powers, runs, span_hashes, words
-from tilesieve.llm.common import held_out, labelled_sample, ship, text_bytes, text_slices
+from tilesieve.llm.common import frugal, held_out, labelled_sample, ship, text_bytes, text_slices
 
 ship(__name__)
 
@@ -166,6 +166,7 @@ def fit(x: np.ndarray, y: np.ndarray, *, bins: int = 32, coarse: int = 4, rounds
 def _feature_rows(df: DataFrame) -> DataFrame:
     """label and the feature vector of each row of (label, text)."""
 
+    @frugal
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         powers = Powers()
         for batch in batches:
@@ -203,6 +204,7 @@ def score_documents(docs: DataFrame, model: AdditiveModel, *, threshold: float =
     names = rows.columns[:-1]
     schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in rows.schema.fields[:-1]) + ", score double, predicted int"
 
+    @frugal
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         powers = Powers()
         for batch in batches:

@@ -16,7 +16,7 @@ from collections.abc import Iterator
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-from tilesieve.llm.common import ship, text_slices
+from tilesieve.llm.common import frugal, ship, text_slices
 
 ship(__name__)
 
@@ -121,6 +121,7 @@ def find_secrets(df: DataFrame, *, scope: int = SCOPE) -> DataFrame:
     kept as they are; an empty table gives no rows; other columns are left out.
     """
 
+    @frugal
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for part in text_slices(batch):

@@ -24,7 +24,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from tilesieve.llm.bytewords import Powers, mix, words
-from tilesieve.llm.common import held_out, labelled_sample, ship, stored, text_bytes, text_slices
+from tilesieve.llm.common import frugal, held_out, labelled_sample, ship, stored, text_bytes, text_slices
 
 ship(__name__)
 
@@ -164,6 +164,7 @@ def lexemes(text: str) -> set[str]:
 def _lexeme_counts(sample: DataFrame) -> DataFrame:
     """How many toxic and clean sample texts have each lexeme: counted by task, then summed."""
 
+    @frugal
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         counts: dict[int, Counter] = {0: Counter(), 1: Counter()}
 
@@ -194,6 +195,7 @@ def _ratio(a: float, b: float, n: float, m: float) -> float:
 def _marked(df: DataFrame) -> DataFrame:
     """Adds the least and the largest hash of a text's runs of four words: near copies share one or both."""
 
+    @frugal
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         powers = Powers()
         for batch in batches:
@@ -246,6 +248,7 @@ def fit_layer(x: np.ndarray, y: np.ndarray, ridge: float = 1.0, steps: int = 25)
 
 
 def _feature_rows(sample: DataFrame, weights: dict[str, float]) -> DataFrame:
+    @frugal
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         matcher = Matcher(weights)
         for batch in batches:
@@ -282,6 +285,7 @@ def score_documents(docs: DataFrame, model: ToxicityModel, *, threshold: float =
     sent = docs.sparkSession.sparkContext.broadcast(model)
     rows = docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), held_out(F.col("doc_id"), folds, fold).alias("held_out"), "text")
 
+    @frugal
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         matcher = Matcher(sent.value.weights)
         for batch in batches:

@@ -17,7 +17,7 @@ from tilesieve.llm.common import ship
 ship(__name__)
 
 #: Bytes of text hashed at once.
-HASHED = 2 << 20
+HASHED = 1 << 20
 NONE = np.int32(2**31 - 1)
 #: The split pattern of such definitions, and the white space that it drops.
 SPLIT = r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+"
@@ -35,6 +35,7 @@ def byte_symbols() -> list[str]:
 
 class WordBPE:
     def __init__(self, definition: dict, library):
+        """``library`` gives the library's tokenizer, for words that hold an added token."""
         self.library, self.powers = library, Powers()
         model = definition["model"]
         vocab, suffix = model["vocab"], model["end_of_word_suffix"]
@@ -182,7 +183,7 @@ class WordBPE:
         if odd:
             ids = np.split(flat, np.cumsum(out)[:-1])
             for k in odd:
-                ids[k] = np.array(self.library.encode(items[k].decode(), add_special_tokens=False).ids, np.uint32)
+                ids[k] = np.array(self.library().encode(items[k].decode(), add_special_tokens=False).ids, np.uint32)
             flat, out = np.concatenate(ids), np.array([len(x) for x in ids], np.int64)
         return flat, out
 
@@ -192,14 +193,17 @@ class WordBPE:
         while at < len(begins) - 1:  # hashes take eight bytes a byte: a few texts at a time
             to = max(at + 1, int(np.searchsorted(begins, begins[at] + HASHED, side="right")) - 1)
             a, b, owner, h = words(data[begins[at] : begins[to]], begins[at : to + 1] - begins[at], self.powers, fold_case=False)
-            found.append((a + begins[at], b + begins[at], owner + at, h))
+            found.append(((a + begins[at]).astype(np.int32), (b + begins[at]).astype(np.int32), (owner + at).astype(np.int32), h))
             at = to
-        starts, ends, owner, h = (np.concatenate(x) for x in zip(*found, strict=True)) if found else [np.zeros(0, np.int64)] * 4
-        order = np.argsort(h, kind="stable")
-        new = np.concatenate([[True], h[order][1:] != h[order][:-1]]) if len(h) else np.zeros(0, bool)
+        starts, ends, owner, h = (np.concatenate(x) for x in zip(*found, strict=True)) if found else [np.zeros(0, np.int32)] * 4
+        found.clear()
+        order = np.argsort(h, kind="stable").astype(np.int32)
+        h = h[order]
+        new = np.concatenate([[True], h[1:] != h[:-1]]) if len(h) else np.zeros(0, bool)
         first = order[new]
-        number = np.empty(len(h), np.int64)
-        number[order] = np.cumsum(new) - 1
+        number = np.empty(len(h), np.int32)
+        number[order] = np.cumsum(new, dtype=np.int32) - 1
+        del h, order, new
         if not len(first):
             return np.zeros(0, np.uint32), np.zeros(len(begins) - 1, np.int64)
         whole = data.tobytes()
@@ -213,4 +217,7 @@ def _gather(flat: np.ndarray, counts: np.ndarray, number: np.ndarray) -> tuple[n
     begin = np.cumsum(counts) - counts
     per = counts[number]
     shift = np.cumsum(per) - per
-    return flat[np.repeat(begin[number] - shift, per) + np.arange(int(per.sum()))], per
+    small = np.int32 if len(per) and int(shift[-1]) + int(per[-1]) < 2**31 - 1 else np.int64
+    at = np.repeat((begin[number] - shift).astype(small), per)
+    at += np.arange(len(at), dtype=small)
+    return flat[at], per
