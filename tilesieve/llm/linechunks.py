@@ -71,8 +71,8 @@ def dedup_chunks(docs: DataFrame, *, least_lines: int = LEAST_LINES, modulus: in
     own = F.slice("hs", F.col("line"), F.col("lines"))
     # all hashes equal to that of an empty line: dropped at once; other blank lines are seen with their texts
     meta = stored(spread.where(F.size(F.array_except(own, F.array(F.xxhash64(F.lit(""))))) > 0).select("owner", "line", "lines", F.xxhash64(own).alias("h1"), F.xxhash64(F.lit(7), own).alias("h2")), "chunks")
-    again = meta.groupBy("h1", "h2").agg(F.count("*").alias("n")).where("n > 1").select("h1", "h2")
-    marks = stored(meta.join(again, ["h1", "h2"]).groupBy("owner").agg(F.collect_set(F.struct("line", "lines", "h1", "h2")).alias("marks")), "marked")
+    again = stored(meta.groupBy("h1", "h2").agg(F.count("*").alias("n")).where("n > 1").select("h1", "h2"), "repeated")
+    marks = stored(meta.join(_few(again), ["h1", "h2"]).groupBy("owner").agg(F.collect_set(F.struct("line", "lines", "h1", "h2")).alias("marks")), "marked")
     lines = F.split("text", "\n", -1)
     body = F.array_join(F.slice(F.col("ls"), F.col("line"), F.col("lines")), "\n")
     held = rows.withColumn("owner", owner).join(_few(marks), "owner").select("doc_id", "owner", lines.alias("ls"), F.inline("marks"))
