@@ -20,11 +20,19 @@ SCHEMAS = {
     "embeddings": "vec_id bigint, embedding array<float>, label int",
 }
 
+TEXT_TABLES = ("documents", "pages", "conversations")
+
 
 def load_table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
-    """A given table; text tables are read with their schema, and only the columns used are read at all."""
+    """A given table; text tables are read with their schema, and only the columns used are read at all.
+
+    A text table in fewer parts than there are cores, such as one file of one row group, is dealt to
+    all of them: grams cost far more than the move. Large tables have parts enough and stay as they are.
+    """
     reader = spark.read.schema(SCHEMAS[name]) if name in SCHEMAS else spark.read
-    return reader.parquet(f"{sf_dir}/{name}.parquet")
+    table = reader.parquet(f"{sf_dir}/{name}.parquet")
+    cores = spark.sparkContext.defaultParallelism
+    return table.repartition(cores) if name in TEXT_TABLES and table.rdd.getNumPartitions() < cores else table
 
 
 def load_lines(spark: SparkSession, path: str, *, whole: bool = False) -> DataFrame:
