@@ -346,6 +346,26 @@ def test_chunks_against_replay(spark):
     assert linechunks.dedup_chunks(df.limit(0)).count() == 0
 
 
+def chunk_ends_of(spark, texts, **how):
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id bigint, text string")
+    out = {r["doc_id"]: r["e"] for r in df.select("doc_id", linechunks.chunk_ends(linechunks.line_hashes(F.col("text")), **how).alias("e")).collect()}
+    return [out[i] for i in range(len(texts))]
+
+
+@pytest.mark.parametrize("modulus", [3, 40])
+def test_chunk_ends_move_with_their_lines(spark, modulus):
+    """Lines put before a passage move its boundaries by as many; those by length count from the last one."""
+    rng = random.Random(6)
+    lines = [prose(rng, 4) for _ in range(400)] + ["again"] * 150 + [prose(rng, 4) for _ in range(50)]
+    shifts = [1, 5, 31]
+    base, *moved = chunk_ends_of(spark, ["\n".join([f"top {k}" for k in range(s)] + lines) for s in (0, *shifts)], modulus=modulus)
+    assert max(b - a for a, b in zip([0, *base], base, strict=False)) <= linechunks.MOST
+    for s, ends in zip(shifts, moved, strict=True):
+        back = [e - s for e in ends if e > s]
+        common = next(e for e in base if e in back and e > 2 and e % linechunks.MOST)
+        assert common < 200 and [e for e in base if e >= common] == [e for e in back if e >= common]
+
+
 def test_chunk_dedup_is_native(spark, docs):
     plan = linechunks.dedup_chunks(docs)._jdf.queryExecution().executedPlan().toString()
     assert "Python" not in plan and "Arrow" not in plan

@@ -32,12 +32,15 @@ def chunk_ends(hashes: Column, *, modulus: int = MODULUS, most: int = MOST) -> C
     """Positions (from 1) of the lines that close a chunk, given all lines' hashes; the last line always does.
 
     A boundary follows line i where the hash of lines i-1 and i meets the residue. Where there is
-    none for ``most`` lines, as within one line repeated, every position divisible by ``most`` closes.
+    none for more than ``most`` lines, as within one line repeated, every ``most`` lines counted from the
+    boundary before close a chunk; so no boundary depends on where in the document a passage stands.
     """
     pairs = F.zip_with(F.slice(hashes, F.lit(1), F.size(hashes) - 1), F.slice(hashes, F.lit(2), F.size(hashes) - 1), lambda a, b: F.pmod(F.xxhash64(a, b), F.lit(modulus)) == 0)
     meets = F.when(F.size(hashes) > 1, pairs).otherwise(F.array().cast("array<boolean>"))
-    picked = F.filter(F.transform(meets, lambda hit, i: F.when(hit | ((i + 2) % most == 0), i + 2)), lambda x: x.isNotNull())
-    return F.array_distinct(F.array_append(picked, F.size(hashes)))
+    met = F.filter(F.transform(meets, lambda hit, i: F.when(hit, i + 2)), lambda x: x.isNotNull())
+    ends = F.array_distinct(F.array_append(met, F.size(hashes)))
+    before = F.concat(F.array(F.lit(0)), F.slice(ends, F.lit(1), F.size(ends) - 1))
+    return F.flatten(F.zip_with(before, ends, lambda a, b: F.when(b - a > most, F.array_append(F.sequence(a + most, b - 1, F.lit(most)), b)).otherwise(F.array(b))))
 
 
 def chunks(hashes: Column, **how) -> Column:
