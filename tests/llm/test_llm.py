@@ -366,6 +366,53 @@ def test_chunk_ends_move_with_their_lines(spark, modulus):
         assert common < 200 and [e for e in base if e >= common] == [e for e in back if e >= common]
 
 
+def test_chunks_have_two_lines(spark):
+    rng = random.Random(7)
+    texts = ["\n".join(prose(rng, 4) for _ in range(rng.randint(2, 120))) for _ in range(40)]
+    for t, ends in zip(texts, chunk_ends_of(spark, texts), strict=True):
+        n = t.count("\n") + 1
+        sizes = [b - a for a, b in zip([0, *ends], ends, strict=False)]
+        assert sum(sizes) == n and all(k >= 2 for k in sizes[:-1])
+
+
+def test_repeated_stretches_go_whole(spark):
+    """Copies, and passages between other lines, lose every line; each line that is left has no earlier twin around it."""
+    rng = random.Random(11)
+    fresh = lambda n: [prose(rng, 4) + f" {rng.random()}" for _ in range(n)]
+    whole, passage = fresh(41), fresh(30)
+    docs = [whole, fresh(5) + passage + fresh(6), whole, whole, fresh(3) + passage + fresh(2), passage, fresh(9) + passage[4:] + fresh(1), fresh(4)]
+    df = spark.createDataFrame([(i, "\n".join(x)) for i, x in enumerate(docs)], "doc_id bigint, text string")
+    out = {r["doc_id"]: r for r in linechunks.dedup_chunks(clash(df), extend=True).collect()}
+    once, seen = {}, set()
+    for i, x in enumerate(docs):
+        once[i] = "\n".join(y for y in x if y not in seen)
+        seen |= set(x)
+    assert {i: r["text"] for i, r in out.items()} == once
+    assert all(r["removed_lines"] == len(docs[i]) - (len(once[i].split("\n")) if once[i] else 0) for i, r in out.items())
+
+
+def test_one_line_repeated_goes(spark):
+    df = spark.createDataFrame([(i, "\n".join(["top", *[f"line {i} again"] * n, "end"])) for i, n in enumerate(range(4, 30))], "doc_id bigint, text string")
+    out = linechunks.dedup_chunks(df, extend=True).collect()
+    assert all(r["text"].split("\n").count(f"line {r['doc_id']} again") <= 5 for r in out)
+
+
+def test_no_line_is_lost_by_extension(spark):
+    """Of few different lines, repeated at random, within a document too, every one stays somewhere."""
+    rng = random.Random(12)
+    some = [f"line {k}" for k in range(9)] + ["", " "]
+    docs = ["\n".join(rng.choice(some) for _ in range(rng.randint(1, 60))) for _ in range(60)] + ["x\n" * 200, "x\n" * 90]
+    df = spark.createDataFrame(list(enumerate(docs)), "doc_id bigint, text string")
+    out = {r["doc_id"]: r for r in linechunks.dedup_chunks(df, extend=True).collect()}
+    assert {x for r in out.values() for x in r["text"].split("\n")} == {x for t in docs for x in t.split("\n")}
+    for i, t in enumerate(docs):
+        was, kept = t.split("\n"), len(t.split("\n")) - out[i]["removed_lines"]
+        left = out[i]["text"].split("\n") if kept else []
+        at = iter(was)
+        assert len(left) == kept and all(x in at for x in left) and (kept or out[i]["text"] == "")
+    assert sum(r["removed_lines"] for r in out.values()) > 300
+
+
 def test_chunk_dedup_is_native(spark, docs):
     plan = linechunks.dedup_chunks(docs)._jdf.queryExecution().executedPlan().toString()
     assert "Python" not in plan and "Arrow" not in plan

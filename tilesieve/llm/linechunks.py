@@ -3,12 +3,13 @@
 Each line is hashed, and a rolling hash over the hashes of adjacent lines closes a chunk where it meets
 a fixed residue. Boundaries so depend on nearby lines alone: a line put in or taken out moves those next
 to it, and the rest fall where they did. A chunk of several lines that occurs again anywhere in the
-corpus, byte for byte, is removed from all places but the first.
+corpus, byte for byte, is removed from all places but the first; on request with the lines around it
+that are repeated too, since a repeated passage seldom begins and ends where chunks do.
 """
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from tilesieve.llm.common import stored
@@ -31,13 +32,17 @@ def line_hashes(text: Column) -> Column:
 def chunk_ends(hashes: Column, *, modulus: int = MODULUS, most: int = MOST) -> Column:
     """Positions (from 1) of the lines that close a chunk, given all lines' hashes; the last line always does.
 
-    A boundary follows line i where the hash of lines i-1 and i meets the residue. Where there is
-    none for more than ``most`` lines, as within one line repeated, every ``most`` lines counted from the
-    boundary before close a chunk; so no boundary depends on where in the document a passage stands.
+    A boundary may follow line i where the hash of lines i-1 and i meets the residue or both are equal; of
+    such positions side by side every other one is a boundary, so a chunk has two lines at least. Only what
+    a boundary by length or the last content boundary leaves before the next or the end may be one. Where
+    there is none for more than ``most`` lines, every ``most`` lines counted from the boundary before close
+    a chunk; so no boundary depends on where in the document a passage stands.
     """
-    pairs = F.zip_with(F.slice(hashes, F.lit(1), F.size(hashes) - 1), F.slice(hashes, F.lit(2), F.size(hashes) - 1), lambda a, b: F.pmod(F.xxhash64(a, b), F.lit(modulus)) == 0)
+    pairs = F.zip_with(F.slice(hashes, F.lit(1), F.size(hashes) - 1), F.slice(hashes, F.lit(2), F.size(hashes) - 1), lambda a, b: (F.pmod(F.xxhash64(a, b), F.lit(modulus)) == 0) | (a == b))
     meets = F.when(F.size(hashes) > 1, pairs).otherwise(F.array().cast("array<boolean>"))
-    met = F.filter(F.transform(meets, lambda hit, i: F.when(hit, i + 2)), lambda x: x.isNotNull())
+    misses = F.filter(F.transform(meets, lambda hit, i: F.when(~hit, i + 2)), lambda x: x.isNotNull())
+    low, high = F.concat(F.array(F.lit(1)), misses), F.array_append(misses, F.size(hashes) + 1)
+    met = F.flatten(F.zip_with(low, high, lambda a, b: F.when(b - a > 1, F.sequence(a + 1, b - 1, F.lit(2))).otherwise(F.array().cast("array<int>"))))
     ends = F.array_distinct(F.array_append(met, F.size(hashes)))
     before = F.concat(F.array(F.lit(0)), F.slice(ends, F.lit(1), F.size(ends) - 1))
     return F.flatten(F.zip_with(before, ends, lambda a, b: F.when(b - a > most, F.array_append(F.sequence(a + most, b - 1, F.lit(most)), b)).otherwise(F.array(b))))
@@ -55,7 +60,33 @@ def _few(table: DataFrame) -> DataFrame:
     return F.broadcast(table) if table.limit(BROADCAST_ROWS + 1).count() <= BROADCAST_ROWS else table
 
 
-def dedup_chunks(docs: DataFrame, *, least_lines: int = LEAST_LINES, modulus: int = MODULUS, most: int = MOST) -> DataFrame:
+def _around(own: Column, lines: Column, mark: Column) -> Column:
+    """What surrounds a chunk, line by line away from it: side, distance, hashes of the whole stretch, the line.
+
+    Beyond the next boundary equal lines are equal chunks, which are found for themselves; the boundary before needs
+    ROLL more lines, which its pairs see.
+    """
+    begin, end = mark["line"], mark["line"] + mark["lines"]
+
+    def step(side: int, k: Column) -> Column:
+        at = end + k - 1 if side > 0 else begin - k
+        stretch = F.slice(own, end, k) if side > 0 else F.slice(own, at, k)
+        return F.struct(F.lit(side).alias("side"), k.alias("k"), at.alias("at"), F.xxhash64(mark["h1"], stretch).alias("s1"), F.xxhash64(F.lit(7), mark["h2"], stretch).alias("s2"), F.get(lines, at - 1).alias("body"))
+
+    def steps(side: int, reach: Column) -> Column:
+        return F.transform(F.when(reach > 0, F.sequence(F.lit(1), reach)).otherwise(F.array().cast("array<int>")), lambda k: step(side, k))
+
+    return F.concat(steps(-1, F.least(mark["before"] + ROLL, begin - 1)), steps(1, mark["after"]))
+
+
+def _later(parts: DataFrame, keys: list[str]) -> DataFrame:
+    """Rows of equal keys but those at the first place: by id (null first), then line."""
+    place = F.struct(F.col("doc_id").isNotNull().alias("known"), "doc_id", "line", "owner")
+    first = parts.groupBy(*keys).agg(F.min(place).alias("first"))
+    return parts.join(first, keys).where(~place.eqNullSafe(F.col("first")))
+
+
+def dedup_chunks(docs: DataFrame, *, least_lines: int = LEAST_LINES, modulus: int = MODULUS, most: int = MOST, extend: bool = False) -> DataFrame:
     """Every document with its repeated chunks removed.
 
     Returns ``doc_id``, ``text`` (what is left; null stays null), ``n_removed`` (chunks) and
@@ -64,31 +95,46 @@ def dedup_chunks(docs: DataFrame, *, least_lines: int = LEAST_LINES, modulus: in
     is never removed. Empty texts are one empty line; an empty table gives no rows; other columns are
     left out, whatever their names.
 
+    ``extend`` removes with a chunk the lines on both sides that surround it at an earlier place too,
+    whichever that is for each line. A line so removed equals, as bytes, one that stands earlier by as
+    many lines as its chunk does; the lines between are compared by two hashes.
+
     Chunks are counted by hash, so no text moves; texts of chunks whose hashes repeat are then
     compared as bytes; what is lost goes back to the documents, by broadcast only if counted small.
     """
     rows = docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), F.col("text").alias("text"))
     owner = F.xxhash64("doc_id", "text").alias("owner")
-    cut = rows.where(F.col("text").contains("\n")).select(owner, line_hashes(F.col("text")).alias("hs"))
-    spread = cut.select("owner", "hs", F.inline(F.filter(chunks(F.col("hs"), modulus=modulus, most=most), lambda c: c["lines"] >= least_lines)))
+    cut = rows.where(F.col("text").contains("\n")).select(owner, line_hashes(F.col("text")).alias("hs")).withColumn("cs", chunks(F.col("hs"), modulus=modulus, most=most))
+    near = F.transform("cs", lambda c, i: F.struct(c["line"].alias("line"), c["lines"].alias("lines"), F.coalesce(F.get("cs", i - 1)["lines"], F.lit(0)).alias("before"), F.coalesce(F.get("cs", i + 1)["lines"], F.lit(0)).alias("after")))
+    spread = cut.select("owner", "hs", F.inline(F.filter(near, lambda c: c["lines"] >= least_lines)))
     own = F.slice("hs", F.col("line"), F.col("lines"))
     # all hashes equal to that of an empty line: dropped at once; other blank lines are seen with their texts
-    meta = stored(spread.where(F.size(F.array_except(own, F.array(F.xxhash64(F.lit(""))))) > 0).select("owner", "line", "lines", F.xxhash64(own).alias("h1"), F.xxhash64(F.lit(7), own).alias("h2")), "chunks")
+    meta = stored(spread.where(F.size(F.array_except(own, F.array(F.xxhash64(F.lit(""))))) > 0).select("owner", "line", "lines", "before", "after", F.xxhash64(own).alias("h1"), F.xxhash64(F.lit(7), own).alias("h2")), "chunks")
     again = stored(meta.groupBy("h1", "h2").agg(F.count("*").alias("n")).where("n > 1").select("h1", "h2"), "repeated")
-    marks = stored(meta.join(_few(again), ["h1", "h2"]).groupBy("owner").agg(F.collect_set(F.struct("line", "lines", "h1", "h2")).alias("marks")), "marked")
+    marks = stored(meta.join(_few(again), ["h1", "h2"]).groupBy("owner").agg(F.collect_set(F.struct("line", "lines", "before", "after", "h1", "h2")).alias("marks")), "marked")
     lines = F.split("text", "\n", -1)
-    body = F.array_join(F.slice(F.col("ls"), F.col("line"), F.col("lines")), "\n")
-    held = rows.withColumn("owner", owner).join(_few(marks), "owner").select("doc_id", "owner", lines.alias("ls"), F.inline("marks"))
-    doubled = stored(held.select("doc_id", "owner", "line", "lines", "h1", "h2", body.alias("body")).where(F.col("body").rlike(r"[^\s]")), "doubled")
-    place = F.struct(F.col("doc_id").isNotNull().alias("known"), "doc_id", "line", "owner")
-    first = doubled.groupBy("h1", "h2", "body").agg(F.min(place).alias("first"))
-    later = doubled.join(first, ["h1", "h2", "body"]).where(~place.eqNullSafe(F.col("first")))
-    lost = stored(later.select("owner", "line", "lines").distinct().groupBy("owner").agg(F.collect_list(F.struct("line", "lines")).alias("gone")), "lost")
-    joined = rows.withColumn("owner", owner).join(_few(lost), "owner", "left")
-    left = F.filter(lines, lambda x, i: ~F.exists("gone", lambda g: (i + 1 >= g["line"]) & (i + 1 < g["line"] + g["lines"])))
+    held = rows.withColumn("owner", owner).join(_few(marks), "owner").withColumn("ls", lines)
+    bodies = F.transform("marks", lambda m: F.struct(*[m[c].alias(c) for c in ("line", "lines", "h1", "h2")], F.array_join(F.slice(F.col("ls"), m["line"], m["lines"]), "\n").alias("body")))
+    doubled = stored(held.select("doc_id", "owner", F.inline(F.filter(bodies, lambda b: b["body"].rlike(r"[^\s]")))), "doubled")
+    lost = stored(_later(doubled, ["h1", "h2", "body"]).select("owner", "line", "lines").distinct(), "lost")
+    gone = lost.select("owner", "line", (F.col("line") + F.col("lines")).alias("end"), F.lit(1).alias("chunk"))
+    if extend:
+        beside = F.flatten(F.transform(F.filter("marks", lambda m: F.array_join(F.slice(F.col("ls"), m["line"], m["lines"]), "\n").rlike(r"[^\s]")), lambda m: F.transform(_around(F.col("hs"), F.col("ls"), m), lambda x: F.struct(m["line"].alias("line"), *[x[c].alias(c) for c in ("side", "at", "s1", "s2", "body")]))))
+        around = stored(held.withColumn("hs", line_hashes(F.col("text"))).select("doc_id", "owner", F.inline(beside)), "around")
+        more = _later(around, ["side", "s1", "s2", "body"]).select("owner", F.col("at").alias("line"), (F.col("at") + 1).alias("end"), F.lit(0).alias("chunk")).distinct()
+        gone = gone.unionByName(more)
+    # stretches that touch or overlap are one; what is left lies between them
+    order = Window.partitionBy("owner").orderBy("line", "end")
+    begun = gone.withColumn("apart", F.coalesce(F.col("line") > F.max("end").over(order.rowsBetween(Window.unboundedPreceding, -1)), F.lit(True)))
+    whole = begun.withColumn("stretch", F.sum(F.col("apart").cast("int")).over(order.rowsBetween(Window.unboundedPreceding, 0))).groupBy("owner", "stretch").agg(F.min("line").alias("line"), F.max("end").alias("end"), F.sum("chunk").alias("chunk"))
+    taken = stored(whole.groupBy("owner").agg(F.array_sort(F.collect_list(F.struct("line", "end"))).alias("gone"), F.sum("chunk").alias("n_removed"), F.sum(F.col("end") - F.col("line")).alias("removed_lines")), "taken")
+    joined = rows.withColumn("owner", owner).join(_few(taken), "owner", "left")
+    starts = F.concat(F.array(F.lit(1)), F.col("gone.end"))
+    stops = F.array_append(F.col("gone.line"), F.size(lines) + 1)
+    left = F.flatten(F.zip_with(starts, stops, lambda a, b: F.slice(lines, a, b - a)))
     return joined.select(
         "doc_id",
         F.when(F.col("gone").isNull(), F.col("text")).otherwise(F.array_join(left, "\n")).alias("text"),
-        F.coalesce(F.size("gone"), F.lit(0)).cast("bigint").alias("n_removed"),
-        F.coalesce(F.aggregate("gone", F.lit(0), lambda s, g: s + g["lines"]), F.lit(0)).cast("bigint").alias("removed_lines"),
+        F.coalesce("n_removed", F.lit(0)).cast("bigint").alias("n_removed"),
+        F.coalesce("removed_lines", F.lit(0)).cast("bigint").alias("removed_lines"),
     )

@@ -52,7 +52,7 @@ def op5_curriculum(spark: SparkSession, sf_dir: str) -> DataFrame:
 def op6_line_chunks(spark: SparkSession, sf_dir: str) -> DataFrame:
     from tilesieve.llm.linechunks import dedup_chunks
 
-    return dedup_chunks(table(spark, sf_dir, "documents"))
+    return dedup_chunks(table(spark, sf_dir, "documents"), extend=True)
 
 
 def op7_packed_ids(spark: SparkSession, sf_dir: str) -> DataFrame:
