@@ -13,6 +13,10 @@ from tilesieve.llm.bitpack import packed_documents
 from tilesieve.llm.common import stored
 from tilesieve.llm.registry import table, word_tokenizer
 
+#: Near duplicates of the corpus share 0.8 of their five-word shingles; four words and 0.85 are the query's alone.
+NEAR_WORDS = 5
+NEAR_PERCENT = 80
+
 
 def keep_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the quality model accepts; it learns from those labelled outside the held-out fold."""
@@ -20,8 +24,8 @@ def keep_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame
 
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each component of the Jaccard join."""
-    return jaccard.keep_one(docs)
+    """One document of each component of the Jaccard join, at this stage's own width and similarity."""
+    return jaccard.keep_one(docs, n=NEAR_WORDS, percent=NEAR_PERCENT)
 
 
 def drop_benchmark(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

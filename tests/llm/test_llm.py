@@ -534,3 +534,20 @@ def test_pipeline_stages(spark, sf):
     assert set(ids["decontamination"]) == clean
     assert set(ids["mixing"]) <= set(ids["decontamination"]) and max(Counter(ids["mixing"]).values()) <= 3
     assert sorted(ids["token_ids"]) == sorted(ids["mixing"])
+
+
+def test_pipeline_near_duplicates_at_five_words(spark):
+    import corpus_pipeline as p
+
+    rng = random.Random(21)
+    texts = []
+    for k in range(30):
+        words = [f"{rng.choice(FILL)}{rng.randint(0, 10**6)}" for _ in range(rng.randint(38, 60))]
+        texts.append(" ".join(words))
+        for at in rng.sample(range(5, len(words) - 5), 1 + k % 2):
+            words[at] = "changed"
+        texts.append(" ".join(words))
+    rows = [(i, t, "en", "s", None) for i, t in enumerate(texts)]
+    want, narrow = (sorted(set(true_components(sets_of(rows, n), percent).values())) for n, percent in ((5, 80), (4, 85)))
+    out = p.drop_near_duplicates(spark, spark.createDataFrame(rows, SCHEMA), "")
+    assert sorted(r["doc_id"] for r in out.collect()) == want != narrow
