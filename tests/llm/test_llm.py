@@ -219,6 +219,15 @@ def test_jaccard_odd_tables(spark):
     assert jaccard.needed(20) == 10 and jaccard.light_boundary({}, 8.0) == 0
 
 
+def test_keep_one_of_repeated_rows_and_null_ids(spark):
+    rows = [(1, "a b c d e"), (1, "a b c d e"), (2, "A b c d e"), (None, "a b c d e"), (None, "p q r s t"), (None, "P q r s t"), (None, None), (None, ""), (3, "x y z"), (4, None), (4, None), (5, "f g h i j k")]
+    df = spark.createDataFrame(rows, "doc_id bigint, text string")
+    got = sorted((str(r["doc_id"]), (r["text"] or "").lower()) for r in jaccard.keep_one(df.repartition(3)).collect())
+    assert got == sorted([("1", "a b c d e"), ("None", "p q r s t"), ("None", ""), ("None", ""), ("3", "x y z"), ("4", ""), ("5", "f g h i j k")])
+    wide = jaccard.keep_one(clash(spark.createDataFrame([(i, t, "en", "s", 1) for i, t in rows], SCHEMA)))
+    assert wide.count() == len(got) and wide.columns[-1] == "component_id"
+
+
 @pytest.mark.parametrize("seed", [1, 2])
 def test_components(spark, seed):
     rng = random.Random(seed)

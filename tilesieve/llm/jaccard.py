@@ -21,7 +21,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from tilesieve.llm.bytewords import Powers, mix, words
@@ -116,6 +116,10 @@ def frequency_sketch(docs: DataFrame, n: int = WORDS) -> np.ndarray:
     return out
 
 
+def _digest(shingles: np.ndarray) -> bytes | None:
+    return hashlib.blake2b(shingles.tobytes(), digest_size=16).digest() if len(shingles) else None
+
+
 def _signatures(docs: DataFrame, sketch: np.ndarray, percent: int, n: int) -> DataFrame:
     """doc_id, size, a digest of the whole set, the rarest shingles in order, and small sets whole."""
     sent = docs.sparkSession.sparkContext.broadcast(np.minimum(sketch, 2**31 - 1).astype(np.int32))
@@ -131,7 +135,7 @@ def _signatures(docs: DataFrame, sketch: np.ndarray, percent: int, n: int) -> Da
                 edge = np.concatenate([[0], np.cumsum(counts)]).tolist()
                 for a, b in itertools.pairwise(edge):
                     s = sets[a:b]
-                    digests.append(hashlib.blake2b(s.tobytes(), digest_size=16).digest() if b > a else None)
+                    digests.append(_digest(s))
                     keep = b - a - -(-percent * (b - a) // 100) + 1 if b > a else 0
                     prefix.append(s[np.lexsort((s, rank[a:b]))[:keep]].view(np.int64))
                     small.append(s.view(np.int64) if 0 < b - a <= MOST_LIGHT else None)
@@ -252,15 +256,8 @@ def _rooted(postings: DataFrame, edges: DataFrame | None) -> DataFrame:
     return postings.join(roots.withColumnRenamed("id", "rep"), "rep", "left").withColumn("root", F.coalesce("root", "rep"))
 
 
-def near_duplicate_classes(docs: DataFrame, *, percent: int = PERCENT, n: int = WORDS) -> DataFrame:
-    """``doc_id``, ``n_shingles`` and ``component_id`` of every document.
-
-    A set holds the distinct shingles of ``n`` words of the whole text, A-Z in lower case; fewer words
-    are one shingle; null and empty texts have none and link with nothing. Two documents link when
-    percent * union <= 100 * intersection; a component is what links reach, named by its smallest id.
-    Rows that repeat an id and text share a class; null ids are kept, with component null; ids are
-    taken to name one text each otherwise. An empty table gives no rows; other columns are left out.
-    """
+def _digested_classes(docs: DataFrame, percent: int, n: int) -> DataFrame:
+    """``near_duplicate_classes`` with the digest of each set, null where it is empty."""
     docs = docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), "text")
     sketch = frequency_sketch(docs, n)
     signed = stored(_signatures(docs, sketch, percent, n), "signatures")
@@ -324,11 +321,67 @@ def near_duplicate_classes(docs: DataFrame, *, percent: int = PERCENT, n: int =
     named = stored(named, "named")
     for table in (postings, rooted, split):
         discard(table)
-    return signed.select("doc_id", "n", "digest").join(named, "digest", "left").select("doc_id", F.col("n").alias("n_shingles"), F.when(F.col("doc_id").isNotNull(), F.coalesce("root", "doc_id")).alias("component_id"))
+    return signed.select("doc_id", "n", "digest").join(named, "digest", "left").select("doc_id", F.col("n").alias("n_shingles"), "digest", F.when(F.col("doc_id").isNotNull(), F.coalesce("root", "doc_id")).alias("component_id"))
+
+
+def near_duplicate_classes(docs: DataFrame, *, percent: int = PERCENT, n: int = WORDS) -> DataFrame:
+    """``doc_id``, ``n_shingles`` and ``component_id`` of every document.
+
+    A set holds the distinct shingles of ``n`` words of the whole text, A-Z in lower case; fewer words
+    are one shingle; null and empty texts have none and link with nothing. Two documents link when
+    percent * union <= 100 * intersection; a component is what links reach, named by its smallest id.
+    Rows that repeat an id and text share a class; null ids are kept, with component null; ids are
+    taken to name one text each otherwise. An empty table gives no rows; other columns are left out.
+    """
+    return _digested_classes(docs, percent, n).drop("digest")
 
 
-def keep_one(docs: DataFrame, **how) -> DataFrame:
-    """One document of each component, that of the smallest id, with all columns; null ids all stay."""
-    found = stored(near_duplicate_classes(docs, **how).where("doc_id != component_id").select("doc_id").distinct(), "repeated")
-    few = found.limit(BROADCAST_IDS + 1).count() <= BROADCAST_IDS
-    return docs.join(F.broadcast(found) if few else found, "doc_id", "left_anti").select(*docs.columns)
+def _digests(docs: DataFrame, n: int) -> DataFrame:
+    """``docs`` with a last column ``_digest``: that of the row's whole set, null where it is empty."""
+    schema = docs.withColumn("_digest", F.lit(None).cast("binary")).schema
+    at = docs.columns.index("text")
+
+    @frugal
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        powers = Powers()
+        for batch in batches:
+            for part in text_slices(batch):
+                sets, counts = shingle_sets(*text_bytes(part.column(at)), powers, n)
+                edge = np.concatenate([[0], np.cumsum(counts)]).tolist()
+                yield pa.RecordBatch.from_arrays([*part.columns, pa.array([_digest(sets[a:b]) for a, b in itertools.pairwise(edge)], pa.binary())], names=[*part.schema.names, "_digest"])
+
+    return docs.mapInArrow(run, schema)
+
+
+def _one_of_repeated(odd: DataFrame, classes: DataFrame, n: int) -> DataFrame:
+    """Of rows that repeat an id and a set, one; of those without an id, one of each set that no known id has.
+
+    Sets without shingles link with nothing, so rows with neither id nor shingles all stay.
+    """
+    digested = _digests(odd, n)
+    known = classes.where("doc_id is not null and digest is not null").select(F.col("digest").alias("_digest"), F.lit(False).alias("_new")).distinct()
+    new = digested.join(known, "_digest", "left").where(F.col("doc_id").isNotNull() | F.col("_new").isNull())
+    turn = F.row_number().over(Window.partitionBy("doc_id", "_digest").orderBy(F.xxhash64(*odd.columns)))
+    lone = F.col("doc_id").isNull() & F.col("_digest").isNull()
+    return new.where(lone).select(*odd.columns).unionByName(new.where(~lone).withColumn("_turn", turn).where("_turn = 1").select(*odd.columns))
+
+
+def keep_one(docs: DataFrame, *, percent: int = PERCENT, n: int = WORDS) -> DataFrame:
+    """One document of each component, that of the smallest id, with all columns.
+
+    Of rows that repeat that id and set one stays. Rows without an id are a copy of what has the same set,
+    and of each such set one stays, a row with an id first; near copies of them are not looked for.
+    """
+    classes = stored(_digested_classes(docs, percent, n).select("doc_id", "digest", "component_id"), "digested")
+    found = stored(classes.where("doc_id != component_id").select("doc_id").distinct(), "repeated")
+
+    def few(ids: DataFrame) -> DataFrame:
+        return F.broadcast(ids) if ids.limit(BROADCAST_IDS + 1).count() <= BROADCAST_IDS else ids
+
+    kept = docs.join(few(found), "doc_id", "left_anti").select(*docs.columns)
+    twice = stored(classes.where("doc_id = component_id").groupBy("doc_id").count().where("count > 1").select("doc_id"), "twice")
+    if not (twice.head(1) or classes.where("doc_id is null").head(1)):
+        return kept
+    ids = few(twice)
+    odd = kept.where("doc_id is null").unionByName(kept.join(ids, "doc_id", "left_semi").select(*docs.columns))
+    return kept.where("doc_id is not null").join(ids, "doc_id", "left_anti").select(*docs.columns).unionByName(_one_of_repeated(odd, classes, n))
