@@ -276,6 +276,13 @@ def test_weak_parts_need_company():
     assert secrets.scan(f"user=alice\n\n{opaque}")[1] == []
 
 
+def test_nested_spans_hide_no_part():
+    long = "token=" + "f" * 30 + "Zq" * 300
+    assert {k for *_, k in secrets.scan(f"{long} user=alice")[1]} >= {"assign", "hex", "identity"}
+    base = [(0, 100, "assign"), *[(10 + 5 * k, 12 + 5 * k, "hex") for k in range(5)]]
+    assert secrets.linked_parts("x" * 200, base, [(50, 90, "opaque"), (110, 120, "identity")]) == [(110, 120, "identity")]
+
+
 # -- 5 curriculum ------------------------------------------------------------------------------
 
 

@@ -9,6 +9,7 @@ from __future__ import annotations
 
 import bisect
 import hashlib
+import itertools
 import math
 import re
 from collections.abc import Iterator
@@ -78,10 +79,11 @@ def linked_parts(text: str, base: list[Span], weak: list[Span], scope: int = SCO
         return []
     taken = sorted((a, b) for a, b, _ in base)
     begins = [a for a, _ in taken]
+    reach = list(itertools.accumulate((b for _, b in taken), max))
 
     def covered(a: int, b: int) -> bool:
         i = bisect.bisect_right(begins, b - 1)
-        return any(x < b and a < y for x, y in taken[max(0, i - 3) : i])
+        return i > 0 and reach[i - 1] > a
 
     parts = sorted(base + [s for s in weak if not (s[2] == "opaque" and covered(s[0], s[1]))])
     breaks = [m.start() for m in BREAK.finditer(text)]
@@ -94,7 +96,9 @@ def linked_parts(text: str, base: list[Span], weak: list[Span], scope: int = SCO
             for other in ("identity", "endpoint") if role == "secret" else ("secret",):
                 if (o := last.get(other)) and max(a, o[0]) - min(b, o[1]) <= scope and bisect.bisect_right(breaks, min(a, o[0])) == bisect.bisect_right(breaks, max(a, o[0])):
                     near[i] = True
-            last[role] = parts[i]
+            # forwards the part that ends last is nearest to what follows; backwards each part starts before those seen
+            if order.step < 0 or role not in last or b > last[role][1]:
+                last[role] = parts[i]
     return [s for s, hit in zip(parts, near, strict=True) if hit and s[2] in LINKED_KINDS]
 
 
