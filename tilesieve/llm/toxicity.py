@@ -1,6 +1,6 @@
 """Toxicity by a weighted finite-state pattern grammar.
 
-Tokens fall into classes (insult, target, threat, intent, negation, report, quote, break). Four small
+Tokens fall into classes (insult, target, threat, intent, negation, report, quote, break, line). Four small
 transducers over classes are composed into one that reads a clause once and gives, for each insult or
 threat, the way it is said: plain, aimed at someone, negated or reported. A document's features are
 weighted counts of such matched clauses, never of isolated words alone; a logistic layer joins them.
@@ -32,8 +32,9 @@ FOLDS, FOLD = 3, 1
 THRESHOLD = 0.7
 #: Most labelled rows of each class that a fit reads.
 SAMPLE_ROWS = 4_000
-#: Most learnt lexemes; stems have these lengths and end in ``*``.
-LEXEMES = 5_000
+#: Most learnt lexemes, and most candidates (those in most toxic texts) that the driver ranks; stems have these
+#: lengths and end in ``*``. Bounds of the model, as ``SAMPLE_ROWS`` is: no text or row is left out by them.
+LEXEMES, CANDIDATES = 5_000, 100_000
 STEMS = (4, 5, 6, 7)
 LEAST_SUPPORT, LEAST_ODDS, LEAST_RATIO = 4, 3.0, 24.0
 
@@ -46,53 +47,77 @@ NEGATIONS = "not no never isn't aren't wasn't don't doesn't didn't won't nobody
 REPORTS = "said says say wrote writes called calls claimed according quoted quote tweeted sagte schrieb laut nannte dit écrit selon appelé dijo escribió según llamó".split()
 
 TOKEN = re.compile(r"[^\W\d_]+(?:'[^\W\d_]+)?|[.!?;:\n\"«»“”]")
-CLASSES = {**dict.fromkeys(TARGETS, "T"), **dict.fromkeys(THREATS, "V"), **dict.fromkeys(INTENTS, "M"), **dict.fromkeys(NEGATIONS, "N"), **dict.fromkeys(REPORTS, "R"), **dict.fromkeys(".!?;:\n", "B"), **dict.fromkeys('"«»“”', "Q")}
+CLASSES = {**dict.fromkeys(TARGETS, "T"), **dict.fromkeys(THREATS, "V"), **dict.fromkeys(INTENTS, "M"), **dict.fromkeys(NEGATIONS, "N"), **dict.fromkeys(REPORTS, "R"), **dict.fromkeys(".!?;:", "B"), "\n": "L", **dict.fromkeys('"«»“”', "Q")}
 FEATURES = ("plain", "aimed", "negated", "reported", "threat", "spread", "strongest", "density")
 #: What the features weigh before any label is seen; fits are drawn towards it.
 PRIOR = np.array([0.9, 1.2, 0.2, 0.2, 2.0, 0.5, 0.5, 0.0])
 PRIOR_BIAS = -3.0
+#: How firmly the bias is held to its prior.
+BIAS_RIDGE = 0.1
 
 
 class Transducer:
-    """A deterministic transducer over token classes; unlisted arcs keep the state and copy the class."""
+    """A deterministic weighted transducer over token classes.
 
-    def __init__(self, arcs: dict[tuple[int, str], tuple[int, str]], decay: dict[int, int] | None = None):
+    An arc leads from (state, class) to (state, output, weight); a state without an arc for a class decays
+    and copies it at weight 1.
+    """
+
+    def __init__(self, arcs: dict[tuple[int, str], tuple[int, str, float]], decay: dict[int, int] | None = None):
         self.arcs, self.decay = arcs, decay or {}
 
-    def step(self, state: int, symbol: str) -> tuple[int, str]:
+    def step(self, state: int, symbol: str) -> tuple[int, str, float]:
         if (hit := self.arcs.get((state, symbol[0]))) is not None:
-            return hit[0], hit[1] + symbol[1:] if hit[1] else symbol
-        return self.decay.get(state, state), symbol
+            return hit[0], hit[1] + symbol[1:] if hit[1] else symbol, hit[2]
+        return self.decay.get(state, state), symbol, 1.0
+
+
+def _resets(states: range, to: int = 0, classes: str = "BL") -> dict[tuple[int, str], tuple[int, str, float]]:
+    """Arcs that end a clause: every state returns to the beginning."""
+    return {(s, c): (to, "", 1.0) for s in states for c in classes}
 
 
 def _grammar() -> list[Transducer]:
-    reach = 3
+    """Threat, negation, report and aim, in the order of the cascade; nearer partners weigh more."""
+    near, intent, aimed, quoted = 3, 5, 6, 40
+    # a threat is an intent, then a violent verb, within a few tokens
+    threat = Transducer(
+        _resets(range(intent + 1)) | {(s, "M"): (intent, "", 1.0) for s in range(intent + 1)} | {(s, "V"): (0, "H", 1.25 + 0.05 * s) for s in range(1, intent + 1)},
+        {s: s - 1 for s in range(1, intent + 1)},
+    )
     negation = Transducer(
-        {(s, "N"): (reach, "") for s in range(reach + 1)} | {(s, c): (s - 1, c + "n") for s in range(1, reach + 1) for c in "IH"} | {(s, "B"): (0, "") for s in range(reach + 1)},
-        {s: s - 1 for s in range(1, reach + 1)},
+        _resets(range(near + 1)) | {(s, "N"): (near, "", 1.0) for s in range(near + 1)} | {(s, c): (s - 1, c + "n", 1.0) for s in range(1, near + 1) for c in "IH"},
+        {s: s - 1 for s in range(1, near + 1)},
+    )
+    # 1: after a reporting word; 2 and more: inside its quotation, which ends at a quote mark, a line or QUOTED tokens
+    inside = range(2, 2 + quoted)
+    report = Transducer(
+        _resets(range(2)) | _resets(inside, classes="L") | {(0, "R"): (1, "", 1.0), (1, "Q"): (inside[-1], "", 1.0)} | {(s, "Q"): (0, "", 1.0) for s in inside}
+        | {(1, c): (1, c + "r", 1.0) for c in "IH"} | {(s, c): (s - 1 if s > 2 else 0, c + "r", 1.0) for s in inside for c in "IH"},
+        {s: s - 1 if s > 2 else 0 for s in inside},
+    )
+    # insults and threats said to or of someone a few tokens before
+    aim = Transducer(
+        _resets(range(aimed + 1)) | {(s, "T"): (aimed, "", 1.0) for s in range(aimed + 1)} | {(s, c): (s, c + "t", 1.0 + 0.05 * s) for s in range(1, aimed + 1) for c in "IH"},
+        {s: s - 1 for s in range(1, aimed + 1)},
     )
-    # 1: after a reporting word, 2: inside its quotation
-    report = Transducer({(0, "R"): (1, ""), (1, "Q"): (2, ""), (2, "Q"): (0, ""), (1, "B"): (0, ""), **{(s, c): (s, c + "r") for s in (1, 2) for c in "IH"}})
-    # a threat is an intent, then a violent verb, within five tokens
-    threat = Transducer({(s, "M"): (5, "") for s in range(6)} | {(s, "V"): (0, "H") for s in range(1, 6)} | {(s, "B"): (0, "") for s in range(6)}, {s: s - 1 for s in range(1, 6)})
-    # insults and threats said to or of someone within six tokens
-    aim = Transducer({(s, "T"): (6, "") for s in range(7)} | {(s, c): (s, c + "t") for s in range(1, 7) for c in "IH"} | {(s, "B"): (0, "") for s in range(7)}, {s: s - 1 for s in range(1, 7)})
     return [threat, negation, report, aim]
 
 
 class Composed:
-    """The composition of a cascade: product states, built as they are met."""
+    """The composition of a cascade: product states, built as they are met; weights along an arc multiply."""
 
     def __init__(self, cascade: list[Transducer]):
         self.cascade, self.known, self.start = cascade, {}, (0,) * len(cascade)
 
-    def step(self, state: tuple, symbol: str) -> tuple[tuple, str]:
+    def step(self, state: tuple, symbol: str) -> tuple[tuple, str, float]:
         if (hit := self.known.get((state, symbol))) is None:
-            out, states = symbol, []
+            out, states, weight = symbol, [], 1.0
             for t, s in zip(self.cascade, state, strict=True):
-                s, out = t.step(s, out)
+                s, out, w = t.step(s, out)
                 states.append(s)
-            hit = self.known[state, symbol] = tuple(states), out
+                weight *= w
+            hit = self.known[state, symbol] = tuple(states), out, weight
         return hit
 
 
@@ -128,9 +153,9 @@ class Matcher:
         state = self.machine.start
         for w in tokens:
             symbol, weight = self.classify(w)
-            state, out = self.machine.step(state, symbol)
+            state, out, arc = self.machine.step(state, symbol)
             if out[0] in "IH":
-                yield out, weight if out[0] == "I" else 1.5, w
+                yield out, arc * (weight if out[0] == "I" else 1.0), w
 
     def features(self, text: str | None) -> list[float]:
         plain = aimed = negated = reported = threat = strongest = 0.0
@@ -216,13 +241,13 @@ def _marked(df: DataFrame) -> DataFrame:
 
 
 def learn_lexicon(sample: DataFrame, toxic: int, clean: int) -> dict[str, float]:
-    """Weights of insults: seeds, and lexemes whose odds and likelihood ratio pass, strongest first."""
+    """Weights of insults: seeds, and the LEXEMES strongest of the CANDIDATES most frequent whose odds and likelihood ratio pass."""
     weights = dict.fromkeys(SEEDS, 1.5)
     if not toxic or not clean:
         return weights
     odds = F.log((F.col("toxic") + 0.5) / (toxic + 1)) - F.log((F.col("clean") + 0.5) / (clean + 1))
     passed = _lexeme_counts(sample).where(F.col("toxic") >= LEAST_SUPPORT).withColumn("odds", odds).where(F.col("odds") >= LEAST_ODDS)
-    found = passed.orderBy(F.desc("toxic"), "clean", "lexeme").limit(20 * LEXEMES).collect()
+    found = passed.orderBy(F.desc("toxic"), "clean", "lexeme").limit(CANDIDATES).collect()
     support = {r["lexeme"]: r["toxic"] for r in found}
     # a stem gives way to a longer one that nearly all of its texts share
     longer = {k[:n] + "*" for k in support if k.endswith("*") for n in STEMS if n < len(k) - 1 and support[k] >= 0.8 * support.get(k[:n] + "*", math.inf)}
@@ -231,20 +256,36 @@ def learn_lexicon(sample: DataFrame, toxic: int, clean: int) -> dict[str, float]
     return weights | {k: min(odds, 8.0) for k, odds, _ in best}
 
 
-def fit_layer(x: np.ndarray, y: np.ndarray, ridge: float = 1.0, steps: int = 25) -> np.ndarray:
-    """Logistic layer by Newton steps, drawn towards the prior weights; classes count alike."""
+def fit_layer(x: np.ndarray, y: np.ndarray, ridge: float = 1.0, steps: int = 200) -> np.ndarray:
+    """Logistic layer drawn towards the prior weights; classes count alike.
+
+    The penalised loss is strictly convex; each Newton step is halved until the loss falls enough, so the
+    fit ends at its one minimum. A fit that hasn't got there in ``steps`` raises.
+    """
     a = np.hstack([np.ones((len(x), 1)), x])
     prior = np.concatenate([[PRIOR_BIAS], PRIOR])
     if len(np.unique(y)) < 2:
         return prior
-    w = np.where(y > 0, 0.5 / max(y.sum(), 1), 0.5 / max((1 - y).sum(), 1)) * len(y)
-    beta, pull = prior.copy(), np.diag([1e-3, *[ridge] * x.shape[1]])
+    w = np.where(y > 0, 0.5 / y.sum(), 0.5 / (1 - y).sum()) * len(y)
+    pull = np.array([BIAS_RIDGE, *[ridge] * x.shape[1]])
+
+    def loss(beta: np.ndarray) -> float:
+        return float(w @ np.logaddexp(0.0, np.where(y > 0, -1.0, 1.0) * (a @ beta)) + 0.5 * pull @ (beta - prior) ** 2)
+
+    beta, now = prior.copy(), loss(prior)
     for _ in range(steps):
-        p = 1 / (1 + np.exp(-np.clip(a @ beta, -30, 30)))
-        g = a.T @ (w * (y - p)) - pull @ (beta - prior)
-        step = np.linalg.solve((a * (w * p * (1 - p))[:, None]).T @ a + pull, g)
-        beta = beta + step * min(1.0, 5.0 / (np.abs(step).max() + 1e-12))
-    return beta
+        p = 1 / (1 + np.exp(-np.clip(a @ beta, -500, 500)))
+        g = a.T @ (w * (p - y)) + pull * (beta - prior)
+        if np.abs(g).max() <= 1e-6 * len(y):
+            return beta
+        step = -np.linalg.solve((a * (w * p * (1 - p))[:, None]).T @ a + np.diag(pull), g)
+        t = 1.0
+        while t > 1e-12 and not (after := loss(beta + t * step)) <= now + 1e-4 * t * (g @ step):
+            t /= 2
+        if t <= 1e-12:  # no step of any size gains: the minimum, as far as doubles tell
+            return beta
+        beta, now = beta + t * step, after
+    raise RuntimeError("the toxicity layer did not converge")
 
 
 def _feature_rows(sample: DataFrame, weights: dict[str, float]) -> DataFrame:
