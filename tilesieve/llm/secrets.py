@@ -33,7 +33,8 @@ LEAST = {"assign": 6, "access": 20}
 
 IDENTITY = re.compile(r"""(?:user(?:name|id)?|login|account(?:_id)?|client_id|access_key(?:_id)?)["']?\x20*[:=]\x20*["']?[A-Za-z0-9][A-Za-z0-9._@+-]{2,}""", re.IGNORECASE | re.ASCII)
 OPAQUE = re.compile(r"(?<![A-Za-z0-9+/_-])[A-Za-z0-9+/_-]{20,}={0,2}(?![A-Za-z0-9+/_-])")
-ENDPOINT = re.compile(r"""[a-z][a-z0-9+]{1,15}://[^\x00-\x20"'<>]{3,}|\b[a-z0-9-]+(?:\.[a-z0-9-]+)+:[0-9]{2,5}\b""")
+# a host begins where no host character stands before, and its labels give nothing back: no text is tried twice
+ENDPOINT = re.compile(r"""[a-z][a-z0-9+]{1,15}://[^\x00-\x20"'<>]{3,}|(?<![a-z0-9.-])[a-z0-9-]++(?:\.[a-z0-9-]++)++:[0-9]{2,5}\b""")
 BREAK = re.compile(r"\n[\x20\t\r]*\n")
 
 #: Parts further apart than this, in code points, or in different paragraphs, are never linked.
