@@ -3,7 +3,11 @@
 A window of a benchmark item and a region of a document that differ by at most k edits share at least
 ``w + 1 - q - k q`` q-grams, all within k diagonals of one another. So the q-grams that a document
 shares with the windows are counted in overlapping bands of diagonals; only bands that meet the bound
-are verified, by alignment inside the band.
+are verified, by alignment inside the band. Bands of one window that touch are verified once, together.
+
+Where text and window are both repetitive, their shared q-grams are more than the text is long. There the
+count costs more than it saves, and the whole segment is aligned: the same answer, in time that grows with
+the text alone.
 """
 
 from __future__ import annotations
@@ -26,8 +30,15 @@ Q = 12
 WINDOW, STRIDE = 96, 48
 #: Edits allowed, as a share of a window.
 EDITS = 0.05
-#: Most characters of benchmark text in one pass over the documents; more items take more passes.
-PASS_CHARS = 8_000_000
+#: Most characters of benchmark text in one pass over the documents; more items take more passes. An index
+#: takes some 45 bytes a character in each worker.
+PASS_CHARS = 2_000_000
+#: Texts are searched in segments of so many characters, which overlap by more than a match is long.
+SEGMENT = 1 << 18
+#: Shared q-grams of one window, as a multiple of the segment, beyond which aligning is cheaper than counting.
+DENSE = 2
+#: Most shared q-grams that are counted at once.
+HITS = 2_000_000
 
 _FOLD = np.arange(0x250, dtype=np.uint32)
 _FOLD[65:91] += 32
@@ -59,28 +70,34 @@ def gram_hashes(chars: np.ndarray, q: int) -> np.ndarray:
     return mix(h)
 
 
-def banded_edits(window: np.ndarray, region: np.ndarray, k: int) -> int:
-    """Fewest edits from ``window`` to any stretch of ``region``; k + 1 if more than k."""
-    inf, n = k + 1, len(region)
-    row = np.zeros(n + 1, np.int32)
-    step = np.arange(n + 1)
+def end_edits(window: np.ndarray, region: np.ndarray, k: int) -> np.ndarray | None:
+    """Fewest edits from ``window`` to any stretch that ends at each place of ``region``; None if more than k at all."""
+    n = len(region)
+    step = np.arange(n + 1, dtype=np.int32)
+    row, nxt = np.zeros(n + 1, np.int32), np.empty(n + 1, np.int32)
     for i, c in enumerate(window, 1):
-        nxt = np.empty_like(row)
         nxt[0] = i
         np.minimum(row[:-1] + (region != c), row[1:] + 1, out=nxt[1:])
-        nxt = np.minimum.accumulate(nxt - step) + step
+        nxt -= step
+        np.minimum.accumulate(nxt, out=nxt)
+        nxt += step
         if nxt.min() > k:
-            return inf
-        row = nxt
-    return int(min(row.min(), inf))
+            return None
+        row, nxt = nxt, row
+    return row
+
+
+def banded_edits(window: np.ndarray, region: np.ndarray, k: int) -> int:
+    """Fewest edits from ``window`` to any stretch of ``region``; k + 1 if more than k."""
+    row = end_edits(window, region, k)
+    return k + 1 if row is None else int(row.min())
 
 
 @dataclass
 class Index:
-    """Windows of a pass's items, and the sorted q-grams of all windows with where each occurs."""
+    """Distinct windows of a pass's items, and the sorted q-grams of all windows with where each occurs."""
 
-    items: np.ndarray
-    starts: np.ndarray
+    items: list[list[int]]
     texts: list[np.ndarray]
     edits: np.ndarray
     bound: np.ndarray
@@ -90,11 +107,17 @@ class Index:
     offset: np.ndarray
     filter: np.ndarray
     q: int
+    longest: int
 
 
 def build_index(rows: list[tuple[int, str]], *, q: int = Q, window: int = WINDOW, stride: int = STRIDE, share: float = EDITS) -> Index:
-    """Windows of at most ``window`` characters; an item's last one ends with it. Items shorter than 2q allow no edit."""
-    items, starts, texts, edits, bound = [], [], [], [], []
+    """Windows of at most ``window`` characters; an item's last one ends with it.
+
+    A window may differ by ``share`` of its characters, rounded down; one shorter than 2q must occur as it
+    is. Items shorter than q have no q-gram and are in no window.
+    """
+    known: dict[bytes, int] = {}
+    items, texts, edits = [], [], []
     for item, text in rows:
         chars = normal(text or "")[0]
         if len(chars) and chars[0] == 32:
@@ -102,26 +125,75 @@ def build_index(rows: list[tuple[int, str]], *, q: int = Q, window: int = WINDOW
         if len(chars) and chars[-1] == 32:
             chars = chars[:-1]
         if len(chars) < q:
-            continue  # too short to tell from chance
+            continue
         size = min(window, len(chars))
         for s in sorted({*range(0, len(chars) - size + 1, stride), len(chars) - size}):
-            k = int(share * size) if size >= 2 * q else 0
-            while k and size + 1 - q - k * q < q:
-                k -= 1
-            items.append(item), starts.append(s), texts.append(chars[s : s + size]), edits.append(k), bound.append(size + 1 - q - k * q)
+            part = chars[s : s + size]
+            place = known.setdefault(part.tobytes(), len(texts))
+            if place == len(texts):
+                # a window of 2q characters or more has a q-gram left after all its edits, so the lemma holds
+                items.append([]), texts.append(part.copy()), edits.append(int(share * size) if size >= 2 * q else 0)
+            if not items[place] or items[place][-1] != item:
+                items[place].append(item)
     hashes = [gram_hashes(t, q) for t in texts]
+    sizes = np.array([len(h) for h in hashes], np.int64)
     every = np.concatenate(hashes) if hashes else np.zeros(0, np.uint64)
-    which = np.repeat(np.arange(len(texts)), [len(h) for h in hashes])
-    offset = np.concatenate([np.arange(len(h)) for h in hashes]) if hashes else np.zeros(0, np.int64)
+    which = np.repeat(np.arange(len(texts), dtype=np.int32), sizes)
+    offset = (np.arange(len(every)) - np.repeat(np.cumsum(sizes) - sizes, sizes)).astype(np.int16)
     order = np.argsort(every, kind="stable")
     grams, first = np.unique(every[order], return_index=True)
     member = np.zeros(1 << 22, bool)
     member[(grams >> np.uint64(42)).astype(np.int64)] = True
-    return Index(np.array(items, np.int64), np.array(starts, np.int64), texts, np.array(edits, np.int64), np.array(bound, np.int64), grams, np.append(first, len(every)), which[order], offset[order], member, q)
+    edits = np.array(edits, np.int64)
+    return Index(items, texts, edits, sizes - edits * q, grams, np.append(first, len(every)), which[order], offset[order], member, q, max(map(len, texts), default=0))
+
+
+def _spread(first: np.ndarray, count: np.ndarray) -> np.ndarray:
+    """The numbers from each ``first`` on, ``count`` of them, one run after another."""
+    return np.repeat(first - (np.cumsum(count) - count), count) + np.arange(int(count.sum()))
+
+
+def _joined(spans: list[tuple[int, int]]) -> list[tuple[int, int]]:
+    """Sorted spans, those that meet as one."""
+    out: list[tuple[int, int]] = []
+    for a, b in sorted(spans):
+        if out and a <= out[-1][1]:
+            out[-1] = out[-1][0], max(b, out[-1][1])
+        else:
+            out.append((a, b))
+    return out
+
+
+def _bands(index: Index, windows: np.ndarray, at: np.ndarray, place: np.ndarray, length: int) -> dict[int, list[tuple[int, int]]]:
+    """For each of ``windows``, the regions that a band of diagonals with enough shared q-grams covers."""
+    wanted = np.zeros(len(index.texts), bool)
+    wanted[windows] = True
+    hit = _spread(index.first[place], index.first[place + 1] - index.first[place])
+    pos = np.repeat(at, index.first[place + 1] - index.first[place])
+    mine = wanted[index.window[hit]]
+    hit, pos = hit[mine], pos[mine]
+    window = index.window[hit].astype(np.int64)
+    diagonal = pos - index.offset[hit] + SEGMENT  # never negative
+    k, width = index.edits[window], 2 * index.edits[window] + 1
+    out: dict[int, list[tuple[int, int]]] = {}
+    for shift in (0, 1):  # bands overlap by half, so k diagonals either side of any lie in one band
+        band = (diagonal + shift * k) // width
+        order = np.lexsort((pos, band, window))
+        w, b, p = window[order], band[order], pos[order]
+        new = np.concatenate([[True], (w[1:] != w[:-1]) | (b[1:] != b[:-1])])
+        fresh = new | np.concatenate([[True], p[1:] != p[:-1]])
+        heads = np.flatnonzero(new)
+        passed = heads[np.add.reduceat(fresh.astype(np.int64), heads) >= index.bound[w[heads]]] if len(heads) else heads
+        w = w[passed]
+        low = b[passed] * (2 * index.edits[w] + 1) - shift * index.edits[w] - SEGMENT
+        for j, a in zip(w.tolist(), low.tolist(), strict=True):
+            e = int(index.edits[j])
+            out.setdefault(j, []).append((max(0, a - e), min(length, a + 2 * e + 1 + len(index.texts[j]) + e)))
+    return out
 
 
 def regions(index: Index, chars: np.ndarray) -> Iterator[tuple[int, int, int]]:
-    """(window, from, to) of the regions whose shared q-grams in a band of diagonals meet the bound."""
+    """(window, from, to) of the regions of a segment that may hold a window: all that do lie in one."""
     h = gram_hashes(chars, index.q)
     at = np.flatnonzero(index.filter[(h >> np.uint64(42)).astype(np.int64)]) if len(h) else np.zeros(0, np.int64)
     if not len(at) or not len(index.grams):
@@ -129,41 +201,54 @@ def regions(index: Index, chars: np.ndarray) -> Iterator[tuple[int, int, int]]:
     place = np.minimum(np.searchsorted(index.grams, h[at]), len(index.grams) - 1)
     same = index.grams[place] == h[at]
     at, place = at[same], place[same]
-    count = index.first[place + 1] - index.first[place]
     if not len(at):
         return
-    hit = np.repeat(index.first[place] - (np.cumsum(count) - count), count) + np.arange(int(count.sum()))
-    pos, window = np.repeat(at, count), index.window[hit]
-    diagonal = pos - index.offset[hit] + (1 << 20)
-    width = 2 * index.edits[window] + 1
-    for shift in (0, 1):  # bands overlap by half, so k diagonals either side of any lie in one band
-        band = (diagonal + shift * index.edits[window]) // width
-        order = np.lexsort((pos, band, window))
-        w, b, p = window[order], band[order], pos[order]
-        new = np.concatenate([[True], (w[1:] != w[:-1]) | (b[1:] != b[:-1])])
-        fresh = new | np.concatenate([[True], p[1:] != p[:-1]])
-        group = np.cumsum(new) - 1
-        shared = np.bincount(group, fresh)
-        heads = np.flatnonzero(new)
-        for g in np.flatnonzero(shared >= index.bound[w[heads]]):
-            k = int(w[heads[g]])
-            low = int(b[heads[g]] * width[order][heads[g]] - shift * index.edits[k] - (1 << 20))
-            yield k, max(0, low - int(index.edits[k])), min(len(chars), low + int(width[order][heads[g]]) + len(index.texts[k]) + int(index.edits[k]))
+    # a window of which too few q-grams occur in the segment at all is out; the others' shared ones are counted
+    grams, often = np.unique(place, return_counts=True)
+    count = index.first[grams + 1] - index.first[grams]
+    held = index.window[_spread(index.first[grams], count)]
+    left = np.flatnonzero(np.bincount(held, minlength=len(index.texts)) >= index.bound)
+    if not len(left):
+        return
+    hits = np.bincount(held, np.repeat(often, count), len(index.texts))[left]
+    dense = hits > DENSE * len(chars)
+    for j in left[dense].tolist():
+        yield j, 0, len(chars)
+    left, hits = left[~dense], hits[~dense]
+    if not len(left):
+        return
+    # only q-grams of windows still in question are spread out again, so many windows at a time as HITS allows
+    turn = np.cumsum(hits) // HITS
+    for t in np.unique(turn).tolist():
+        some = left[turn == t]
+        wanted = np.zeros(len(index.texts), bool)
+        wanted[some] = True
+        useful = grams[np.bincount(np.repeat(np.arange(len(grams)), count), wanted[held], len(grams)) > 0]
+        keep = np.isin(place, useful)
+        for j, spans in _bands(index, some, at[keep], place[keep], len(chars)).items():
+            for a, b in _joined(spans):
+                yield j, a, b
 
 
 def matches(index: Index, text: str) -> list[tuple[int, int, int, int]]:
     """(item, from, to, edits) of the verified regions of a text, in its own code points, each item's merged."""
     chars, at = normal(text)
     found: dict[int, list[tuple[int, int, int]]] = {}
-    seen: set[tuple[int, int, int]] = set()
-    for k, a, b in regions(index, chars):
-        if (k, a, b) in seen:
-            continue
-        seen.add((k, a, b))
-        region, window = chars[a:b], index.texts[k]
-        edits = 0 if window.tobytes() in region.tobytes() else banded_edits(window, region, int(index.edits[k]))
-        if edits <= index.edits[k]:
-            found.setdefault(int(index.items[k]), []).append((int(at[a]), int(at[b - 1]) + 1, edits))
+    overlap = 2 * index.longest
+    for base in range(0, max(1, len(chars) - overlap), SEGMENT - overlap):
+        segment = chars[base : base + SEGMENT]
+        for j, a, b in regions(index, segment):
+            k, size = int(index.edits[j]), len(index.texts[j])
+            row = end_edits(index.texts[j], segment[a:b], k)
+            if row is None:
+                continue
+            ends = np.flatnonzero(row <= k)
+            cuts = np.flatnonzero(np.diff(ends) > size)
+            for i, e in zip(np.concatenate([[0], cuts + 1]).tolist(), np.append(cuts, len(ends) - 1).tolist(), strict=True):
+                lo, hi = base + a + max(0, int(ends[i]) - size - k), base + a + int(ends[e])
+                span = int(at[lo]), int(at[hi - 1]) + 1, int(row[ends[i] : ends[e] + 1].min())
+                for item in index.items[j]:
+                    found.setdefault(item, []).append(span)
     out = []
     for item, spans in found.items():
         spans.sort()
@@ -195,8 +280,9 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, *, most: int = PASS_CHAR
     """A row for each region of a document that matches a benchmark item: ``keep`` (``doc_id``) and MATCHES.
 
     Texts are compared in lower case with white space collapsed; offsets are code points of the
-    original. Null and empty texts, null items and items shorter than a q-gram match nothing; repeated
-    rows match alike; empty tables give no rows. The benchmark is held by every task in passes of at
+    original; a region may be longer than its match by the edits allowed. Null and empty texts, null items
+    and items shorter than a q-gram match nothing; repeated rows match alike; empty tables give no rows;
+    other columns of either table are left out but those in ``keep``. The benchmark is held by every task in passes of at
     most ``most`` characters, so its size sets the number of passes, not the memory.
     """
     spark = docs.sparkSession
@@ -231,7 +317,11 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, *, most: int = PASS_CHAR
 
 
 def drop_contaminated(docs: DataFrame, benchmark: DataFrame, *, most: int = PASS_CHARS) -> DataFrame:
-    """The documents without a match, with all their columns. Each pass filters rows where they lie."""
+    """The documents without a match, with all their columns, whatever their names.
+
+    Each pass filters rows where they lie. Null and empty texts match nothing and stay; repeated rows stay or
+    go alike; an empty table gives no rows, and an empty benchmark drops none.
+    """
     spark, names = docs.sparkSession, docs.columns
     place = names.index("text")
     rows = docs.toDF(*[f"c{i}" for i in range(len(names))])
