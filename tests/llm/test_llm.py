@@ -528,6 +528,20 @@ def test_no_line_is_lost_by_extension(spark):
     assert sum(r["removed_lines"] for r in out.values()) > 300
 
 
+def test_chunk_joins_of_any_size_agree(spark, monkeypatch):
+    """Broadcast or shuffled, hot chunks apart or not, lanes of any size: the same texts."""
+    rng = random.Random(8)
+    common = ["\n".join(f"common {k} line {i}" for i in range(4)) for k in range(3)]
+    texts = ["\n".join(rng.choice(common) if rng.random() < 0.5 else prose(rng, 4) for _ in range(rng.randint(1, 6))) for _ in range(40)] + [None, "", "one"] * 3
+    df = spark.createDataFrame([(None if i % 13 == 0 else i % 35, t) for i, t in enumerate(texts)], "doc_id bigint, text string")
+    run = lambda: sorted(((r["doc_id"] or -1, r["text"] or "", r["n_removed"], r["removed_lines"]) for r in linechunks.dedup_chunks(df, extend=True).collect()))
+    want = run()
+    assert sum(r[2] for r in want) > 20
+    for name, value in (("BROADCAST_BYTES", 0), ("HOT_ROWS", 5), ("SALT_ROWS", 2)):
+        monkeypatch.setattr(linechunks, name, value)
+    assert run() == want
+
+
 def test_chunk_dedup_is_native(spark, docs):
     plan = linechunks.dedup_chunks(docs)._jdf.queryExecution().executedPlan().toString()
     assert "Python" not in plan and "Arrow" not in plan

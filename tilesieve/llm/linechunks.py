@@ -12,7 +12,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from tilesieve.llm.common import stored
+from tilesieve.llm.common import discard, stored
 
 #: A chunk closes after one line pair in so many, and never holds more than MOST lines.
 MODULUS = 3
@@ -21,8 +21,12 @@ MOST = 32
 ROLL = 2
 #: Fewest lines of a chunk that is ever removed.
 LEAST_LINES = 2
-#: Rows up to this many (some 40 bytes each) are sent to all tasks.
-BROADCAST_ROWS = 500_000
+#: A table of at most so many bytes, summed over its rows, is sent to all tasks.
+BROADCAST_BYTES = 48 << 20
+#: A chunk of more occurrences is looked up apart from the others; there are few of those, whatever the corpus.
+HOT_ROWS = 1_000_000
+#: Occurrences of one chunk that a task compares.
+SALT_ROWS = 500
 
 
 def line_hashes(text: Column) -> Column:
@@ -55,9 +59,24 @@ def chunks(hashes: Column, **how) -> Column:
     return F.zip_with(begins, ends, lambda a, b: F.struct(a.alias("line"), (b - a + 1).alias("lines")))
 
 
-def _few(table: DataFrame) -> DataFrame:
-    """Sent to all tasks if its rows, counted, are few; joined by shuffle otherwise."""
-    return F.broadcast(table) if table.limit(BROADCAST_ROWS + 1).count() <= BROADCAST_ROWS else table
+def _few(table: DataFrame, size: Column) -> DataFrame:
+    """Sent to all tasks if the bytes of its rows are summed to be few; joined by shuffle otherwise."""
+    return F.broadcast(table) if (table.agg(F.sum(size)).first()[0] or 0) <= BROADCAST_BYTES else table
+
+
+def _repeats(meta: DataFrame, again: DataFrame) -> DataFrame:
+    """Rows of ``meta`` whose chunk is in ``again``, with its count.
+
+    Where ``again`` is large, chunks of more than HOT_ROWS occurrences are sent to all tasks, at most a row for
+    so many of ``meta``, so the shuffle of the rest deals no key of more rows than that.
+    """
+    keys = ["h1", "h2"]
+    if again.count() * 64 <= BROADCAST_BYTES:
+        return meta.join(F.broadcast(again), keys)
+    hot = again.where(F.col("n") > HOT_ROWS)
+    tagged = meta.join(F.broadcast(hot), keys, "left")
+    rest = tagged.where("n is null").drop("n").join(again.where(F.col("n") <= HOT_ROWS), keys)
+    return tagged.where("n is not null").unionByName(rest)
 
 
 def _around(own: Column, lines: Column, mark: Column) -> Column:
@@ -80,10 +99,16 @@ def _around(own: Column, lines: Column, mark: Column) -> Column:
 
 
 def _later(parts: DataFrame, keys: list[str]) -> DataFrame:
-    """Rows of equal keys but those at the first place: by id (null first), then line."""
+    """Rows of equal keys but those at the first place: by id (null first), then line.
+
+    ``n`` is at least the number of rows of a key, and the same for all of them. First places are found with
+    partial sums; where they go back to the rows, a key of many rows is dealt to several tasks.
+    """
     place = F.struct(F.col("doc_id").isNotNull().alias("known"), "doc_id", "line", "owner")
-    first = parts.groupBy(*keys).agg(F.min(place).alias("first"))
-    return parts.join(first, keys).where(~place.eqNullSafe(F.col("first")))
+    lanes = F.ceil(F.col("n") / SALT_ROWS)
+    first = parts.groupBy(*keys, "n").agg(F.min(place).alias("first")).withColumn("lane", F.explode(F.sequence(F.lit(0).cast("bigint"), lanes - 1)))
+    dealt = parts.withColumn("lane", F.pmod(F.xxhash64("owner", "line"), lanes))
+    return dealt.join(first, [*keys, "n", "lane"]).where(~place.eqNullSafe(F.col("first")))
 
 
 def dedup_chunks(docs: DataFrame, *, least_lines: int = LEAST_LINES, modulus: int = MODULUS, most: int = MOST, extend: bool = False) -> DataFrame:
@@ -92,34 +117,36 @@ def dedup_chunks(docs: DataFrame, *, least_lines: int = LEAST_LINES, modulus: in
     Returns ``doc_id``, ``text`` (what is left; null stays null), ``n_removed`` (chunks) and
     ``removed_lines``. The first place of a chunk, by id (null first), then line, keeps it; rows that
     repeat one id and text share a place and keep or lose it alike. A chunk whose lines are all blank
-    is never removed. Empty texts are one empty line; an empty table gives no rows; other columns are
-    left out, whatever their names.
+    is never removed. Texts without a line break, empty ones among them, are left as they are; an empty
+    table gives no rows; other columns are left out, whatever their names.
 
     ``extend`` removes with a chunk the lines on both sides that surround it at an earlier place too,
     whichever that is for each line. A line so removed equals, as bytes, one that stands earlier by as
     many lines as its chunk does; the lines between are compared by two hashes.
 
     Chunks are counted by hash, so no text moves; texts of chunks whose hashes repeat are then
-    compared as bytes; what is lost goes back to the documents, by broadcast only if counted small.
+    compared as bytes; what is lost goes back to the documents, by broadcast only if summed small. A document
+    is known by two hashes of its id and text.
     """
     rows = docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), F.col("text").alias("text"))
-    owner = F.xxhash64("doc_id", "text").alias("owner")
-    cut = rows.where(F.col("text").contains("\n")).select(owner, line_hashes(F.col("text")).alias("hs")).withColumn("cs", chunks(F.col("hs"), modulus=modulus, most=most))
+    owner = F.struct(F.xxhash64("doc_id", "text").alias("a"), F.xxhash64(F.lit(7), F.col("doc_id"), F.col("text")).alias("b")).alias("owner")
+    several = F.coalesce(F.col("text").contains("\n"), F.lit(False))
+    cut = rows.where(several).select(owner, line_hashes(F.col("text")).alias("hs")).withColumn("cs", chunks(F.col("hs"), modulus=modulus, most=most))
     near = F.transform("cs", lambda c, i: F.struct(c["line"].alias("line"), c["lines"].alias("lines"), F.coalesce(F.get("cs", i - 1)["lines"], F.lit(0)).alias("before"), F.coalesce(F.get("cs", i + 1)["lines"], F.lit(0)).alias("after")))
     spread = cut.select("owner", "hs", F.inline(F.filter(near, lambda c: c["lines"] >= least_lines)))
     own = F.slice("hs", F.col("line"), F.col("lines"))
     # all hashes equal to that of an empty line: dropped at once; other blank lines are seen with their texts
     meta = stored(spread.where(F.size(F.array_except(own, F.array(F.xxhash64(F.lit(""))))) > 0).select("owner", "line", "lines", "before", "after", F.xxhash64(own).alias("h1"), F.xxhash64(F.lit(7), own).alias("h2")), "chunks")
-    again = stored(meta.groupBy("h1", "h2").agg(F.count("*").alias("n")).where("n > 1").select("h1", "h2"), "repeated")
-    marks = stored(meta.join(_few(again), ["h1", "h2"]).groupBy("owner").agg(F.collect_set(F.struct("line", "lines", "before", "after", "h1", "h2")).alias("marks")), "marked")
+    again = stored(meta.groupBy("h1", "h2").agg(F.count("*").alias("n")).where("n > 1"), "repeated")
+    marks = stored(_repeats(meta, again).groupBy("owner").agg(F.collect_set(F.struct("line", "lines", "before", "after", "h1", "h2", "n")).alias("marks")), "marked")
     lines = F.split("text", "\n", -1)
-    held = rows.withColumn("owner", owner).join(_few(marks), "owner").withColumn("ls", lines)
-    bodies = F.transform("marks", lambda m: F.struct(*[m[c].alias(c) for c in ("line", "lines", "h1", "h2")], F.array_join(F.slice(F.col("ls"), m["line"], m["lines"]), "\n").alias("body")))
+    held = rows.where(several).withColumn("owner", owner).join(_few(marks, 64 + 64 * F.size("marks")), "owner").withColumn("ls", lines)
+    bodies = F.transform("marks", lambda m: F.struct(*[m[c].alias(c) for c in ("line", "lines", "h1", "h2", "n")], F.array_join(F.slice(F.col("ls"), m["line"], m["lines"]), "\n").alias("body")))
     doubled = stored(held.select("doc_id", "owner", F.inline(F.filter(bodies, lambda b: b["body"].rlike(r"[^\s]")))), "doubled")
     lost = stored(_later(doubled, ["h1", "h2", "body"]).select("owner", "line", "lines").distinct(), "lost")
     gone = lost.select("owner", "line", (F.col("line") + F.col("lines")).alias("end"), F.lit(1).alias("chunk"))
     if extend:
-        beside = F.flatten(F.transform(F.filter("marks", lambda m: F.array_join(F.slice(F.col("ls"), m["line"], m["lines"]), "\n").rlike(r"[^\s]")), lambda m: F.transform(_around(F.col("hs"), F.col("ls"), m), lambda x: F.struct(m["line"].alias("line"), *[x[c].alias(c) for c in ("side", "at", "s1", "s2", "body")]))))
+        beside = F.flatten(F.transform(F.filter("marks", lambda m: F.array_join(F.slice(F.col("ls"), m["line"], m["lines"]), "\n").rlike(r"[^\s]")), lambda m: F.transform(_around(F.col("hs"), F.col("ls"), m), lambda x: F.struct(m["line"].alias("line"), m["n"].alias("n"), *[x[c].alias(c) for c in ("side", "at", "s1", "s2", "body")]))))
         around = stored(held.withColumn("hs", line_hashes(F.col("text"))).select("doc_id", "owner", F.inline(beside)), "around")
         more = _later(around, ["side", "s1", "s2", "body"]).select("owner", F.col("at").alias("line"), (F.col("at") + 1).alias("end"), F.lit(0).alias("chunk")).distinct()
         gone = gone.unionByName(more)
@@ -128,13 +155,17 @@ def dedup_chunks(docs: DataFrame, *, least_lines: int = LEAST_LINES, modulus: in
     begun = gone.withColumn("apart", F.coalesce(F.col("line") > F.max("end").over(order.rowsBetween(Window.unboundedPreceding, -1)), F.lit(True)))
     whole = begun.withColumn("stretch", F.sum(F.col("apart").cast("int")).over(order.rowsBetween(Window.unboundedPreceding, 0))).groupBy("owner", "stretch").agg(F.min("line").alias("line"), F.max("end").alias("end"), F.sum("chunk").alias("chunk"))
     taken = stored(whole.groupBy("owner").agg(F.array_sort(F.collect_list(F.struct("line", "end"))).alias("gone"), F.sum("chunk").alias("n_removed"), F.sum(F.col("end") - F.col("line")).alias("removed_lines")), "taken")
-    joined = rows.withColumn("owner", owner).join(_few(taken), "owner", "left")
+    for table in (meta, again, marks, doubled, lost, *([around] if extend else [])):
+        discard(table)
+    joined = rows.where(several).withColumn("owner", owner).join(_few(taken, 64 + 32 * F.size("gone")), "owner", "left")
     starts = F.concat(F.array(F.lit(1)), F.col("gone.end"))
     stops = F.array_append(F.col("gone.line"), F.size(lines) + 1)
     left = F.flatten(F.zip_with(starts, stops, lambda a, b: F.slice(lines, a, b - a)))
-    return joined.select(
+    cleaned = joined.select(
         "doc_id",
         F.when(F.col("gone").isNull(), F.col("text")).otherwise(F.array_join(left, "\n")).alias("text"),
         F.coalesce("n_removed", F.lit(0)).cast("bigint").alias("n_removed"),
         F.coalesce("removed_lines", F.lit(0)).cast("bigint").alias("removed_lines"),
     )
+    # texts of one line meet no join, so rows alike in id and text, such as nulls, gather nowhere
+    return cleaned.unionByName(rows.where(~several).select("doc_id", "text", F.lit(0).cast("bigint").alias("n_removed"), F.lit(0).cast("bigint").alias("removed_lines")))
