@@ -5,7 +5,7 @@ from hypothesis import given, settings
 from hypothesis import strategies as st
 from pyspark.sql import functions as F
 
-from tilesieve.functions.grams import guaranteed_hits, min_query_length, slide_grams, tile_grams
+from tilesieve.functions.grams import guaranteed_hits, local_grams, min_query_length, slide_grams, tile_grams
 from tilesieve.functions.hashing import bit_positions
 from tilesieve.functions.measures import expected_hits
 from tilesieve.functions.sizing import FilterSpec, bits_for, from_budget, plan_filter
@@ -65,12 +65,55 @@ def test_no_false_negative_and_modes_agree(spark, layout, family, mode):
     assert rows(bloom.probe(other, f, mode=mode), "pos", "hit") == rows(bloom.probe(other, f, mode="packed"), "pos", "hit")
 
 
+@pytest.mark.parametrize("mode", ["packed", "broadcast", "shuffle"])
+def test_null_and_repeated_keys_keep_their_hits(spark, mode):
+    text = "one stored text, long enough to hold several tiles of ten"
+    f = bloom.corpus_filter(frame(spark, [(1, text)]), n=10, stride=10)
+    asked = frame(spark, [(None, text), (5, text[:20]), (5, text[:20]), (6, None), (None, "")])
+    want = {True: 2 * 2 + 5, False: (len(text) - 9 - 5) + 2 * 9}
+    hits = bloom.probe_texts(asked, f, mode=mode)
+    assert {h: hits.where(F.col("hit") == h).count() for h in (True, False)} == want
+    only = bloom.probe_texts(asked, f, mode=mode, hits_only=True)
+    assert rows(only.na.fill(-1), "doc_id", "pos") == rows(hits.where("hit").na.fill(-1), "doc_id", "pos")
+    windows = slide_grams(asked, n=10).unionAll(spark.createDataFrame([(7, 0, None)], "doc_id bigint, pos int, gram string"))
+    probed = bloom.probe(windows, f, mode=mode)
+    assert probed.where("hit").count() == want[True] and probed.count() == sum(want.values()) + 1
+    chains = chain.chain_hits(only.where("doc_id is null"), n=10)
+    best = chain.longest_chain(chains, asked.where("doc_id is null and text != ''"))
+    assert rows(best, "max_tiles") == [(5,)]
+    assert rows(chain.hanging(asked.where("doc_id is null and text != ''"), best), "head", "tail") == [(0, len(text) - 50)]
+
+
+def test_tokens_of_any_tokenizer(spark):
+    """Token filters take arrays, whatever made them: here pairs of letters."""
+    cut = lambda df: df.withColumn("text", F.regexp_extract_all("text", F.lit("(?s)(..)"), 1))
+    docs = cut(frame(spark, [(1, "abcdefghijklmnop"), (2, None), (3, "ab")]))
+    f = bloom.corpus_filter(docs, unit="token", n=2, stride=2, fpp=1e-6, tokenizer="pairs")
+    assert f.spec.n_items == 4
+    native = bloom.corpus_filter(docs, spec=f.spec, build="native")
+    assert rows(bloom.filter_digest(f), "bucket", "set_bits", "place_sum") == rows(bloom.filter_digest(native), "bucket", "set_bits", "place_sum")
+    asked = cut(frame(spark, [(9, "xxabcdefgh")]))
+    for mode in ("packed", "shuffle"):
+        assert rows(bloom.probe_texts(asked, f, mode=mode, hits_only=True), "doc_id", "pos") == [(9, 1), (9, 3)]
+    local = bloom.LocalProbe(f.spec, bloom.pack(f))
+    assert local.chains(["xx", "ab", "cd", "ef", "gh"]) == [(1, 2)]
+    with pytest.raises(ValueError):
+        bloom.corpus_filter(docs, unit="token", n=2, stride=2).spec.require(f.spec)
+
+
+@settings(max_examples=60, deadline=None)
+@given(st.text(st.sampled_from("ab é😀\n"), max_size=30), st.integers(1, 6), st.integers(1, 6))
+def test_local_grams(text, n, stride):
+    assert local_grams(text, n, stride) == [text[i : i + n].encode() for i in range(0, len(text) - n + 1, stride)]
+
+
 @pytest.mark.parametrize("layout", ["classic", "blocked"])
 @pytest.mark.parametrize("family", ["md5", "xxhash64"])
 def test_builds_agree(spark, layout, family):
     df = frame(spark, [(i, f"text number {i} " * 20) for i in range(30)])
-    two = [bloom.corpus_filter(df, n=10, stride=10, layout=layout, hash=family, build=b) for b in ("native", "packed")]
-    assert rows(bloom.filter_digest(two[0]), "bucket", "set_bits", "place_sum") == rows(bloom.filter_digest(two[1]), "bucket", "set_bits", "place_sum")
+    one, *others = [bloom.corpus_filter(df, n=10, stride=10, layout=layout, hash=family, salt="s", build=b) for b in ("native", "packed", "text")]
+    for other in others:
+        assert rows(bloom.filter_digest(one), "bucket", "set_bits", "place_sum") == rows(bloom.filter_digest(other), "bucket", "set_bits", "place_sum")
 
 
 def test_local_probe_agrees(spark):
@@ -204,7 +247,9 @@ def test_plans(spark, sf):
     f = bloom.corpus_filter(docs)
     plan = f.table._jdf.queryExecution().executedPlan().toString()
     assert "ReadSchema: struct<doc_id:bigint,text:string>" in plan or "ReadSchema: struct<text:string>" in plan
-    assert "Python" not in plan and plan.count("Exchange hashpartitioning") == 1
+    assert plan.count("MapInArrow") == 2 and plan.count("Exchange hashpartitioning") == 1
+    native = bloom.corpus_filter(docs, build="native").table._jdf.queryExecution().executedPlan().toString()
+    assert "Python" not in native and "Arrow" not in native and native.count("Exchange hashpartitioning") == 1
     hits = bloom.probe(slide_grams(m.items(spark, sf), key="item_id"), f, mode="shuffle")
     text = hits._jdf.queryExecution().executedPlan().toString()
     assert "BroadcastNestedLoopJoin" not in text and "CartesianProduct" not in text

@@ -25,6 +25,8 @@ class FilterSpec:
     n_items: int = 0
     fpp: float = 1e-3
     salt: str = ""
+    #: Names what made the tokens of a token filter; words unless given as arrays.
+    tokenizer: str = "words"
 
     @property
     def buckets(self) -> int:

@@ -1,9 +1,14 @@
-"""Tiled Bloom filters as tables of bitmaps: build, probe, merge, count, pack."""
+"""Tiled Bloom filters as tables of bitmaps: build, probe, merge, count, pack.
+
+Texts are cut and hashed in one vectorised pass over whole texts (``text_lanes``), so no gram is ever a row
+of strings: a build moves bits, a probe two hashes of a window or, with a packed filter, the hits alone.
+DataFrames of grams go the way of column expressions, with the same bits.
+"""
 
 from __future__ import annotations
 
 from collections.abc import Iterator
-from dataclasses import dataclass
+from dataclasses import dataclass, field
 
 import numpy as np
 import pandas as pd
@@ -11,21 +16,27 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from tilesieve.functions.grams import slide_grams, tile_grams
-from tilesieve.functions.hashing import bit_positions, lanes
+from tilesieve.functions.grams import WORDS, local_grams, tile_grams
+from tilesieve.functions.hashing import bit_positions, lanes, local_lanes, positions_of
 from tilesieve.functions.sizing import BUCKET_BITS, FilterSpec, plan_filter
 from tilesieve.functions.text import normalize
 
 #: A filter of at most this many bytes is sent whole to every executor; a larger one is joined.
 PACKED_BYTES = 256 << 20
+#: Grams that a task hashes at once.
+SLICE_GRAMS = 1 << 16
 
 
 @dataclass(frozen=True)
 class Filter:
-    """``table``: (bucket bigint, bitmap binary of 4 KiB); buckets without a set bit are absent."""
+    """``table``: (bucket bigint, bitmap binary of 4 KiB); buckets without a set bit are absent.
+
+    ``sent`` remembers the packed form once it was made, so a filter is collected and broadcast once.
+    """
 
     spec: FilterSpec
     table: DataFrame
+    sent: dict = field(default_factory=dict, compare=False, repr=False)
 
 
 def count_tiles(df: DataFrame, *, text: str = "text", n: int = 50, norm: str = "collapse") -> int:
@@ -33,26 +44,102 @@ def count_tiles(df: DataFrame, *, text: str = "text", n: int = 50, norm: str = "
     return df.agg(F.sum(F.floor(F.length(normalize(F.col(text), norm)) / n)).alias("t")).first()["t"] or 0
 
 
-def corpus_filter(df: DataFrame, *, text: str = "text", key: str = "doc_id", fpp: float = 1e-3, spec: FilterSpec | None = None, build: str = "native", **geometry) -> Filter:
-    """Normalise, tile, size by the number of tiles, and build."""
+def corpus_filter(df: DataFrame, *, text: str = "text", key: str = "doc_id", fpp: float = 1e-3, spec: FilterSpec | None = None, build: str = "text", **geometry) -> Filter:
+    """Normalise, tile, size by the number of tiles, and build.
+
+    ``text`` may be an array of tokens, whatever made them, for a filter of ``unit="token"``; name the maker in
+    ``tokenizer``, which a probe must share. ``build="text"`` hashes whole texts, the others rows of grams.
+    """
     if spec is None:
         shape = FilterSpec(**geometry)
         if shape.unit == "char" and shape.stride == shape.n:
             items = count_tiles(df, text=text, n=shape.n, norm=shape.norm)
         else:
-            items = tile_grams(normalized(df, shape, text=text, key=key), key=key, n=shape.n, stride=shape.stride, unit=shape.unit).count()
+            items = normalized(df, shape, text=text, key=key).agg(F.sum(_count_of("text", df, shape, text)).alias("t")).first()["t"] or 0
         spec = plan_filter(items, fpp, **geometry)
-    grams = tile_grams(normalized(df, spec, text=text, key=key), key=key, n=spec.n, stride=spec.stride, unit=spec.unit)
-    return build_filter(grams, spec, build=build)
+    rows = normalized(df, spec, text=text, key=key)
+    if build == "text":
+        found = text_lanes(rows, spec, key=key, stride=spec.stride)
+        return _from_bits(found.mapInArrow(_places_of(spec), "p bigint"), spec)
+    return build_filter(tile_grams(rows, key=key, n=spec.n, stride=spec.stride, unit=spec.unit), spec, build=build)
+
+
+def _is_array(df: DataFrame, column: str) -> bool:
+    return dict(df.dtypes)[column].startswith("array")
+
+
+def _count_of(column: str, df: DataFrame, spec: FilterSpec, text: str) -> Column:
+    """How many grams a normalised text has."""
+    c = F.col(column)
+    units = F.length(c) if spec.unit == "char" else F.size(c) if _is_array(df, text) else F.regexp_count(c, F.lit(WORDS.pattern))
+    return F.greatest(F.lit(0), F.call_function("div", units - spec.n, F.lit(spec.stride)) + 1) * (units >= spec.n).cast("int")
 
 
 def normalized(df: DataFrame, spec: FilterSpec, *, text: str = "text", key: str = "doc_id") -> DataFrame:
-    """(key, text) with the white space that the filter wants."""
-    return df.select(key, normalize(F.col(text), spec.norm).alias("text"))
+    """(key, text) with the white space that the filter wants; arrays of tokens stay as they are."""
+    return df.select(key, F.col(text).alias("text") if _is_array(df, text) else normalize(F.col(text), spec.norm).alias("text"))
+
+
+def _cut(spec: FilterSpec, stride: int, batch: pa.RecordBatch) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]]:
+    """(row, number, lane, lane) of the grams of a batch's second column, some SLICE_GRAMS at a time."""
+    grams: list[bytes] = []
+    rows: list[int] = []
+    counts: list[int] = []
+    starts: list[int] = []
+
+    def flush():
+        n = np.array(counts, np.int64)
+        number = np.arange(int(n.sum())) - np.repeat(np.cumsum(n) - n, n) + np.repeat(np.array(starts, np.int64), n)
+        return np.repeat(np.array(rows, np.int64), n), number, *local_lanes(grams, spec)
+
+    for j, text in enumerate(batch.column(1)):
+        if (value := text.as_py()) is None:
+            continue
+        mine = local_grams(value, spec.n, stride, spec.unit)
+        for at in range(0, len(mine), SLICE_GRAMS):
+            part = mine[at : at + SLICE_GRAMS]
+            grams += part
+            rows.append(j), counts.append(len(part)), starts.append(at)
+            if len(grams) >= SLICE_GRAMS:
+                yield flush()
+                grams, rows, counts, starts = [], [], [], []
+    if grams:
+        yield flush()
+
+
+def text_lanes(rows: DataFrame, spec: FilterSpec, *, key: str = "doc_id", stride: int = 1) -> DataFrame:
+    """(key, pos, a, b): number and two hashes of every gram of the normalised texts (key, text)."""
+    kind = rows.schema[key].dataType.simpleString()
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for row, number, a, b in _cut(spec, stride, batch):
+                yield pa.RecordBatch.from_arrays([batch.column(0).take(pa.array(row)), pa.array(number, pa.int32()), pa.array(a), pa.array(b)], names=["k", "pos", "a", "b"])
+
+    return rows.select(F.col(key).alias("k"), "text").mapInArrow(run, f"k {kind}, pos int, a bigint, b bigint").withColumnRenamed("k", key)
+
+
+def _places_of(spec: FilterSpec):
+    """Lanes to the places of all their bits, each once in a batch."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            a, b = (batch.column(batch.schema.get_field_index(c)).to_numpy() for c in "ab")
+            base, start, jump, size = _bases(spec, a, b)
+            found = [base + (start + i * jump) % size for i in range(spec.k)]
+            yield pa.RecordBatch.from_arrays([pa.array(np.unique(np.concatenate(found)) if found else np.zeros(0, np.int64))], names=["p"])
+
+    return run
+
+
+def _from_bits(bits: DataFrame, spec: FilterSpec) -> Filter:
+    """Bitmaps of places ``p``, begun before the shuffle, so it moves bits."""
+    number, place = F.bitmap_bucket_number(F.col("p") + 1), F.bitmap_bit_position(F.col("p") + 1)
+    return Filter(spec, bits.groupBy((number - 1).alias("bucket")).agg(F.bitmap_construct_agg(place).alias("bitmap")))
 
 
 def build_filter(grams: DataFrame, spec: FilterSpec, gram: str = "gram", *, build: str = "native") -> Filter:
-    """Set the bits of all grams. Bitmaps are begun before the shuffle, so it moves bits, not grams.
+    """Set the bits of all grams, given as rows.
 
     ``native`` stays in the engine at any size. ``packed`` sets bits in numpy, each task in a whole bit
     array of its own, and ORs those: several times as fast for a filter small enough (dense builds).
@@ -63,10 +150,7 @@ def build_filter(grams: DataFrame, spec: FilterSpec, gram: str = "gram", *, buil
         h1, h2 = lanes(F.col(gram), spec)
         parts = grams.select(h1.alias("a"), h2.alias("b")).mapInArrow(_packed_builder(spec), "bucket bigint, bitmap binary")
         return Filter(spec, parts.groupBy("bucket").agg(F.bitmap_or_agg("bitmap").alias("bitmap")))
-    bits = grams.select(F.explode(bit_positions(F.col(gram), spec)).alias("p"))
-    number, place = F.bitmap_bucket_number(F.col("p") + 1), F.bitmap_bit_position(F.col("p") + 1)
-    table = bits.groupBy((number - 1).alias("bucket")).agg(F.bitmap_construct_agg(place).alias("bitmap"))
-    return Filter(spec, table)
+    return _from_bits(grams.select(F.explode_outer(bit_positions(F.col(gram), spec)).alias("p")).where("p is not null"), spec)
 
 
 def _bases(spec: FilterSpec, a: np.ndarray, b: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, int]:
@@ -78,12 +162,13 @@ def _bases(spec: FilterSpec, a: np.ndarray, b: np.ndarray) -> tuple[np.ndarray,
 
 def _packed_builder(spec: FilterSpec):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        array = np.zeros(spec.m_bits, bool)
+        bits = np.zeros(spec.m_bits // 8, np.uint8)
         for batch in batches:
             base, start, jump, size = _bases(spec, batch.column(0).to_numpy(), batch.column(1).to_numpy())
             for i in range(spec.k):
-                array[base + (start + i * jump) % size] = True
-        rows = np.packbits(array.reshape(-1, BUCKET_BITS), axis=1, bitorder="little")
+                p = np.unique(base + (start + i * jump) % size)
+                np.bitwise_or.at(bits, p >> 3, np.left_shift(1, p & 7).astype(np.uint8))
+        rows = bits.reshape(-1, BUCKET_BITS // 8)
         used = np.flatnonzero(rows.any(axis=1))
         for at in range(0, len(used), 1024):
             some = used[at : at + 1024]
@@ -108,39 +193,80 @@ def _bit(bitmap: Column, place: Column) -> Column:
     return F.getbit(byte, (place % 8).cast("int")) == 1
 
 
+def _mode(spec: FilterSpec, mode: str) -> str:
+    return mode if mode != "auto" else "packed" if spec.m_bits // 8 <= PACKED_BYTES else "shuffle"
+
+
+def _looked_up(rows: DataFrame, filter_: Filter, mode: str, bits: Column) -> DataFrame:
+    """``rows``, each of distinct lanes ``_a`` and ``_b``, of which all bits are set."""
+    spec = filter_.spec
+    table = filter_.table.select(F.col("bucket").alias("_bucket"), F.col("bitmap").alias("_bitmap"))
+    table = F.broadcast(table) if mode == "broadcast" else table.hint("merge")
+    rows = rows.select("_a", "_b", bits.alias("_bits"))
+    div = lambda p: F.call_function("div", p, F.lit(BUCKET_BITS))
+    if spec.layout == "blocked":  # all bits in one bucket: one look-up
+        found = rows.withColumn("_bucket", div(F.element_at("_bits", 1))).join(table, "_bucket")
+        return found.where(F.forall("_bits", lambda p: _bit(F.col("_bitmap"), p % BUCKET_BITS))).select("_a", "_b")
+    # a window whose first bits are clear is done: most go here, before the other bits are looked up
+    for part in (F.slice("_bits", 1, 2), F.slice("_bits", 3, spec.k)):
+        cells = rows.select("_a", "_b", "_bits", F.size(part).alias("_n"), F.explode_outer(part).alias("_p")).withColumn("_bucket", div(F.col("_p")))
+        met = cells.join(table, "_bucket").where(_bit(F.col("_bitmap"), F.col("_p") % BUCKET_BITS))
+        passed = met.groupBy("_a", "_b").agg(F.first("_bits").alias("_bits"), F.count("*").alias("_c"), F.first("_n").alias("_n")).where("_c = _n")
+        rows = passed.select("_a", "_b", "_bits")
+        if spec.k <= 2:
+            break
+    return rows.select("_a", "_b")
+
+
+def _with_hits(rows: DataFrame, filter_: Filter, mode: str) -> DataFrame:
+    """``rows`` with ``hit``, by their lanes ``_a`` and ``_b``; equal grams are looked up once, and a null one misses.
+
+    Nothing is joined by a caller's column, so null and repeated keys keep their hits.
+    """
+    asked = rows.select("_a", "_b").where("_a is not null").distinct()
+    hits = _looked_up(asked, filter_, mode, positions_of(F.col("_a"), F.col("_b"), filter_.spec)).withColumn("_hit", F.lit(True))
+    return rows.join(hits, ["_a", "_b"], "left").withColumn("hit", F.coalesce("_hit", F.lit(False)))
+
+
 def probe(windows: DataFrame, filter_: Filter, *, mode: str = "auto", gram: str = "gram") -> DataFrame:
     """``windows`` with ``hit``: whether all bits of its gram are set. Never false for a stored gram.
 
     ``packed`` sends a small filter to all executors and tests bits in numpy; ``broadcast`` and
     ``shuffle`` join on the bucket; ``auto`` packs a filter of at most PACKED_BYTES and shuffles else.
+    Null grams miss; rows alike are kept as they are.
     """
     spec = filter_.spec
-    if mode == "auto":
-        mode = "packed" if spec.m_bits // 8 <= PACKED_BYTES else "shuffle"
-    if mode == "packed":
-        return windows.withColumn("hit", packed_probe_udf(pack(filter_), spec, windows.sparkSession)(*lanes(F.col(gram), spec)))
-    rows = windows.withColumn("_bits", bit_positions(F.col(gram), spec))
-    table = filter_.table.select(F.col("bucket").alias("_bucket"), F.col("bitmap").alias("_bitmap"))
-    table = F.broadcast(table) if mode == "broadcast" else table.hint("merge")
-    if spec.layout == "blocked":  # all bits in one bucket: one lookup, no second shuffle
-        rows = rows.withColumn("_bucket", F.call_function("div", F.element_at("_bits", 1), F.lit(BUCKET_BITS)))
-        found = rows.join(table, "_bucket", "left")
-        hit = F.forall("_bits", lambda b: _bit(F.col("_bitmap"), b % BUCKET_BITS))
-        return found.withColumn("hit", F.coalesce(hit, F.lit(False))).select(*windows.columns, "hit")
-    keys = windows.columns
-    # a window whose first bits are clear is done: most go here, before the other bits are looked up
-    for part in (F.slice("_bits", 1, 2), F.slice("_bits", 3, spec.k)):
-        cells = rows.select(*keys, "_bits", F.explode(part).alias("_p")).withColumn("_bucket", F.call_function("div", F.col("_p"), F.lit(BUCKET_BITS)))
-        tested = cells.join(table, "_bucket", "left").withColumn("_hit", F.coalesce(_bit(F.col("_bitmap"), F.col("_p") % BUCKET_BITS), F.lit(False)))
-        rows = tested.groupBy(*keys).agg(F.first("_bits").alias("_bits"), F.bool_and("_hit").alias("_hit")).where("_hit").drop("_hit")
-    hits = rows.select(*keys, F.lit(True).alias("hit"))
-    return windows.join(hits, keys, "left").withColumn("hit", F.coalesce("hit", F.lit(False)))
+    h1, h2 = lanes(F.col(gram), spec)
+    if (mode := _mode(spec, mode)) == "packed":
+        return windows.withColumn("hit", F.coalesce(packed_probe_udf(filter_, windows.sparkSession)(h1, h2), F.lit(False)))
+    return _with_hits(windows.withColumn("_a", h1).withColumn("_b", h2), filter_, mode).select(*windows.columns, "hit")
 
 
-def probe_texts(df: DataFrame, filter_: Filter, *, text: str = "text", key: str = "doc_id", mode: str = "auto") -> DataFrame:
-    """(key, pos, hit) of all windows of the given texts."""
-    s = filter_.spec
-    return probe(slide_grams(normalized(df, s, text=text, key=key), key=key, n=s.n, unit=s.unit), filter_, mode=mode)
+def probe_texts(df: DataFrame, filter_: Filter, *, text: str = "text", key: str = "doc_id", mode: str = "auto", hits_only: bool = False) -> DataFrame:
+    """(key, pos, hit) of all windows of the given texts, or of those that hit.
+
+    Texts are cut and hashed whole. With a packed filter they are tested there too, so that ``hits_only``
+    makes no row of any other window.
+    """
+    s, spark = filter_.spec, df.sparkSession
+    rows = normalized(df, s, text=text, key=key)
+    if _mode(s, mode) != "packed":
+        found = text_lanes(rows, s, key=key).withColumnsRenamed({"a": "_a", "b": "_b"})
+        out = _with_hits(found, filter_, _mode(s, mode)).select(key, "pos", "hit")
+        return out.where("hit") if hits_only else out
+    sent, kind = packed_broadcast(filter_, spark), rows.schema[key].dataType.simpleString()
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        array = np.frombuffer(sent.value, np.uint8)
+        for batch in batches:
+            for row, number, a, b in _cut(s, 1, batch):
+                hit = _all_set(array, s, a, b)
+                if hits_only:
+                    row, number, hit = row[hit], number[hit], hit[hit]
+                if len(row):
+                    yield pa.RecordBatch.from_arrays([batch.column(0).take(pa.array(row)), pa.array(number, pa.int32()), pa.array(hit)], names=["k", "pos", "hit"])
+
+    return rows.select(F.col(key).alias("k"), "text").mapInArrow(run, f"k {kind}, pos int, hit boolean").withColumnRenamed("k", key)
 
 
 def probe_keys(df: DataFrame, column: str, filter_: Filter) -> DataFrame:
@@ -160,59 +286,68 @@ def probe_many(df: DataFrame, filters: dict[str, Filter], **how) -> DataFrame:
 
 def pack(filter_: Filter) -> bytes:
     """The whole bit array, for a filter that the spec says is small."""
-    size = filter_.spec.m_bits // 8
-    if size > PACKED_BYTES:
-        raise ValueError(f"{size} bytes are too many to pack; join the table")
-    out = bytearray(size)
-    for r in filter_.table.toLocalIterator():
-        out[r["bucket"] * (BUCKET_BITS // 8) : (r["bucket"] + 1) * (BUCKET_BITS // 8)] = r["bitmap"]
-    return bytes(out)
-
-
-def packed_probe_udf(data: bytes, spec: FilterSpec, spark):
-    """Two hash lanes -> whether all k bits are set in the packed filter; a window is done at its first clear bit."""
-    sent = spark.sparkContext.broadcast(data)
+    if "bytes" not in filter_.sent:
+        size = filter_.spec.m_bits // 8
+        if size > PACKED_BYTES:
+            raise ValueError(f"{size} bytes are too many to pack; join the table")
+        out = bytearray(size)
+        for r in filter_.table.toLocalIterator():
+            out[r["bucket"] * (BUCKET_BITS // 8) : (r["bucket"] + 1) * (BUCKET_BITS // 8)] = r["bitmap"]
+        filter_.sent["bytes"] = bytes(out)
+    return filter_.sent["bytes"]
+
+
+def packed_broadcast(filter_: Filter, spark):
+    """The packed filter, sent to the executors once."""
+    if "broadcast" not in filter_.sent:
+        filter_.sent["broadcast"] = spark.sparkContext.broadcast(pack(filter_))
+    return filter_.sent["broadcast"]
+
+
+def _all_set(array: np.ndarray, spec: FilterSpec, a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    """Whether all k bits of each pair of lanes are set; a window is done at its first clear bit."""
+    base, start, jump, size = _bases(spec, a, b)
+    alive = np.arange(len(base))
+    for i in range(spec.k):
+        p = base[alive] + (start[alive] + i * jump[alive]) % size
+        alive = alive[(array[p >> 3] >> (p & 7).astype(np.uint8)) & 1 == 1]
+    hit = np.zeros(len(base), bool)
+    hit[alive] = True
+    return hit
+
+
+def packed_probe_udf(filter_: Filter, spark):
+    """Two hash lanes -> whether all k bits are set in the packed filter; null lanes give null."""
+    sent, spec = packed_broadcast(filter_, spark), filter_.spec
 
     @F.pandas_udf("boolean")
     def test(h1: pd.Series, h2: pd.Series) -> pd.Series:
-        array = np.frombuffer(sent.value, np.uint8)
-        base, start, jump, size = _bases(spec, h1.to_numpy(np.int64), h2.to_numpy(np.int64))
-        alive = np.arange(len(base))
-        for i in range(spec.k):
-            p = base[alive] + (start[alive] + i * jump[alive]) % size
-            alive = alive[(array[p >> 3] >> (p & 7).astype(np.uint8)) & 1 == 1]
-        hit = np.zeros(len(base), bool)
-        hit[alive] = True
+        known = h1.notna().to_numpy()
+        hit = np.zeros(len(h1), bool)
+        hit[known] = _all_set(np.frombuffer(sent.value, np.uint8), spec, h1[known].to_numpy(np.int64), h2[known].to_numpy(np.int64))
         return pd.Series(hit)
 
     return test
 
 
 class LocalProbe:
-    """A packed filter in one process: milliseconds a query, no job."""
+    """A packed filter in one process: no job, a text of any size in one vectorised pass."""
 
     def __init__(self, spec: FilterSpec, data: bytes):
-        if spec.hash != "md5":
-            raise ValueError("only the md5 family has a local twin")
         self.spec, self.bits = spec, np.frombuffer(data, np.uint8)
 
     def contains(self, gram: str) -> bool:
-        import hashlib
+        return bool(_all_set(self.bits, self.spec, *local_lanes([gram.encode()], self.spec))[0])
 
-        s, d = self.spec, hashlib.md5((self.spec.salt + gram).encode()).hexdigest()
-        h1, h2 = int(d[:15], 16), int(d[16:31], 16)
-        if s.layout == "blocked":
-            base, start, jump = h1 % s.buckets * BUCKET_BITS, h2 % BUCKET_BITS, (h1 // s.buckets) % BUCKET_BITS | 1
-            places = (base + (start + i * jump) % BUCKET_BITS for i in range(s.k))
-        else:
-            places = ((h1 % s.m_bits + i * (h2 % s.m_bits)) % s.m_bits for i in range(s.k))
-        return all(self.bits[p >> 3] >> (p & 7) & 1 for p in places)
+    def contains_all(self, grams: list[str]) -> np.ndarray:
+        return _all_set(self.bits, self.spec, *local_lanes([g.encode() for g in grams], self.spec))
 
-    def hits(self, text: str) -> list[int]:
-        n = self.spec.n
-        return [i for i in range(len(text) - n + 1) if self.contains(text[i : i + n])]
+    def hits(self, text: str | list[str]) -> list[int]:
+        """Positions of the windows that hit, of a normalised text or of its tokens."""
+        grams = local_grams(text, self.spec.n, 1, self.spec.unit)
+        return np.flatnonzero(_all_set(self.bits, self.spec, *local_lanes(grams, self.spec))).tolist() if grams else []
 
-    def chains(self, text: str) -> list[tuple[int, int]]:
+    def chains(self, text: str | list[str]) -> list[tuple[int, int]]:
         """(start, tiles) of the maximal runs of hits one stride apart, longest first."""
         hits, step = set(self.hits(text)), self.spec.stride
         found = []

@@ -8,6 +8,12 @@ from pyspark.sql import functions as F
 from tilesieve.functions.measures import expected_hits
 
 
+def joined(left: DataFrame, right: DataFrame, key: str, how: str = "left") -> DataFrame:
+    """A join by ``key`` in which a null key meets a null key."""
+    other = right.withColumnRenamed(key, "_key")
+    return left.join(other, left[key].eqNullSafe(other["_key"]), how).drop("_key")
+
+
 def islands(df: DataFrame, *, key: list[str], pos: str, step: int) -> DataFrame:
     """Maximal runs of positions exactly ``step`` apart: (key..., start, n_tiles)."""
     lane = Window.partitionBy(*key, F.col(pos) % step).orderBy(pos)
@@ -21,15 +27,14 @@ def chain_hits(hits: DataFrame, *, key: str = "doc_id", n: int = 50, stride: int
     rows = hits.where("hit") if "hit" in hits.columns else hits
     out = islands(rows, key=[key], pos="pos", step=stride).withColumn("n_chars", F.col("n_tiles") * stride + (n - stride))
     if texts is not None:
-        out = out.join(texts.select(key, F.col("text").alias("_t")), key).withColumn("chain", F.substring("_t", F.col("start") + 1, F.col("n_chars").cast("int"))).drop("_t")
+        out = joined(out, texts.select(key, F.col("text").alias("_t")), key, "inner").withColumn("chain", F.substring("_t", F.col("start") + 1, F.col("n_chars").cast("int"))).drop("_t")
     return out
 
 
 def longest_chain(chains: DataFrame, docs: DataFrame, *, key: str = "doc_id") -> DataFrame:
     """(key, max_tiles, lcs_chars, start) of every document; none has 0, and ties go to the smaller start."""
     best = chains.groupBy(key).agg(F.max(F.struct("n_tiles", (-F.col("start")).alias("s"), "n_chars")).alias("b"))
-    joined = docs.select(key).join(best, key, "left")
-    return joined.select(key, F.coalesce("b.n_tiles", F.lit(0)).cast("bigint").alias("max_tiles"), F.coalesce("b.n_chars", F.lit(0)).cast("bigint").alias("lcs_chars"), (-F.col("b.s")).cast("bigint").alias("start"))
+    return joined(docs.select(key), best, key).select(key, F.coalesce("b.n_tiles", F.lit(0)).cast("bigint").alias("max_tiles"), F.coalesce("b.n_chars", F.lit(0)).cast("bigint").alias("lcs_chars"), (-F.col("b.s")).cast("bigint").alias("start"))
 
 
 def top_chains(chains: DataFrame, k: int = 10, *, key: str = "doc_id", per: str = "all", overlapping: bool = True) -> DataFrame:
@@ -67,16 +72,16 @@ def merged_spans(hits: DataFrame, *, key: str = "doc_id", n: int = 50) -> DataFr
 def highlight(docs: DataFrame, hits: DataFrame, *, key: str = "doc_id", n: int = 50, mark: tuple[str, str] = ("[[", "]]")) -> DataFrame:
     """(key, spans, marked): every document's hit ranges and its text with them marked."""
     spans = merged_spans(hits, key=key, n=n).groupBy(key).agg(F.array_sort(F.collect_list(F.struct(F.col("begin").cast("int").alias("begin"), F.col("end").cast("int").alias("end")))).alias("spans"))
-    joined = docs.select(key, "text").join(spans, key, "left").withColumn("spans", F.coalesce("spans", F.array().cast("array<struct<begin:int,end:int>>")))
+    shown = joined(docs.select(key, "text"), spans, key).withColumn("spans", F.coalesce("spans", F.array().cast("array<struct<begin:int,end:int>>")))
     state = F.struct(F.lit("").alias("s"), F.lit(0).alias("at"))
     piece = lambda a, x: F.struct(F.concat(a["s"], F.substring("text", a["at"] + 1, x["begin"] - a["at"]), F.lit(mark[0]), F.substring("text", x["begin"] + 1, x["end"] - x["begin"]), F.lit(mark[1])).alias("s"), x["end"].alias("at"))
     done = F.aggregate("spans", state, piece)
-    return joined.withColumn("_d", done).select(key, "spans", F.concat("_d.s", F.substring("text", F.col("_d.at") + 1, F.length("text"))).alias("marked"))
+    return shown.withColumn("_d", done).select(key, "spans", F.concat("_d.s", F.substring("text", F.col("_d.at") + 1, F.length("text"))).alias("marked"))
 
 
 def hanging(docs: DataFrame, best: DataFrame, *, key: str = "doc_id") -> DataFrame:
     """(key, head, tail): units before and after a document's longest chain that nothing confirms."""
-    return docs.select(key, F.length("text").alias("len")).join(best.where("max_tiles > 0"), key).select(key, F.col("start").alias("head"), (F.col("len") - F.col("start") - F.col("lcs_chars")).cast("bigint").alias("tail"))
+    return joined(docs.select(key, F.length("text").alias("len")), best.where("max_tiles > 0"), key, "inner").select(key, F.col("start").alias("head"), (F.col("len") - F.col("start") - F.col("lcs_chars")).cast("bigint").alias("tail"))
 
 
 def expected_overlap(docs: DataFrame, best: DataFrame, *, width: int, group: list[str], key: str = "doc_id", alignment: str = "uniform", min_tiles: int = 1) -> DataFrame:
@@ -85,7 +90,7 @@ def expected_overlap(docs: DataFrame, best: DataFrame, *, width: int, group: lis
     Documents without hits stay in the denominator; a group that expects nothing has a null ratio. A
     row with all ``group`` columns null is the total.
     """
-    rows = docs.select(key, *group, F.length("text").alias("_len")).join(best.select(key, "max_tiles"), key, "left")
+    rows = joined(docs.select(key, *group, F.length("text").alias("_len")), best.select(key, "max_tiles"), key)
     tiles = F.when(F.col("max_tiles") >= min_tiles, F.col("max_tiles")).otherwise(0)
     per = rows.rollup(*group) if group else rows.groupBy()
     out = per.agg(F.count("*").alias("instances"), F.sum(tiles).cast("bigint").alias("sum_max"), F.sum(expected_hits(F.coalesce("_len", F.lit(0)), width, alignment)).alias("_e"))
@@ -96,5 +101,5 @@ def coverage(docs: DataFrame, hits: DataFrame, *, key: str = "doc_id", n: int =
     """(key, windows, hit_count, covered_chars) of every document."""
     counts = hits.groupBy(key).agg(F.count("*").alias("windows"), F.count_if("hit").alias("hit_count"))
     covered = merged_spans(hits, key=key, n=n).groupBy(key).agg(F.sum(F.col("end") - F.col("begin")).alias("covered_chars"))
-    out = docs.select(key).join(counts, key, "left").join(covered, key, "left")
+    out = joined(joined(docs.select(key), counts, key), covered, key)
     return out.select(key, *[F.coalesce(c, F.lit(0)).cast("bigint").alias(c) for c in ("windows", "hit_count", "covered_chars")])

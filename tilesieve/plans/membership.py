@@ -3,7 +3,6 @@
 from __future__ import annotations
 
 import uuid
-import tempfile
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
@@ -18,7 +17,7 @@ from tilesieve.functions.text import MODES, detokenize, normalize, page_language
 from tilesieve.operators import analysis, bloom, chain
 from tilesieve.operators import baselines as base
 from tilesieve.plans import oracle as o
-from tilesieve.sources.io import load_filter, load_table, rejoin_lines, save_filter
+from tilesieve.sources.io import load_filter, load_table, rejoin_lines, save_filter, scratch_root
 
 N = 50
 Query = Callable[[SparkSession, str], DataFrame]
@@ -56,10 +55,27 @@ def visible(s: SparkSession, d: str) -> DataFrame:
     return p.select("page_id", page_language(F.col("url")).alias("lang"), page_text(F.col("html")).alias("text"))
 
 
-def corpus(s: SparkSession, d: str, **geometry) -> bloom.Filter:
+def built(s: SparkSession, d: str, **geometry) -> bloom.Filter:
+    """The filter of the documents, built anew."""
     return bloom.corpus_filter(docs(s, d), **geometry)
 
 
+_STORED: dict[tuple, bloom.Filter] = {}
+
+
+def corpus(s: SparkSession, d: str, **geometry) -> bloom.Filter:
+    """The filter of the documents as a user has it: built once, stored, and loaded by all that ask it.
+
+    Kept for the session by folder and geometry; the given tables don't change under it.
+    """
+    key = s.sparkContext.applicationId, d, *sorted(geometry.items())
+    if key not in _STORED:
+        path = f"{scratch_root(s)}/filter-{uuid.uuid4().hex}"
+        save_filter(built(s, d, **geometry), path)
+        _STORED[key] = load_filter(s, path)
+    return _STORED[key]
+
+
 NOVEL = "(SELECT conv_id, string_agg(text, ' ' ORDER BY turn, text) AS text FROM conversations GROUP BY conv_id)"
 VISIBLE = f"(SELECT page_id, regexp_extract(url, '/([a-z][a-z])/', 1) AS lang, {o.page_text('html')} AS html FROM pages)"
 
@@ -121,17 +137,17 @@ _DIGEST = f"SELECT p // {sizing.BUCKET_BITS} AS bucket, count(*) AS set_bits, su
 
 @query(f"WITH {o.corpus()} {_DIGEST.format('bits')}")
 def filter_build_char(s, d):
-    return bloom.filter_digest(corpus(s, d))
+    return bloom.filter_digest(built(s, d))
 
 
 @query(f"WITH {o.corpus(layout='blocked')} {_DIGEST.format('bits')}")
 def filter_build_blocked(s, d):
-    return bloom.filter_digest(corpus(s, d, layout="blocked"))
+    return bloom.filter_digest(built(s, d, layout="blocked"))
 
 
 @query(f"WITH {o.src('a', 'documents', 'doc_id')}, {o.token_grams('t', 'a', 'doc_id', 8, 8)}, {o.spec('sp', 't')}, {o.bits('b', 't', 'sp')} {_DIGEST.format('b')}")
 def filter_build_token(s, d):
-    return bloom.filter_digest(corpus(s, d, n=8, stride=8, unit="token"))
+    return bloom.filter_digest(built(s, d, n=8, stride=8, unit="token"))
 
 
 @query(f"WITH {o.corpus(table='pages', key='page_id', text='html')} {_DIGEST.format('bits')}")
@@ -141,7 +157,7 @@ def filter_build_pages(s, d):
 
 @query(f"WITH {o.src('a', 'documents', 'doc_id')}, {o.windows('t', 'a', 'doc_id')}, {o.spec('sp', 't')}, {o.bits('b', 't', 'sp')} {_DIGEST.format('b')}")
 def filter_dense(s, d):
-    return bloom.filter_digest(corpus(s, d, stride=1, build="packed"))
+    return bloom.filter_digest(built(s, d, stride=1))
 
 
 @query(f"WITH {o.corpus()}, {o.tiles('pt', 'ps', 'page_id')}, {o.src('ps', 'pages', 'page_id', 'html')}, {o.bits('pb', 'pt', 'spec')}, u AS (SELECT p FROM bits UNION SELECT p FROM pb) {_DIGEST.format('u')}".replace(o.tiles("pt", "ps", "page_id") + ", " + o.src("ps", "pages", "page_id", "html"), o.src("ps", "pages", "page_id", "html") + ", " + o.tiles("pt", "ps", "page_id")))
@@ -167,8 +183,7 @@ def filter_stats(s, d):
 def filter_roundtrip(s, d):
     """Saved, loaded with its spec checked, and still the same bits."""
     f = corpus(s, d)
-    root = s.conf.get("spark.checkpoint.dir", None) or f"file://{tempfile.gettempdir()}/tilesieve-scratch"
-    path = f"{root}/filter-{uuid.uuid4().hex}"
+    path = f"{scratch_root(s)}/filter-{uuid.uuid4().hex}"
     save_filter(f, path)
     return bloom.filter_digest(load_filter(s, path, expect=f.spec))
 
@@ -199,8 +214,13 @@ _probe("probe_blocked_shuffle", "blocked", "shuffle")
 _probe("probe_packed", "classic", "packed")
 
 
-def bench_hits(s, d, **how) -> DataFrame:
-    return bloom.probe_texts(load_table(s, d, "benchmark"), corpus(s, d), key="item_id", **how)
+def bench_hits(s, d, hits_only: bool = True) -> DataFrame:
+    return bloom.probe_texts(load_table(s, d, "benchmark"), corpus(s, d), key="item_id", hits_only=hits_only)
+
+
+def longest(texts: DataFrame, f: bloom.Filter, key: str) -> DataFrame:
+    """Longest chain of each text."""
+    return chain.longest_chain(chain.chain_hits(bloom.probe_texts(texts, f, key=key, hits_only=True), key=key), texts, key=key)
 
 
 @query(f"WITH {_ASKED} SELECT item_id, start, n_tiles, n_chars::BIGINT AS n_chars FROM qch")
@@ -234,7 +254,7 @@ def highlight_spans(s, d):
 
 @query(f"WITH {_ASKED}, {_SPANS}, c AS (SELECT item_id, sum(e - b) AS n FROM sp GROUP BY item_id), h AS (SELECT item_id, count(*) AS w, count(*) FILTER (WHERE hit) AS n FROM qhits GROUP BY item_id) SELECT q.item_id, coalesce(h.w, 0)::BIGINT AS windows, coalesce(h.n, 0)::BIGINT AS hit_count, coalesce(c.n, 0)::BIGINT AS covered_chars FROM q LEFT JOIN h USING (item_id) LEFT JOIN c USING (item_id)")
 def hit_coverage(s, d):
-    return chain.coverage(items(s, d), bench_hits(s, d), key="item_id")
+    return chain.coverage(items(s, d), bench_hits(s, d, hits_only=False), key="item_id")
 
 
 @query(f"WITH {_ASKED} SELECT item_id, start AS head, (length(text) - start - lcs_chars)::BIGINT AS tail FROM qbest JOIN q USING (item_id) WHERE max_tiles > 0")
@@ -286,7 +306,7 @@ def test_sets(s, d) -> DataFrame:
 
 
 def _overlap(s, d, sets: DataFrame, group: list[str], least: int = 1) -> DataFrame:
-    best = chain.longest_chain(chain.chain_hits(bloom.probe_texts(sets, corpus(s, d), key="id"), key="id"), sets, key="id")
+    best = longest(sets, corpus(s, d), "id")
     return chain.expected_overlap(sets, best, width=N, group=group, key="id", min_tiles=least)
 
 
@@ -331,7 +351,7 @@ _VERDICTS = f"WITH {o.src('csrc', 'documents', 'doc_id')}, {o.tiles('ctiles', 'c
 
 def _verdicts(s, d) -> DataFrame:
     texts = labelled(s, d)
-    best = chain.longest_chain(chain.chain_hits(bloom.probe_texts(texts, corpus(s, d), key="id"), key="id"), texts, key="id")
+    best = longest(texts, corpus(s, d), "id")
     return analysis.classify(best, texts, key="id")
 
 
@@ -372,7 +392,7 @@ _NOVEL_ASKED = f"{o.corpus()}, {o.asked(NOVEL, 'conv_id')}"
 
 
 def novel_hits(s, d) -> DataFrame:
-    return bloom.probe_texts(novel(s, d), corpus(s, d), key="conv_id")
+    return bloom.probe_texts(novel(s, d), corpus(s, d), key="conv_id", hits_only=True)
 
 
 @query(f"WITH {_NOVEL_ASKED} SELECT count(*) AS chains, count(*) FILTER (WHERE n_tiles >= 2) AS false_chains, coalesce(max(n_tiles), 0)::BIGINT AS longest FROM qch")
@@ -434,7 +454,7 @@ def verify_chains(s, d):
 
 
 def _leaks(s, d, texts: DataFrame, key: str) -> DataFrame:
-    return chain.longest_chain(chain.chain_hits(bloom.probe_texts(texts, corpus(s, d), key=key), key=key), texts, key=key)
+    return longest(texts, corpus(s, d), key)
 
 
 @query(f"WITH {o.corpus()}, l AS (SELECT item_id, string_agg(line, ' ' ORDER BY i) AS text FROM (SELECT item_id, unnest(string_split(text, chr(10))) AS line, generate_subscripts(string_split(text, chr(10)), 1) AS i FROM benchmark) GROUP BY item_id), {o.asked('l', 'item_id')} SELECT item_id, max_tiles, lcs_chars FROM qbest ORDER BY max_tiles DESC, item_id LIMIT 10")
@@ -466,7 +486,7 @@ def copy_check_pages(s, d):
     pages = load_table(s, d, "pages").select("page_id", F.col("html").alias("text"))
     f = bloom.corpus_filter(pages, key="page_id")
     moved = pages.withColumn("text", F.replace("text", F.lit("\n"), F.lit("\n\t    ")))
-    best = chain.longest_chain(chain.chain_hits(bloom.probe_texts(moved, f, key="page_id"), key="page_id"), moved, key="page_id")
+    best = longest(moved, f, "page_id")
     return best.where("max_tiles >= 2").select("page_id", "max_tiles", "lcs_chars")
 
 
@@ -656,7 +676,7 @@ def extension_attack(s, d):
     alphabet = "".join(r["c"] for r in rows.select(F.explode(F.split("text", "")).alias("c")).distinct().collect())
     out = []
     for stride in (1, N):
-        f = corpus(s, d, stride=stride, fpp=1e-6, build="packed")
+        f = corpus(s, d, stride=stride, fpp=1e-6)
         local = bloom.LocalProbe(f.spec, bloom.pack(f))
         out.append((stride, len(analysis.extension_attack(local.contains, seed[0], alphabet, n=N, steps=200))))
     return s.createDataFrame(out, "stride int, reached int")

@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import tempfile
 import uuid
 from collections.abc import Callable
 
@@ -12,7 +11,7 @@ from pyspark.sql import functions as F
 from tilesieve.operators import bloom
 from tilesieve.plans import oracle as o
 from tilesieve.plans.membership import corpus
-from tilesieve.sources.io import SCHEMAS, load_table
+from tilesieve.sources.io import SCHEMAS, load_table, scratch_root
 from tilesieve.streaming import streams
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -29,8 +28,7 @@ def query(sql: str | None = None):
 
 
 def _folder(s: SparkSession) -> str:
-    root = s.conf.get("spark.checkpoint.dir", None) or f"file://{tempfile.gettempdir()}/tilesieve-scratch"
-    return f"{root}/stream-{uuid.uuid4().hex}"
+    return f"{scratch_root(s)}/stream-{uuid.uuid4().hex}"
 
 
 def _source(d: str, name: str) -> str:

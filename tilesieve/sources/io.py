@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import json
+import tempfile
 from dataclasses import asdict
 
 from pyspark.sql import DataFrame, SparkSession
@@ -23,6 +24,18 @@ SCHEMAS = {
 TEXT_TABLES = ("documents", "pages", "conversations")
 
 
+def scratch_root(spark: SparkSession) -> str:
+    """The folder that driver and executors share, as ``spark.checkpoint.dir`` names it.
+
+    Only a local session, whose tasks are one machine's, may do without; a cluster that names none is an error.
+    """
+    if root := spark.conf.get("spark.checkpoint.dir", None):
+        return root.rstrip("/")
+    if spark.sparkContext.master.split("[")[0] != "local":
+        raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
+    return f"file://{tempfile.gettempdir()}/tilesieve-scratch"
+
+
 def load_table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     """A given table; text tables are read with their schema, and only the columns used are read at all.
 

@@ -54,7 +54,7 @@ def probe_stream(stream: DataFrame, filter_: bloom.Filter, out: str, checkpoint:
 
     def step(batch: DataFrame, number: int) -> None:
         texts = bloom.normalized(batch, filter_.spec, key=key)
-        best = chain.longest_chain(chain.chain_hits(bloom.probe_texts(texts, filter_, key=key), key=key), texts, key=key)
+        best = chain.longest_chain(chain.chain_hits(bloom.probe_texts(texts, filter_, key=key, hits_only=True), key=key), texts, key=key)
         best.write.mode("overwrite").parquet(f"{out}/batch={number}")
 
     return stream.writeStream.foreachBatch(step).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
