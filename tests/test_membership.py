@@ -198,6 +198,23 @@ def test_boundary_guarantee(spark):
     assert closed == probed and closed[39] == 0 and closed[38] == 1 and closed[20] == 19
 
 
+def test_search_classifier_against_plain_code(spark):
+    """Verdicts of full-text search: the common stretch with the best document, by a suffix automaton and by SQL's rule."""
+    rng = random.Random(21)
+    texts = [(i, " ".join(rng.choice("alpha beta gamma delta epsilon zeta eta theta".split()) + str(rng.randint(0, 40)) for _ in range(30))) for i in range(12)]
+    asked = [(1, texts[3][1]), (2, texts[4][1][:150] + " other words at the end of this one"), (3, "nothing of it"), (4, None), (5, "")]
+    docs, q = frame(spark, texts), spark.createDataFrame(asked, "item_id bigint, text string")
+    for chars in (200, 50):
+        got = {r["item_id"]: r for r in baselines.fts_classify(baselines.build_index(docs), docs, q, prefix_chars=chars).collect()}
+        for k, t in asked:
+            top = dict(texts).get(got[k]["top"])
+            size = baselines.longest_common_substring(top, t) if top and t else 0
+            need = int(len(t or "") * 0.9) + 1
+            assert got[k]["lcs_chars"] == size and got[k]["pred"] == bool(t and size / len(t) > 0.9)
+            assert got[k]["pred"] == any(t[i : i + need] in top for i in range(len(t) - need + 1)) if t and top else not got[k]["pred"]
+        assert got[1]["pred"] and not got[2]["pred"]
+
+
 def test_extension_attack_stalls_on_tiles(spark):
     text = "the secret recipe needs three eggs, a pinch of salt and patience"
     for stride, reach in ((1, len(text)), (12, 12)):
@@ -220,7 +237,7 @@ def test_scan_phrase_and_suffix_agree(spark):
     assert scan == [(1, 1), (1, 2), (2, 3)]
     assert rows(baselines.phrase_search(baselines.build_index(docs, positions=True), asked), "item_id", "doc_id") == scan
     table = baselines.build_suffix_table(docs, depth=16)
-    assert rows(baselines.suffix_lookup(table, asked.where("length(text) >= 8")), "item_id", "doc_id") == [(1, 1), (1, 2)]
+    assert rows(baselines.suffix_lookup(table, asked.where("length(text) >= 8"), docs, depth=16), "item_id", "doc_id") == [(1, 1), (1, 2)]
     assert table.count() == sum(len(t) for _, t in [(1, "one two three four five"), (2, "zero one two three"), (3, "three two one")])
 
 

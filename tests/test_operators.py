@@ -5,7 +5,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from tilesieve.functions.text import detokenize, normalize, page_text, tokenize_punct
-from tilesieve.operators import analysis, joins
+from tilesieve.operators import analysis, baselines, bloom, joins
 from tilesieve.sources import io
 from tilesieve.streaming import streams
 
@@ -84,7 +84,16 @@ def test_offset_map(spark):
 def test_properties_hold(spark):
     rows = {r["tool"]: r for r in analysis.property_matrix(spark).collect()}
     assert rows["tiled Bloom filter"]["avoids_redistribution"] and not rows["tiled Bloom filter"]["has_index"]
-    assert analysis.row_bytes(spark.createDataFrame([("é", 1)], "a string, b bigint")).first()[0] == 10
+    assert analysis.table_bytes(spark.createDataFrame([("é", 1, [1, 2])], "a string, b bigint, c array<int>")).first()[0] == 18
+    docs = spark.createDataFrame([(1, "some stored words that are long enough for tiles")], "doc_id bigint, text string")
+    tables = {
+        "full-text index": baselines.build_index(docs, positions=True)[0], "suffix array": baselines.build_suffix_table(docs),
+        "tiled Bloom filter": bloom.corpus_filter(docs, n=10, stride=10).table, "scan of stored text": docs,
+    }
+    for tool, table in tables.items():
+        hands_out_text = any(kind == "string" for _, kind in table.dtypes)
+        finds_places = bool({"doc_id", "pos"} & set(table.columns))
+        assert rows[tool]["avoids_redistribution"] != hands_out_text and rows[tool]["has_index"] == finds_places
 
 
 @pytest.mark.parametrize("op", [streams.tumbling, streams.sliding, streams.sessions, streams.deduplicated, streams.within])
@@ -99,6 +108,45 @@ def test_streams_equal_tables(spark, tmp_path, sf, op):
     assert sorted(map(str, spark.table(name).collect())) == sorted(map(str, op(table).collect()))
 
 
+def test_ingest_restarts_and_compacts(spark, tmp_path, sf):
+    """A restarted query without new rows still gives the whole filter; compacting changes no bit."""
+    docs = io.load_table(spark, sf, "documents")
+    want = bloom.corpus_filter(docs)
+    assert streams.ingested(spark, want.spec, f"file://{tmp_path}/none").table.count() == 0
+    for part in range(2):
+        docs.where(F.col("doc_id") % 2 == part).coalesce(1).write.parquet(f"file://{tmp_path}/in/{part}")
+    for _ in range(2):
+        stream = streams.open_dir(spark, f"file://{tmp_path}/in/*", io.SCHEMAS["documents"], files_per_batch=1)
+        streams.ingest_stream(stream, want.spec, f"file://{tmp_path}/out", f"file://{tmp_path}/check").awaitTermination()
+        got = streams.ingested(spark, want.spec, f"file://{tmp_path}/out")
+        assert bloom.filter_digest(got).exceptAll(bloom.filter_digest(want)).count() == 0 and got.table.count() == want.table.count()
+    small = streams.compact(spark, want.spec, f"file://{tmp_path}/out", f"file://{tmp_path}/small")
+    assert bloom.filter_digest(small).exceptAll(bloom.filter_digest(want)).count() == 0
+
+
+def test_narrowed_scans_lose_nothing(spark):
+    rng = random.Random(12)
+    texts = ["".join(rng.choices("abc ", k=rng.randint(0, 120))) for _ in range(40)] + [None]
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id bigint, text string")
+    cuts = [(i, t[a : a + n]) for i, (t, a, n) in enumerate((rng.choice(texts[:40]), rng.randint(0, 60), rng.choice([3, 20, 31, 50])) for _ in range(60))]
+    asked = spark.createDataFrame(cuts + [(99, ""), (98, "z" * 40)], "item_id bigint, text string")
+    scan, narrowed = (sorted(map(tuple, baselines.scan_exact(docs, asked, scan_bytes=b).collect())) for b in (1 << 20, 0))
+    assert scan == narrowed == sorted((k, i, t.index(q)) for k, q in cuts if q for i, t in enumerate(texts) if t and q in t)
+    table = baselines.build_suffix_table(docs.where("text is not null"), depth=24)
+    want = sorted((k, i, p) for k, q in cuts if q for i, t in enumerate(texts) if t for p in range(len(t)) if t.startswith(q, p) and q.strip() == q and "  " not in q)
+    got = sorted(tuple(r) for r in baselines.suffix_lookup(table, asked, docs, depth=24).collect())
+    assert [g for g in got if cuts[g[0]][1].strip() == cuts[g[0]][1] and "  " not in cuts[g[0]][1]] == want
+
+
+def test_neighbour_lcp(spark):
+    text = "abcdefghij abcdefghij abcdefgh"
+    table = baselines.build_suffix_table(spark.createDataFrame([(1, text)], "doc_id bigint, text string"), depth=40)
+    order = sorted(text[i:] for i in range(len(text)))
+    common = lambda a, b: next((n for n in range(len(a)) if n >= len(b) or a[n] != b[n]), len(a))
+    want = sorted(c for c in (common(a, b) for a, b in zip(order, order[1:], strict=False)) if c >= 8)
+    assert sorted(r["lcp"] for r in baselines.neighbour_lcp(table).collect() for _ in range(r["pairs"])) == want
+
+
 def test_entry_without_training_operators(tmp_path):
     """With the training subpackage gone the entry still imports and keeps the other queries."""
     import shutil

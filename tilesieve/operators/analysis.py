@@ -2,13 +2,18 @@
 
 from __future__ import annotations
 
+from dataclasses import replace
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from tilesieve.functions.grams import slide_grams, tile_grams
 from tilesieve.functions.measures import is_member
 from tilesieve.functions.sizing import bits_for
-from tilesieve.operators.bloom import Filter, probe
+from tilesieve.operators import joins
+from tilesieve.operators.baselines import NARROW, sharing_tile
+from tilesieve.operators.bloom import Filter, probe_texts
+from tilesieve.operators.joins import small_side
 
 
 def empirical_fpr(hits: DataFrame, truth: DataFrame) -> DataFrame:
@@ -78,7 +83,8 @@ def boundary_probe(df: DataFrame, filter_: Filter, lengths: tuple[int, ...], *,
     offsets = df.where(F.length("text") >= max(lengths) + n).select(key, "text", F.explode(F.sequence(F.lit(0), F.lit(n - 1))).alias("r"))
     cells = offsets.withColumn("length", F.explode(F.array(*[F.lit(x) for x in lengths])))
     named = cells.select(F.concat_ws("/", key, "r", "length").alias("sample"), "length", F.substring("text", F.col("r") + 1, F.col("length")).alias("text"))
-    hits = probe(slide_grams(named, key="sample", n=n), filter_).groupBy("sample").agg(F.bool_or("hit").alias("hit"))
+    as_is = replace(filter_, spec=replace(filter_.spec, norm="none"))  # a blank at an edge belongs to the substring
+    hits = probe_texts(named, as_is, key="sample", hits_only=True).groupBy("sample").agg(F.bool_or("hit").alias("hit"))
     return named.select("sample", "length").join(hits, "sample", "left").groupBy("length").agg(F.count("*").alias("samples"), F.count_if(~F.coalesce("hit", F.lit(False))).alias("misses"))
 
 
@@ -89,18 +95,18 @@ def permute_tiles(df: DataFrame, *, n: int = 50, seed: str = "", key: str = "doc
     return tiles.groupBy(key).agg(F.array_sort(F.collect_list(keyed)).alias("t")).select(key, F.array_join(F.transform("t", lambda x: x["gram"]), "").alias("text"))
 
 
-def verify_chains(chains: DataFrame, corpus: DataFrame, *, key: str = "doc_id", candidates: DataFrame | None = None) -> DataFrame:
+def verify_chains(chains: DataFrame, corpus: DataFrame, *, key: str = "doc_id", source: str = "doc_id") -> DataFrame:
     """Chains with ``contiguous``: whether their inferred string is anywhere in the corpus.
 
-    ``chains`` needs ``chain``; ``candidates`` (key, source key as ``cand``) narrows the texts to look in.
+    ``chains`` needs ``chain``; only texts that share a tile with a string are looked at, which all that hold it do
+    if it is long enough; a shorter string is looked for in all.
     """
-    texts = corpus.select(F.col(key).alias("cand"), F.col("text").alias("_d"))
-    distinct = chains.select("chain").distinct()
-    if candidates is not None:
-        pairs = chains.select(key, "chain").join(candidates, key).join(texts, "cand")
-        found = pairs.where(F.contains("_d", "chain")).select(key, "chain").distinct().withColumn("_y", F.lit(True))
-        return chains.join(found, [key, "chain"], "left").withColumn("contiguous", F.coalesce("_y", F.lit(False))).drop("_y")
-    found = texts.join(F.broadcast(distinct), F.contains("_d", "chain")).select("chain").distinct().withColumn("_y", F.lit(True))
+    texts = corpus.select(F.col(source).alias("cand"), F.col("text").alias("text"))
+    strings = chains.select(F.col("chain").alias("_q")).where("chain is not null").distinct()
+    long = strings.where(F.length("_q") >= 2 * NARROW - 1)
+    near = sharing_tile(texts, long, key="cand").join(texts, "cand").select("_q", "text")
+    far = texts.select("text").crossJoin(small_side(strings.where(F.length("_q") < 2 * NARROW - 1))).select("_q", "text")
+    found = near.unionByName(far).where(F.contains("text", "_q")).select(F.col("_q").alias("chain")).distinct().withColumn("_y", F.lit(True))
     return chains.join(found, "chain", "left").withColumn("contiguous", F.coalesce("_y", F.lit(False))).drop("_y")
 
 
@@ -125,13 +131,12 @@ def size_curve(spark, n_items: int, fpps: tuple[float, ...] = (1e-2, 1e-3, 1e-4)
 
 
 def property_matrix(spark) -> DataFrame:
-    """What each tool offers; every row is held by a test."""
+    """What each tool offers, as stated values; tests hold what can be run: which tables carry text, which find
+    places, which find near misses, and which may err."""
     rows = [("scan of stored text", False, "yes", True, "no", False), ("full-text index", False, "maybe", True, "maybe", False), ("suffix array", False, "yes", True, "no", False), ("tiled Bloom filter", True, "yes", False, "no", True)]
     return spark.createDataFrame(rows, "tool string, avoids_redistribution boolean, local string, has_index boolean, fuzzy string, probabilistic boolean")
 
 
-def row_bytes(df: DataFrame) -> DataFrame:
-    """Bytes of a structure's columns: UTF-8 of strings, bytes of binaries, 8 a long or double, 4 an int, 1 a boolean."""
-    size = {"string": lambda c: F.octet_length(c), "binary": lambda c: F.length(c), "bigint": lambda c: F.lit(8), "double": lambda c: F.lit(8), "int": lambda c: F.lit(4), "boolean": lambda c: F.lit(1)}
-    total = sum((F.coalesce(size[k](F.col(c)), F.lit(0)) for c, k in df.dtypes), F.lit(0))
-    return df.agg(F.coalesce(F.sum(total), F.lit(0)).cast("bigint").alias("n_bytes"))
+def table_bytes(df: DataFrame) -> DataFrame:
+    """Bytes of a structure's rows, as it was built."""
+    return df.agg(F.coalesce(F.sum(joins.row_bytes(df)), F.lit(0)).cast("bigint").alias("n_bytes"))

@@ -23,6 +23,8 @@ from tilesieve.functions.text import normalize
 
 #: A filter of at most this many bytes is sent whole to every executor; a larger one is joined.
 PACKED_BYTES = 256 << 20
+#: A filter of at most this many bytes is built as a whole array in each task.
+TASK_BYTES = 32 << 20
 #: Grams that a task hashes at once.
 SLICE_GRAMS = 1 << 16
 
@@ -60,6 +62,8 @@ def corpus_filter(df: DataFrame, *, text: str = "text", key: str = "doc_id", fpp
     rows = normalized(df, spec, text=text, key=key)
     if build == "text":
         found = text_lanes(rows, spec, key=key, stride=spec.stride)
+        if spec.m_bits // 8 <= TASK_BYTES:
+            return _from_parts(found.select("a", "b"), spec)
         return _from_bits(found.mapInArrow(_places_of(spec), "p bigint"), spec)
     return build_filter(tile_grams(rows, key=key, n=spec.n, stride=spec.stride, unit=spec.unit), spec, build=build)
 
@@ -138,6 +142,12 @@ def _from_bits(bits: DataFrame, spec: FilterSpec) -> Filter:
     return Filter(spec, bits.groupBy((number - 1).alias("bucket")).agg(F.bitmap_construct_agg(place).alias("bitmap")))
 
 
+def _from_parts(hashed: DataFrame, spec: FilterSpec) -> Filter:
+    """Bitmaps of a small filter: each task sets the bits of all its grams in one array."""
+    parts = hashed.mapInArrow(_packed_builder(spec), "bucket bigint, bitmap binary")
+    return Filter(spec, parts.groupBy("bucket").agg(F.bitmap_or_agg("bitmap").alias("bitmap")))
+
+
 def build_filter(grams: DataFrame, spec: FilterSpec, gram: str = "gram", *, build: str = "native") -> Filter:
     """Set the bits of all grams, given as rows.
 
@@ -145,11 +155,10 @@ def build_filter(grams: DataFrame, spec: FilterSpec, gram: str = "gram", *, buil
     array of its own, and ORs those: several times as fast for a filter small enough (dense builds).
     """
     if build == "packed":
-        if spec.m_bits // 8 > PACKED_BYTES // 4:
+        if spec.m_bits // 8 > TASK_BYTES:
             raise ValueError("too large a filter to be built in each task")
         h1, h2 = lanes(F.col(gram), spec)
-        parts = grams.select(h1.alias("a"), h2.alias("b")).mapInArrow(_packed_builder(spec), "bucket bigint, bitmap binary")
-        return Filter(spec, parts.groupBy("bucket").agg(F.bitmap_or_agg("bitmap").alias("bitmap")))
+        return _from_parts(grams.select(h1.alias("a"), h2.alias("b")), spec)
     return _from_bits(grams.select(F.explode_outer(bit_positions(F.col(gram), spec)).alias("p")).where("p is not null"), spec)
 
 
@@ -311,6 +320,8 @@ def _all_set(array: np.ndarray, spec: FilterSpec, a: np.ndarray, b: np.ndarray)
     for i in range(spec.k):
         p = base[alive] + (start[alive] + i * jump[alive]) % size
         alive = alive[(array[p >> 3] >> (p & 7).astype(np.uint8)) & 1 == 1]
+        if not len(alive):
+            break
     hit = np.zeros(len(base), bool)
     hit[alive] = True
     return hit

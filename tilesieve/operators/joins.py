@@ -43,3 +43,19 @@ def salted_join(big: DataFrame, small: DataFrame, on: str, *, salts: int = 16) -
     a = big.withColumn("_salt", F.pmod(F.xxhash64(*big.columns), F.lit(salts)))
     b = small.withColumn("_salt", F.explode(F.sequence(F.lit(0), F.lit(salts - 1)).cast("array<bigint>")))
     return a.join(b, [on, "_salt"]).drop("_salt")
+
+
+#: Bytes of a side that is sent to all tasks.
+BROADCAST_BYTES = 64 << 20
+
+
+def row_bytes(df: DataFrame) -> Column:
+    """Bytes of a row: UTF-8 of strings, bytes of binaries, 8 a number, elements of arrays at 8 and their strings."""
+    size = {"string": F.octet_length, "binary": F.length, "array<string>": lambda c: F.octet_length(F.array_join(c, "")) + 8 * F.size(c), "array<int>": lambda c: 4 * F.size(c), "int": lambda c: F.lit(4), "boolean": lambda c: F.lit(1)}
+    return sum((F.coalesce(size.get(kind, lambda c: F.lit(8))(F.col(c)), F.lit(0)) for c, kind in df.dtypes), F.lit(0))
+
+
+def small_side(df: DataFrame, most: int = BROADCAST_BYTES) -> DataFrame:
+    """``df``, sent to all tasks if its rows, summed, hold few bytes; left to be shuffled otherwise."""
+    total = df.agg(F.sum(row_bytes(df) + 16).alias("b")).first()["b"] or 0
+    return F.broadcast(df) if total <= most else df

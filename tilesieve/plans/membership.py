@@ -14,7 +14,7 @@ from tilesieve.functions.hashing import bit_positions
 from tilesieve.functions.measures import expected_hits
 from tilesieve.functions.sizing import FilterSpec
 from tilesieve.functions.text import MODES, detokenize, normalize, page_language, page_text, tokenize_punct
-from tilesieve.operators import analysis, bloom, chain
+from tilesieve.operators import analysis, bloom, chain, checks
 from tilesieve.operators import baselines as base
 from tilesieve.plans import oracle as o
 from tilesieve.sources.io import load_filter, load_table, rejoin_lines, save_filter, scratch_root
@@ -76,6 +76,21 @@ def corpus(s: SparkSession, d: str, **geometry) -> bloom.Filter:
     return _STORED[key]
 
 
+_INDEXES: dict[tuple, tuple[DataFrame, DataFrame]] = {}
+
+
+def index(s: SparkSession, d: str, positions: bool = False) -> tuple[DataFrame, DataFrame]:
+    """The full-text index of the documents, stored in the order of its terms and loaded by all that search it."""
+    key = s.sparkContext.applicationId, d, positions
+    if key not in _INDEXES:
+        postings, totals = base.build_index(docs(s, d), positions=positions)
+        path = f"{scratch_root(s)}/index-{uuid.uuid4().hex}"
+        postings.repartitionByRange("term").sortWithinPartitions("term").write.parquet(f"{path}/postings")
+        totals.write.parquet(f"{path}/totals")
+        _INDEXES[key] = s.read.schema(postings.schema).parquet(f"{path}/postings"), s.read.schema(totals.schema).parquet(f"{path}/totals")
+    return _INDEXES[key]
+
+
 NOVEL = "(SELECT conv_id, string_agg(text, ' ' ORDER BY turn, text) AS text FROM conversations GROUP BY conv_id)"
 VISIBLE = f"(SELECT page_id, regexp_extract(url, '/([a-z][a-z])/', 1) AS lang, {o.page_text('html')} AS html FROM pages)"
 
@@ -160,7 +175,7 @@ def filter_dense(s, d):
     return bloom.filter_digest(built(s, d, stride=1))
 
 
-@query(f"WITH {o.corpus()}, {o.tiles('pt', 'ps', 'page_id')}, {o.src('ps', 'pages', 'page_id', 'html')}, {o.bits('pb', 'pt', 'spec')}, u AS (SELECT p FROM bits UNION SELECT p FROM pb) {_DIGEST.format('u')}".replace(o.tiles("pt", "ps", "page_id") + ", " + o.src("ps", "pages", "page_id", "html"), o.src("ps", "pages", "page_id", "html") + ", " + o.tiles("pt", "ps", "page_id")))
+@query(f"WITH {o.corpus()}, {o.src('ps', 'pages', 'page_id', 'html')}, {o.tiles('pt', 'ps', 'page_id')}, {o.bits('pb', 'pt', 'spec')}, u AS (SELECT p FROM bits UNION SELECT p FROM pb) {_DIGEST.format('u')}")
 def filter_merge(s, d):
     a = corpus(s, d)
     b = bloom.corpus_filter(load_table(s, d, "pages"), text="html", key="page_id", spec=a.spec)
@@ -238,7 +253,14 @@ def top_chains(s, d):
     return chain.top_chains(chain.chain_hits(bench_hits(s, d), key="item_id", texts=items(s, d)), 10, key="item_id").select("item_id", "start", "n_tiles", "n_chars", "chain")
 
 
-@query(None)
+_GREEDY = """o AS (SELECT *, row_number() OVER (PARTITION BY item_id ORDER BY n_tiles DESC, start) AS i FROM qch),
+r AS (SELECT DISTINCT item_id, 0::BIGINT AS i, []::STRUCT(b BIGINT, e BIGINT, t BIGINT)[] AS kept FROM o
+  UNION ALL SELECT r.item_id, o.i, CASE WHEN len(list_filter(kept, lambda x: x.b < o.start + o.n_chars AND o.start < x.e)) = 0 THEN list_append(kept, {'b': o.start::BIGINT, 'e': (o.start + o.n_chars)::BIGINT, 't': o.n_tiles::BIGINT}) ELSE kept END FROM r JOIN o ON o.item_id = r.item_id AND o.i = r.i + 1),
+f AS (SELECT item_id, unnest(kept[1:3]) AS x, unnest(range(1, least(len(kept), 3) + 1)) AS place FROM r QUALIFY row_number() OVER (PARTITION BY item_id ORDER BY i DESC) = 1)
+SELECT item_id, x.b::INT AS start, x.t AS n_tiles, x.e - x.b AS n_chars, place::INT AS place FROM f"""
+
+
+@query(f"WITH RECURSIVE {_ASKED}, {_GREEDY}")
 def top_chains_disjoint(s, d):
     return chain.top_chains(chain.chain_hits(bench_hits(s, d), key="item_id"), 3, key="item_id", per="doc", overlapping=False)
 
@@ -286,6 +308,9 @@ _SETS_SQL = {
     "pages": (VISIBLE, "page_id", "html"),
     "conversations": (NOVEL, "conv_id", "text"),
 }
+_SPLIT = r"trim(regexp_replace(regexp_replace(text, '([,.;:!?)\]}(\[{])', ' \1 ', 'g'), ' +', ' ', 'g'))"
+_JOIN = r"regexp_replace(regexp_replace({}, ' +([,.;:!?)\]}}])', '\1', 'g'), '([(\[{{]) +', '\1', 'g')"
+_SETS_SQL["benchmark_detokenised"] = (f"(SELECT item_id, {_JOIN.format(_SPLIT)} AS text FROM (SELECT item_id, {o.norm('text')} AS text FROM benchmark))", "item_id", "text")
 
 
 def _sets_sql(least: int = 1) -> str:
@@ -297,7 +322,8 @@ def _sets_sql(least: int = 1) -> str:
 def test_sets(s, d) -> DataFrame:
     """(test_set, id, text) of all sets that are scored."""
     short = items(s, d).withColumn("text", normalize(F.substring("text", 1, 60)))
-    parts = {"benchmark_full": items(s, d), "benchmark_first60": short, "pages": visible(s, d).select("page_id", "text"), "conversations": novel(s, d)}
+    plain = items(s, d).withColumn("text", normalize(detokenize(tokenize_punct(F.col("text")))))
+    parts = {"benchmark_detokenised": plain, "benchmark_full": items(s, d), "benchmark_first60": short, "pages": visible(s, d).select("page_id", "text"), "conversations": novel(s, d)}
     out = None
     for name, df in parts.items():
         rows = df.select(F.lit(name).alias("test_set"), F.concat(F.lit(f"{name}/"), F.col(df.columns[0]).cast("string")).alias("id"), "text")
@@ -315,6 +341,25 @@ def expected_overlap_sets(s, d):
     return _overlap(s, d, test_sets(s, d), ["test_set"])
 
 
+@query(None)
+def overlap_seconds(s, d):
+    """The time column beside ``expected_overlap_sets``: seconds of all queries of each set, and milliseconds an instance.
+
+    The filter is at hand, as a user's is; texts are probed in one process, without a job, and chained.
+    """
+    import time
+
+    f = corpus(s, d)
+    local = bloom.LocalProbe(f.spec, bloom.pack(f))
+    spent: dict[str, list[float]] = {}
+    for r in test_sets(s, d).toLocalIterator():
+        began = time.perf_counter()
+        local.chains(r["text"] or "")
+        spent.setdefault(r["test_set"], []).append(time.perf_counter() - began)
+    every = [*sorted(spent.items()), ("sum", [x for v in spent.values() for x in v])]
+    return s.createDataFrame([(k, len(v), sum(v), 1000 * sum(v) / max(1, len(v))) for k, v in every], "test_set string, instances bigint, seconds double, ms_per_instance double")
+
+
 @query(_sets_sql(2))
 def eo_min_tiles2(s, d):
     return _overlap(s, d, test_sets(s, d), ["test_set"], least=2)
@@ -325,10 +370,6 @@ def expected_overlap_by_lang(s, d):
     return _overlap(s, d, visible(s, d).select("lang", F.col("page_id").alias("id"), "text"), ["lang"])
 
 
-_SPLIT = r"trim(regexp_replace(regexp_replace(text, '([,.;:!?)\]}(\[{])', ' \1 ', 'g'), ' +', ' ', 'g'))"
-_JOIN = r"regexp_replace(regexp_replace({}, ' +([,.;:!?)\]}}])', '\1', 'g'), '([(\[{{]) +', '\1', 'g')"
-
-
 @query(f"WITH {o.corpus()}, x AS (SELECT 'raw' AS form, 'raw/' || item_id AS id, {_SPLIT} AS text FROM (SELECT item_id, {o.norm('text')} AS text FROM benchmark) UNION ALL SELECT 'detok', 'detok/' || item_id, {_JOIN.format(_SPLIT)} FROM (SELECT item_id, {o.norm('text')} AS text FROM benchmark)), {o.asked('x', 'id')}, t AS (SELECT form, id, q.text FROM x JOIN q USING (id)) {o.eo('t', 'qbest', 'id', 'form')}")
 def eo_raw_vs_detok(s, d):
     """Targets with punctuation set off, and closed up again."""
@@ -368,6 +409,90 @@ def classify_f1(s, d):
     return analysis.confusion(_verdicts(s, d))
 
 
+#: Where in a document the balanced set's text begins: off the grid of tiles.
+_CUT = 37
+_PAIRED = f"n AS (SELECT conv_id, text, length(text) AS len, row_number() OVER (ORDER BY length(text) DESC, conv_id) AS r FROM (SELECT conv_id, {o.norm('text')} AS text FROM {NOVEL})), m AS (SELECT doc_id, text, length(text) AS len, row_number() OVER (ORDER BY length(text) DESC, doc_id) AS r FROM (SELECT doc_id, {o.norm('text')} AS text FROM documents) WHERE length(text) >= 99 + {_CUT} QUALIFY r <= (SELECT count(*) FROM n)), p AS (SELECT n.conv_id, m.doc_id, n.text AS a, m.text AS b, least(n.len, m.len - {_CUT})::INT AS len FROM n JOIN m USING (r)), l AS (SELECT 'c' || conv_id AS id, false AS label, trim(substr(a, 1, len)) AS text FROM p UNION ALL SELECT 'd' || doc_id, true, trim(substr(b, {_CUT + 1}, len)) FROM p)"
+
+
+def balanced(s, d) -> DataFrame:
+    """(id, label, text): as many corpus texts as novel ones, pairwise of one length.
+
+    All novel texts are ranked by length, and as many of the longest documents; both of a rank are cut to the
+    shorter length, documents from within. The set is bounded by the novel texts, which a user collects by hand.
+    """
+    from pyspark.sql import Window
+
+    new = novel(s, d).withColumn("len", F.length("text"))
+    n = new.count()
+    old = clean(s, d).withColumn("len", F.length("text")).where(F.col("len") >= 99 + _CUT).orderBy(F.desc("len"), "doc_id").limit(n)
+    ranked = lambda df, key: df.withColumn("r", F.row_number().over(Window.orderBy(F.desc("len"), key)))
+    a = ranked(new, "conv_id").select("r", F.concat(F.lit("c"), F.col("conv_id").cast("string")).alias("cid"), F.col("text").alias("a"), F.col("len").alias("n"))
+    b = ranked(old, "doc_id").select("r", F.concat(F.lit("d"), F.col("doc_id").cast("string")).alias("did"), F.col("text").alias("b"), F.col("len").alias("m"))
+    pairs = a.join(b, "r").withColumn("len", F.least("n", F.col("m") - _CUT))
+    cells = F.array(F.struct(F.col("cid").alias("id"), F.lit(False).alias("label"), F.trim(F.substring("a", F.lit(1), F.col("len"))).alias("text")), F.struct(F.col("did").alias("id"), F.lit(True).alias("label"), F.trim(F.substring("b", F.lit(_CUT + 1), F.col("len"))).alias("text")))
+    return pairs.select(F.inline(cells))
+
+
+def _balanced_verdicts(s, d, method: str, texts: DataFrame | None = None) -> DataFrame:
+    """(id, label, pred) by the filter or by full-text search with so many characters."""
+    texts = balanced(s, d) if texts is None else texts
+    if method == "filter":
+        return analysis.classify(longest(texts, corpus(s, d), "id"), texts, key="id").select("id", "label", "pred")
+    found = base.fts_classify(index(s, d), clean(s, d), texts, prefix_chars=int(method[3:]), qkey="id")
+    return found.join(texts.select("id", "label"), "id").select("id", "label", "pred")
+
+
+_METHODS = ("filter", "fts200", "fts50")
+
+
+def _top1(chars: int) -> str:
+    """Top document of the first characters; then whether a stretch of more than 0.9 of the text occurs in it."""
+    name = f"f{chars}"
+    found = _bm25(name, "l", "id", 1, f"substr(text, 1, {chars})")
+    need = "(floor(length(l.text) * 0.9)::INT + 1)"
+    held = f"len(list_filter(range(1, length(l.text) - {need} + 2), lambda i: contains(s.text, substr(l.text, i::INT, {need})))) > 0"
+    return f"{found}, v{chars} AS (SELECT l.id, l.label, coalesce({held}, false) AS pred FROM l LEFT JOIN {name} ON l.id = {name}.id LEFT JOIN src s ON s.doc_id = {name}.doc_id)"
+
+
+def _balanced_sql() -> str:
+    counts = _CONFUSION.replace("FROM v", "FROM {}")
+    parts = " UNION ALL ".join(f"SELECT '{m}' AS method, * FROM ({counts.format(v)})" for m, v in zip(_METHODS, ("v", "v200", "v50"), strict=True))
+    return f"WITH {o.corpus()}, {_PAIRED}, {o.asked('l', 'id')}, v AS (SELECT l.id, l.label, coalesce(lcs_chars / nullif(length(q.text), 0)::DOUBLE > 0.9, false) AS pred FROM l JOIN q USING (id) JOIN qbest USING (id)), {_INDEX}, {_top1(200)}, {_top1(50)} {parts}"
+
+
+def classify_balanced(s, d):
+    """F1 of the filter and of full-text search on the balanced set."""
+    out = None
+    for method in _METHODS:
+        row = analysis.confusion(_balanced_verdicts(s, d, method)).withColumn("method", F.lit(method))
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
+@query(None)
+def classify_seconds(s, d):
+    """The time column beside ``classify_balanced``: seconds a document, means of five runs, filter and index at hand.
+
+    ``filter, one process`` asks the packed filter without a job, as a service does.
+    """
+    import time
+
+    path = f"{scratch_root(s)}/balanced-{uuid.uuid4().hex}"
+    balanced(s, d).write.parquet(path)
+    texts = s.read.schema("id string, label boolean, text string").parquet(path)
+    f, n = corpus(s, d), texts.count()
+    local = bloom.LocalProbe(f.spec, bloom.pack(f))
+    index(s, d)
+    whole = [r["text"] for r in texts.select("text").toLocalIterator()]
+    began = time.perf_counter()
+    for _ in range(5):
+        for t in whole:
+            local.chains(t)
+    rows = [("filter, one process", n, (time.perf_counter() - began) / 5 / max(1, n))]
+    rows += [(method, n, checks.timed(lambda m=method: _balanced_verdicts(s, d, m, texts), runs=5) / max(1, n)) for method in _METHODS]
+    return s.createDataFrame(rows, "method string, documents bigint, seconds_per_document double")
+
+
 @query(f"SELECT c::INT AS tiles, w AS windows, round(w * pow(0.001, c), 12) AS expected FROM range(1, 6) t(c), (SELECT sum(greatest(0, length({o.norm('text')}) - 49))::BIGINT AS w FROM {NOVEL})")
 def chain_chance(s, d):
     w = novel(s, d).agg(F.sum(F.greatest(F.lit(0), F.length("text") - N + 1)).cast("bigint").alias("windows"))
@@ -431,6 +556,18 @@ def boundary_miss(s, d):
     return analysis.boundary_miss(clean(s, d), _LENGTHS)
 
 
+@query("WITH c AS (SELECT l, r FROM (SELECT " + o.norm("text") + f" AS text FROM documents), range(0, 50) x(r), (VALUES (98), (99)) v(l) WHERE length(text) >= 149) SELECT l AS length, count(*) AS samples, true AS within FROM c GROUP BY l")
+def boundary_probe(s, d):
+    """Real substrings at every offset, probed: never more misses than the closed form says, and none from 2 n - 1 on.
+
+    A substring that holds no whole tile of its own may still hit one of a copy that is cut elsewhere.
+    """
+    lengths = (98, 99)
+    got = analysis.boundary_probe(clean(s, d), corpus(s, d), lengths)
+    most = analysis.boundary_miss(clean(s, d), lengths).select("length", F.col("misses").alias("most"))
+    return got.join(most, "length").select("length", "samples", (F.col("misses") <= F.col("most")).alias("within"))
+
+
 _PERMUTED = "pm AS (SELECT doc_id, string_agg(gram, '' ORDER BY md5(tile_no::VARCHAR), tile_no) AS text FROM t GROUP BY doc_id)"
 
 
@@ -490,21 +627,37 @@ def copy_check_pages(s, d):
     return best.where("max_tiles >= 2").select("page_id", "max_tiles", "lcs_chars")
 
 
-_SPLICE = f"x AS (SELECT t.k, t.text || ' ' || substr(c.text, 38, 300) || ' ' || t.text AS text FROM (SELECT row_number() OVER (ORDER BY conv_id, turn) - 1 AS k, {o.norm('text')} AS text FROM conversations WHERE role = 'assistant') t JOIN (SELECT row_number() OVER (ORDER BY doc_id) - 1 AS k, text, count(*) OVER () AS n FROM src WHERE length(text) >= 400) c ON t.k % c.n = c.k)"
+_SPLICE = f"t AS (SELECT conv_id * 1000 + turn AS k, {o.norm('text')} AS text FROM conversations WHERE role = 'assistant'), c AS (SELECT text, row_number() OVER (PARTITION BY b ORDER BY doc_id) AS r, b FROM (SELECT doc_id, text, doc_id % 64 AS b FROM src WHERE length(text) >= 400) QUALIFY r = 1), x AS (SELECT t.k, t.text || ' ' || substr(c.text, 38, 300) || ' ' || t.text AS text FROM t JOIN c ON t.k % 64 = c.b)"
 
 
 @query(f"WITH {o.corpus()}, {_SPLICE}, {o.asked('x', 'k')} SELECT k, max_tiles, lcs_chars FROM qbest")
 def copy_check_spliced(s, d):
-    """Model outputs with 300 characters of a document put in: the first pass of a plagiarism check."""
-    from pyspark.sql import Window
+    """Model outputs with 300 characters of a document put in: the first pass of a plagiarism check.
 
-    turns = load_table(s, d, "conversations").where("role = 'assistant'").select((F.row_number().over(Window.orderBy("conv_id", "turn")) - 1).alias("k"), normalize(F.col("text")).alias("t"))
-    pieces = clean(s, d).where(F.length("text") >= 400).select((F.row_number().over(Window.orderBy("doc_id")) - 1).alias("p"), F.substring("text", 38, 300).alias("piece"))
-    n = pieces.count()
-    joined = turns.withColumn("p", F.col("k") % max(1, n)).join(pieces, "p").select(F.col("k").cast("bigint").alias("k"), F.concat_ws(" ", "t", "piece", "t").alias("text"))
+    Turns take their piece from one of 64 documents, the first of 400 characters or more of each class of ids.
+    """
+    turns = load_table(s, d, "conversations").where("role = 'assistant'").select((F.col("conv_id") * 1000 + F.col("turn")).alias("k"), normalize(F.col("text")).alias("t"))
+    pieces = clean(s, d).where(F.length("text") >= 400).groupBy((F.col("doc_id") % 64).alias("p")).agg(F.min_by(F.substring("text", 38, 300), "doc_id").alias("piece"))
+    joined = turns.withColumn("p", F.col("k") % 64).join(F.broadcast(pieces), "p").select("k", F.concat_ws(" ", "t", "piece", "t").alias("text"))  # 64 rows at most
     return _leaks(s, d, joined, "k").select("k", "max_tiles", "lcs_chars")
 
 
+_DOMAIN = "regexp_extract(url, '^[a-z]+://[^/]*[.]([a-z]+)(/|$)', 1)"
+
+
+@query(f"WITH {o.corpus()}, {o.asked(VISIBLE, 'page_id', 'html')}, g AS (SELECT page_id, {_DOMAIN} AS top_domain, regexp_extract(url, '/([a-z][a-z])/', 1) AS lang, max_tiles, lcs_chars FROM qbest JOIN pages USING (page_id)) SELECT top_domain, lang, page_id, max_tiles, lcs_chars, row_number() OVER (PARTITION BY top_domain, lang ORDER BY max_tiles DESC, page_id)::INT AS place FROM g WHERE lang <> 'en' QUALIFY place <= 10")
+def leak_top10_domains(s, d):
+    """The ten longest overlaps of each group of targets, by domain and language; English ones are left out, since
+    published sources are where a corpus has them from."""
+    from pyspark.sql import Window
+
+    p = load_table(s, d, "pages")
+    pages = p.select("page_id", F.regexp_extract("url", "^[a-z]+://[^/]*[.]([a-z]+)(/|$)", 1).alias("top_domain"), page_language(F.col("url")).alias("lang"), page_text(F.col("html")).alias("text")).where("lang != 'en'")
+    found = _leaks(s, d, pages.select("page_id", "text"), "page_id").join(pages.drop("text"), "page_id")
+    place = F.row_number().over(Window.partitionBy("top_domain", "lang").orderBy(F.desc("max_tiles"), "page_id"))
+    return found.withColumn("place", place).where("place <= 10").select("top_domain", "lang", "page_id", "max_tiles", "lcs_chars", "place")
+
+
 @query(f"WITH {o.corpus()}, {o.src('ps', 'pages', 'page_id', 'html')}, {o.tiles('pt', 'ps', 'page_id')}, {o.bits('pbits', 'pt', 'spec')}, {o.src('q', 'benchmark', 'item_id')}, {o.windows('w', 'q', 'item_id')}, {o.hits('h1', 'w', 'item_id', 'bits', 'spec')}, {o.hits('h2', 'w', 'item_id', 'pbits', 'spec')} SELECT 'documents' AS filter, item_id, count(*) FILTER (WHERE hit) AS hit_count FROM h1 GROUP BY item_id UNION ALL SELECT 'pages', item_id, count(*) FILTER (WHERE hit) FROM h2 GROUP BY item_id")
 def probe_two_filters(s, d):
     a = corpus(s, d)
@@ -582,7 +735,7 @@ def _bm25(name: str, of: str, key: str, top: int, text: str = "text") -> str:
 def _bm25_query(name: str, top: int) -> None:
     @query(f"WITH {_INDEX}, {_bm25('f', 'benchmark', 'item_id', top)} SELECT item_id, doc_id, row_number() OVER (PARTITION BY item_id ORDER BY score DESC, doc_id)::INT AS place, score FROM f", name)
     def run(s, d):
-        return base.bm25_search(base.build_index(docs(s, d)), load_table(s, d, "benchmark"), top=top).select("item_id", "doc_id", "place", "score")
+        return base.bm25_search(index(s, d), load_table(s, d, "benchmark"), top=top).select("item_id", "doc_id", "place", "score")
 
 
 _bm25_query("bm25_top1", 1)
@@ -591,7 +744,7 @@ _bm25_query("bm25_top25", 25)
 
 @query(f"WITH q AS (SELECT item_id, {_TERMS.format('text')} AS w FROM benchmark), d AS (SELECT doc_id, ' ' || array_to_string({_TERMS.format('text')}, ' ') || ' ' AS t FROM documents) SELECT item_id, doc_id FROM q JOIN d ON contains(t, ' ' || array_to_string(w, ' ') || ' ')")
 def phrase_search(s, d):
-    return base.phrase_search(base.build_index(docs(s, d), positions=True), load_table(s, d, "benchmark"))
+    return base.phrase_search(index(s, d, positions=True), load_table(s, d, "benchmark"))
 
 
 _WORDS = ["thou", "tion", "ading", "license", "idiot", "enten"]
@@ -599,31 +752,37 @@ _WORDS = ["thou", "tion", "ading", "license", "idiot", "enten"]
 
 @query(f"WITH {_INDEX} SELECT word, term, levenshtein(word, regexp_replace(term, '[^a-z0-9]', '#', 'g'))::INT AS edits, df AS n_docs FROM df, (VALUES {', '.join(f'({w!r})' for w in _WORDS)}) v(word) WHERE abs(length(term) - length(word)) <= 1 AND levenshtein(word, regexp_replace(term, '[^a-z0-9]', '#', 'g')) <= 1")
 def fuzzy_search(s, d):
-    return base.fuzzy_search(base.build_index(docs(s, d)), s.createDataFrame([(w,) for w in _WORDS], "word string"), max_edits=1)
+    return base.fuzzy_search(index(s, d), s.createDataFrame([(w,) for w in _WORDS], "word string"), max_edits=1)
 
 
 def _fts(name: str, chars: int) -> None:
     @query(None, name)
     def run(s, d):
         texts = labelled(s, d)
-        found = base.fts_classify(base.build_index(clean(s, d)), clean(s, d), texts, prefix_chars=chars, qkey="id")
+        found = base.fts_classify(index(s, d), clean(s, d), texts, prefix_chars=chars, qkey="id")
         return analysis.confusion(found.join(texts.select("id", "label"), "id")).withColumn("prefix_chars", F.lit(chars))
 
 
 _fts("classify_fts200", 200)
 _fts("classify_fts50", 50)
+query(_balanced_sql())(classify_balanced)
 
 
 @query(f"WITH {_INDEX}, g AS (SELECT DISTINCT substr(text, i + 1, 50) AS text FROM (SELECT text, unnest(range(0, length(text) - 49, 50)) AS i FROM (SELECT {o.norm('text')} AS text FROM benchmark))), {_bm25('f', 'g', 'g.text', 25, 'g.text').replace('SELECT g.text,', 'SELECT text,').replace('SELECT DISTINCT g.text', 'SELECT DISTINCT g.text AS text').replace('GROUP BY g.text', 'GROUP BY text').replace('PARTITION BY g.text', 'PARTITION BY text')}, h AS (SELECT f.text, bool_or(contains({o.norm('d.text')}, f.text)) AS truth FROM f JOIN documents d USING (doc_id) GROUP BY f.text) SELECT g.text AS gram, coalesce(truth, false) AS truth FROM g LEFT JOIN h USING (text)")
 def fts_ground_truth(s, d):
     grams = tile_grams(items(s, d), key="item_id")
-    return base.index_ground_truth(grams, clean(s, d), base.build_index(clean(s, d)))
+    return base.index_ground_truth(grams, clean(s, d), index(s, d))
+
+
+_SHORT = "(SELECT item_id AS id, text FROM q UNION ALL SELECT 1000000 + item_id, substr(text, 1, 5) FROM q UNION ALL SELECT 2000000 + item_id, substr(text, 11, 30) FROM q)"
 
 
-@query(f"WITH {o.src('a', 'documents', 'doc_id')}, {o.src('q', 'benchmark', 'item_id')}, p AS (SELECT item_id, substr(text, 1, 50) AS text FROM q), w AS (SELECT doc_id, i::INT AS pos, substr(text, i + 1, 50) AS gram FROM (SELECT doc_id, text, unnest(range(0, length(text))) AS i FROM a)) SELECT item_id, doc_id, pos FROM w JOIN p ON w.gram = p.text")
+@query(f"WITH {o.src('a', 'documents', 'doc_id')}, {o.src('q', 'benchmark', 'item_id')}, p AS {_SHORT}, n AS (SELECT DISTINCT length(text) AS len FROM p WHERE length(text) > 0), w AS (SELECT doc_id, i::INT AS pos, text, unnest(range(0, length(text))) AS i FROM a) SELECT id AS item_id, doc_id, i::INT AS pos FROM (SELECT doc_id, text, unnest(range(0, length(text))) AS i FROM a) w JOIN (SELECT *, substr(text, 1, 5) AS h, length(text) AS len FROM p) p ON substr(w.text, i::INT + 1, 5) = p.h AND substr(w.text, i::INT + 1, len::INT) = p.text".replace(", n AS (SELECT DISTINCT length(text) AS len FROM p WHERE length(text) > 0), w AS (SELECT doc_id, i::INT AS pos, text, unnest(range(0, length(text))) AS i FROM a)", ""))
 def suffix_lookup(s, d):
-    table = base.build_suffix_table(clean(s, d), depth=50)
-    return base.suffix_lookup(table, items(s, d).withColumn("text", F.substring("text", 1, 50)))
+    """Every place of each item, of its first five characters, and of 30 characters from within."""
+    q = items(s, d)
+    asked = q.unionByName(q.select((F.col("item_id") + 1000000).alias("item_id"), F.substring("text", 1, 5).alias("text"))).unionByName(q.select((F.col("item_id") + 2000000).alias("item_id"), F.substring("text", 11, 30).alias("text")))
+    return base.suffix_lookup(base.build_suffix_table(clean(s, d), sort=False), asked, clean(s, d))
 
 
 @query(f"WITH {o.src('a', 'documents', 'doc_id')}, {o.windows('w', 'a', 'doc_id')} SELECT n, count(*) AS grams FROM (SELECT gram, count(*) AS n FROM w GROUP BY gram HAVING count(*) > 1) GROUP BY n")
@@ -631,6 +790,21 @@ def suffix_duplicates(s, d):
     return base.suffix_duplicates(base.build_suffix_table(clean(s, d), depth=50, sort=False), 50).groupBy("n").agg(F.count("*").alias("grams"))
 
 
+def _lcp_sql() -> str:
+    step = "0"
+    for i in (32, 16, 8, 4, 2, 1):
+        n = f"n{i}"
+        step = f"(SELECT x, b, {'c' if i < 32 else '0'} + CASE WHEN {'c' if i < 32 else '0'} + {i} <= least(length(x), length(b)) AND substr(x, 1, {'c' if i < 32 else '0'} + {i}) = substr(b, 1, {'c' if i < 32 else '0'} + {i}) THEN {i} ELSE 0 END AS c FROM {step if i < 32 else 'pairs'})"
+        del n
+    return step
+
+
+@query(f"WITH {o.src('a', 'documents', 'doc_id')}, w AS (SELECT substr(text, i::INT + 1, 24) AS x FROM (SELECT text, unnest(range(0, length(text))) AS i FROM a)), pairs AS (SELECT x, lag(x) OVER (PARTITION BY substr(x, 1, 8) ORDER BY x) AS b FROM w WHERE length(x) >= 8 QUALIFY b IS NOT NULL) SELECT c::INT AS lcp, count(*) AS pairs FROM {_lcp_sql()} GROUP BY c")
+def suffix_lcp(s, d):
+    """Neighbours of the sorted suffixes by what they share, up to 24 characters: repeats of any such length."""
+    return base.neighbour_lcp(base.build_suffix_table(clean(s, d), depth=24, sort=False))
+
+
 def _word_sql(n: int) -> str:
     return f"SELECT {n} AS words, q.item_id, count(m.gram) AS grams, count(m.gram) FILTER (WHERE m.gram IN (SELECT gram FROM c{n})) AS shared, coalesce(bool_or(m.gram IN (SELECT gram FROM c{n})), false) AS contaminated FROM q LEFT JOIN m{n} m USING (item_id) GROUP BY q.item_id"
 
@@ -641,24 +815,28 @@ def word_overlap_8_13(s, d):
     return parts[0].unionByName(parts[1]).select("words", "item_id", "grams", "shared", "contaminated")
 
 
-@query(f"WITH {o.corpus()}, {_INDEX} SELECT 'stored text' AS tool, sum(strlen(text))::BIGINT AS n_bytes FROM documents UNION ALL SELECT 'full-text index', sum(strlen(term) + 24 + 8 * tf)::BIGINT FROM post UNION ALL SELECT 'suffix table', sum(12 * length(text) + (SELECT 0))::BIGINT FROM src UNION ALL SELECT 'exact tiles', sum(strlen(gram))::BIGINT FROM (SELECT DISTINCT gram FROM tiles) UNION ALL SELECT 'tiled filter', (count(DISTINCT p // {sizing.BUCKET_BITS}) * 4104)::BIGINT FROM bits")
+_WIDTH = f"(SELECT greatest(8, least(13, quantile_disc(len({o.tokens('text')}), 0.05)))::INT FROM q)"
+
+
+@query(f"WITH {o.src('a', 'documents', 'doc_id')}, {o.src('q', 'benchmark', 'item_id')}, k AS (SELECT {_WIDTH} AS n), c AS (SELECT DISTINCT array_to_string(w[i + 1 : i + n], chr(31)) AS gram FROM (SELECT w, n, unnest(range(0, len(w) - n + 1)) AS i FROM (SELECT {o.tokens('text')} AS w FROM a), k)), m AS (SELECT item_id, array_to_string(w[i + 1 : i + n], chr(31)) AS gram FROM (SELECT item_id, w, n, unnest(range(0, len(w) - n + 1)) AS i FROM (SELECT item_id, {o.tokens('text')} AS w FROM q), k)) SELECT (SELECT n FROM k) AS words, q.item_id, count(m.gram) AS grams, count(m.gram) FILTER (WHERE m.gram IN (SELECT gram FROM c)) AS shared, coalesce(bool_or(m.gram IN (SELECT gram FROM c)), false) AS contaminated FROM q LEFT JOIN m USING (item_id) GROUP BY q.item_id")
+def word_overlap_adaptive(s, d):
+    """Word grams of the width that the test set's lengths select, between 8 and 13."""
+    n = base.adaptive_words(items(s, d))
+    return base.word_overlap(items(s, d), clean(s, d), words=n).withColumn("words", F.lit(n)).select("words", "item_id", "grams", "shared", "contaminated")
+
+
+@query(f"WITH {o.corpus()}, {_INDEX} SELECT 'stored text' AS tool, sum(strlen(text) + 8)::BIGINT AS n_bytes FROM documents UNION ALL SELECT 'full-text index', sum(strlen(term) + 8 + 4 + 8 + 4 * tf)::BIGINT FROM post UNION ALL SELECT 'suffix array', (SELECT sum(12 * length(text) + strlen(text) + 8) FROM src)::BIGINT UNION ALL SELECT 'exact tiles', sum(strlen(gram))::BIGINT FROM (SELECT DISTINCT gram FROM tiles) UNION ALL SELECT 'tiled filter', (count(DISTINCT p // {sizing.BUCKET_BITS}) * 4104)::BIGINT FROM bits")
 def space_ratio(s, d):
-    """Bytes of each structure over one corpus: text once; postings with positions; an id and a position for each
-    suffix; distinct tiles; bitmaps with their bucket number."""
-    f = corpus(s, d)
-    postings = base.build_index(docs(s, d))[0]
-    row = lambda tool, df, size: df.agg(F.coalesce(F.sum(size), F.lit(0)).cast("bigint").alias("n_bytes")).select(F.lit(tool).alias("tool"), "n_bytes")
-    parts = [
-        row("stored text", docs(s, d), F.octet_length("text")),
-        row("full-text index", postings, F.octet_length("term") + 24 + 8 * F.col("tf")),
-        row("suffix table", clean(s, d), 12 * F.length("text")),
-        row("exact tiles", base.exact_tile_set(clean(s, d)), F.octet_length("gram")),
-        row("tiled filter", f.table, F.length("bitmap") + 8),
-    ]
-    out = parts[0]
-    for p in parts[1:]:
-        out = out.unionByName(p)
-    return out
+    """Bytes of the rows of each structure, as built over one corpus: the texts, postings with positions, suffixes in
+    order with the texts they point into, distinct tiles, bitmaps."""
+    suffixes = base.build_suffix_table(clean(s, d), sort=False).select("doc_id", "pos")
+    parts = {"stored text": [docs(s, d)], "full-text index": [index(s, d, positions=True)[0]], "suffix array": [suffixes, clean(s, d)], "exact tiles": [base.exact_tile_set(clean(s, d))], "tiled filter": [corpus(s, d).table]}
+    out = None
+    for tool, tables in parts.items():
+        for table in tables:
+            row = analysis.table_bytes(table).withColumn("tool", F.lit(tool))
+            out = row if out is None else out.unionByName(row)
+    return out.groupBy("tool").agg(F.sum("n_bytes").alias("n_bytes"))
 
 
 @query("SELECT * FROM (VALUES ('scan of stored text', false, 'yes', true, 'no', false), ('full-text index', false, 'maybe', true, 'maybe', false), ('suffix array', false, 'yes', true, 'no', false), ('tiled Bloom filter', true, 'yes', false, 'no', true)) t(tool, avoids_redistribution, local, has_index, fuzzy, probabilistic)")
@@ -666,32 +844,65 @@ def property_matrix(s, d):
     return analysis.property_matrix(s)
 
 
-@query(None)
+_STEPS = 200
+
+
+def _extension_sql(stride: int) -> str:
+    seed = f"(SELECT substr(text, 1, {N}) AS t FROM a WHERE length(text) >= 400 ORDER BY doc_id LIMIT 1)"
+    n = f"n{stride}"
+    return f"g{stride} AS MATERIALIZED (SELECT p, min(c) AS c FROM (SELECT DISTINCT substr(gram, 1, {N - 1}) AS p, substr(gram, {N}, 1) AS c FROM w WHERE pos % {stride} = 0) GROUP BY p HAVING count(*) = 1), {n} AS (SELECT t, 0 AS i FROM {seed} UNION ALL SELECT t || c, i + 1 FROM {n} JOIN g{stride} ON p = right(t, {N - 1}) WHERE i < {_STEPS})"
+
+
+@query(f"WITH RECURSIVE {o.src('a', 'documents', 'doc_id')}, {o.windows('w', 'a', 'doc_id')}, {_extension_sql(1)}, {_extension_sql(N)} SELECT 1 AS stride, max(length(t))::INT AS reached FROM n1 HAVING max(length(t)) > 0 UNION ALL SELECT {N}, max(length(t))::INT FROM n{N} HAVING max(length(t)) > 0")
 def extension_attack(s, d):
     """How far one known gram grows against a filter of all n-grams and against one of tiles."""
     rows = clean(s, d)
     seed = rows.where(F.length("text") >= 400).orderBy("doc_id").select(F.substring("text", 1, N)).first()
     if seed is None:
         return s.createDataFrame([], "stride int, reached int")
-    alphabet = "".join(r["c"] for r in rows.select(F.explode(F.split("text", "")).alias("c")).distinct().collect())
+    alphabet = "".join(r["c"] for r in rows.select(F.explode(F.array_distinct(F.split("text", ""))).alias("c")).distinct().collect())
     out = []
     for stride in (1, N):
-        f = corpus(s, d, stride=stride, fpp=1e-6)
+        f = corpus(s, d, stride=stride, fpp=1e-9)
         local = bloom.LocalProbe(f.spec, bloom.pack(f))
-        out.append((stride, len(analysis.extension_attack(local.contains, seed[0], alphabet, n=N, steps=200))))
+        out.append((stride, len(analysis.extension_attack(local.contains, seed[0], alphabet, n=N, steps=_STEPS))))
     return s.createDataFrame(out, "stride int, reached int")
 
 
-@query(None)
+@query(f"WITH {_ASKED} SELECT item_id, max_tiles::INT AS max_tiles FROM qbest")
 def interactive_probe(s, d):
-    """Each benchmark item against the packed filter in this process: no job a query, milliseconds each."""
-    import time
-
+    """Each benchmark item against the packed filter in this process: no job a query. Times are in ``overlap_seconds``."""
     f = corpus(s, d)
     local = bloom.LocalProbe(f.spec, bloom.pack(f))
     out = []
     for r in items(s, d).toLocalIterator():
-        began = time.perf_counter()
         found = local.chains(r["text"])
-        out.append((r["item_id"], found[0][1] if found else 0, (time.perf_counter() - began) * 1000))
-    return s.createDataFrame(out, "item_id bigint, max_tiles int, ms double")
+        out.append((r["item_id"], found[0][1] if found else 0))
+    return s.createDataFrame(out, "item_id bigint, max_tiles int")
+
+
+def _bpe(s, d) -> tuple[DataFrame, DataFrame, str]:
+    """Documents and items as token arrays of an installed byte-level tokenizer, and its name."""
+    import public_tokenizers
+
+    from tilesieve.functions.tokens import library_tokens
+
+    path = str(public_tokenizers.path("byte_bpe_50k.json"))
+    cut = library_tokens(path)
+    return clean(s, d).withColumn("text", cut("text")), items(s, d).withColumn("text", cut("text")), path.rsplit("/", 1)[1]
+
+
+@query(None)
+def filter_build_bpe(s, d):
+    """A filter of eight tokens of a learnt tokenizer, its size and fill."""
+    rows, _, name = _bpe(s, d)
+    return bloom.filter_stats(bloom.corpus_filter(rows, n=8, stride=8, unit="token", tokenizer=name))
+
+
+@query(None)
+def longest_chain_bpe(s, d):
+    """Longest overlap of each item in tokens of a learnt tokenizer."""
+    rows, asked, name = _bpe(s, d)
+    f = bloom.corpus_filter(rows, n=8, stride=8, unit="token", tokenizer=name)
+    hits = bloom.probe_texts(asked, f, key="item_id", hits_only=True)
+    return chain.longest_chain(chain.chain_hits(hits, key="item_id", n=8), asked, key="item_id").withColumnRenamed("lcs_chars", "lcs_tokens")

@@ -234,12 +234,15 @@ def agg_distinct(s, d):
     return t(s, d, "lineitem").groupBy("l_returnflag").agg(F.count_distinct("l_partkey").alias("parts"), F.sum_distinct("l_quantity").alias("qty"))
 
 
-@query(None)
+@query("SELECT coalesce(l_returnflag, 'all') AS l_returnflag, count(DISTINCT l_partkey) AS parts, true AS close FROM lineitem GROUP BY ROLLUP(l_returnflag)")
 def agg_approx_distinct(s, d):
-    """Distinct parts by a mergeable sketch of each flag, and of all flags together."""
+    """Distinct parts of each flag and of all, with whether two mergeable sketches come within a twentieth."""
+    exact = t(s, d, "lineitem").rollup("l_returnflag").agg(F.count_distinct("l_partkey").alias("parts")).select(F.coalesce("l_returnflag", F.lit("all")).alias("l_returnflag"), "parts")
     per = t(s, d, "lineitem").groupBy("l_returnflag").agg(F.hll_sketch_agg("l_partkey").alias("sk"), F.approx_count_distinct("l_partkey").alias("approx"))
-    every = per.agg(F.lit("all").alias("l_returnflag"), F.hll_sketch_estimate(F.hll_union_agg("sk")).alias("parts"), F.sum("approx").alias("approx"))
-    return per.select("l_returnflag", F.hll_sketch_estimate("sk").alias("parts"), "approx").unionByName(every)
+    every = per.agg(F.lit("all").alias("l_returnflag"), F.hll_sketch_estimate(F.hll_union_agg("sk")).alias("est")).withColumn("approx", F.col("est"))
+    both = per.select("l_returnflag", F.hll_sketch_estimate("sk").alias("est"), "approx").unionByName(every)
+    near = lambda c: F.abs(F.col(c) - F.col("parts")) <= F.lit(0.05) * F.col("parts")
+    return exact.join(both, "l_returnflag").select("l_returnflag", "parts", (near("est") & near("approx") | (F.col("l_returnflag") == "all") & near("est")).alias("close"))
 
 
 @query("SELECT conv_id, md5(string_agg(text, ' ' ORDER BY turn, text)) AS digest, count(*) AS turns FROM conversations GROUP BY conv_id")
@@ -533,7 +536,7 @@ def udaf_group(s, d):
     return t(s, d, "documents").groupBy("lang").agg(root("n_chars").alias("root")).join(t(s, d, "documents").groupBy("lang").agg(F.sum("n_chars").cast("double").alias("total")), "lang").select("lang", "total", r2(F.col("root"), 3).alias("root"))
 
 
-@query(None)
+@query(f"WITH {o.corpus()}, {o.asked('benchmark', 'item_id')} SELECT item_id, start, n_tiles::INT AS n_tiles, substr(text, start + 1, n_chars::INT) AS chain FROM qch JOIN q USING (item_id)")
 def udtf_report(s, d):
     """A row for each chain of a text, from a table function over the packed filter."""
     from pyspark.sql.functions import udtf

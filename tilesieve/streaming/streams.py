@@ -14,7 +14,6 @@ from pyspark.sql import functions as F
 from pyspark.sql.streaming import StreamingQuery
 
 from tilesieve.functions.sizing import FilterSpec
-from tilesieve.functions.grams import tile_grams
 from tilesieve.operators import bloom, chain
 
 
@@ -24,29 +23,35 @@ def open_dir(spark: SparkSession, path: str, schema: str, *, files_per_batch: in
     return (reader.option("maxFilesPerTrigger", files_per_batch) if files_per_batch else reader).parquet(path)
 
 
+BITMAPS = "bucket bigint, bitmap binary"
+
+
 def ingest_stream(stream: DataFrame, spec: FilterSpec, path: str, checkpoint: str, *, text: str = "text", key: str = "doc_id") -> StreamingQuery:
-    """OR every micro-batch into the filter; batch n writes ``path/v=n`` from ``path/v=n-1``.
+    """Bits of every micro-batch, as ``path/batch=n``: only the buckets that batch n touched.
 
-    A replayed batch writes the same bits again, so delivery at least once is enough.
+    A replayed batch writes the same bits again, and ORing bits twice changes nothing, so delivery at least once
+    is enough.
     """
 
     def step(batch: DataFrame, number: int) -> None:
-        grams = tile_grams(bloom.normalized(batch, spec, text=text, key=key), key=key, n=spec.n, stride=spec.stride, unit=spec.unit)
-        now = bloom.build_filter(grams, spec)
-        if number > 0:
-            before = bloom.Filter(spec, batch.sparkSession.read.schema("bucket bigint, bitmap binary").parquet(f"{path}/v={number - 1}"))
-            now = bloom.merge_filters(before, now)
-        now.table.write.mode("overwrite").parquet(f"{path}/v={number}")
+        bloom.corpus_filter(batch, text=text, key=key, spec=spec).table.write.mode("overwrite").parquet(f"{path}/batch={number}")
 
     return stream.writeStream.foreachBatch(step).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
 
 
-def ingested(spark: SparkSession, spec: FilterSpec, path: str, query: StreamingQuery) -> bloom.Filter:
-    """The filter after the last finished batch."""
-    numbers = [p["batchId"] for p in query.recentProgress if p["numInputRows"] > 0]
-    if not numbers:
-        return bloom.Filter(spec, spark.createDataFrame([], "bucket bigint, bitmap binary"))
-    return bloom.Filter(spec, spark.read.schema("bucket bigint, bitmap binary").parquet(f"{path}/v={max(numbers)}"))
+def ingested(spark: SparkSession, spec: FilterSpec, path: str) -> bloom.Filter:
+    """The filter of all batches in the folder, whichever run wrote them: the OR of their bits."""
+    folder = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    if not folder.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).exists(folder):
+        return bloom.Filter(spec, spark.createDataFrame([], BITMAPS))
+    parts = spark.read.schema(f"{BITMAPS}, batch int").parquet(path).drop("batch")
+    return bloom.Filter(spec, parts.groupBy("bucket").agg(F.bitmap_or_agg("bitmap").alias("bitmap")))
+
+
+def compact(spark: SparkSession, spec: FilterSpec, path: str, to: str) -> bloom.Filter:
+    """All batches of ``path`` as the one batch of the folder ``to``, from which ingesting may go on."""
+    ingested(spark, spec, path).table.write.parquet(f"{to}/batch=-1")
+    return ingested(spark, spec, to)
 
 
 def probe_stream(stream: DataFrame, filter_: bloom.Filter, out: str, checkpoint: str, *, key: str) -> StreamingQuery:
