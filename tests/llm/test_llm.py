@@ -261,6 +261,24 @@ def test_jaccard_against_all_pairs(spark, docs, rows):
     assert sorted(r["doc_id"] for r in kept.collect()) == sorted(set(want.values())) and kept.columns == docs.columns
 
 
+def test_jaccard_hot_shingle_in_unlinked_texts(spark):
+    """A sentence in thousands of texts that don't link: its lists are gone before any pair is made."""
+    rng = random.Random(31)
+    texts = [(i, "this very sentence stands in every one of these texts " + " ".join(f"w{rng.randint(0, 10**9)}" for _ in range(rng.randint(8, 40)))) for i in range(6000)]
+    texts += [(6000 + i, texts[i][1]) for i in range(5)]
+    out = jaccard.near_duplicate_classes(spark.createDataFrame(texts, "doc_id bigint, text string")).collect()
+    assert {r["doc_id"]: r["component_id"] for r in out} == {i: i if i < 6000 else i - 6000 for i, _ in texts}
+
+
+def test_jaccard_hot_sets_apart(spark, monkeypatch):
+    texts = [(i, "the same few words again and again") for i in range(9)] + [(20 + i, None if i % 2 else "") for i in range(6)] + [(40, "alone")]
+    df = spark.createDataFrame(texts, "doc_id bigint, text string")
+    want = {i: 0 if i < 9 else i for i, _ in texts}
+    for hot in (3, 10**6):
+        monkeypatch.setattr(jaccard, "HOT_COPIES", hot)
+        assert {r["doc_id"]: r["component_id"] for r in jaccard.near_duplicate_classes(df).collect()} == want
+
+
 def test_jaccard_small_sets_and_chains(spark):
     """Short texts one word apart (light sets) and a drifting chain of longer ones (heavy sets)."""
     rng = random.Random(8)
@@ -420,6 +438,24 @@ def test_mix_targets_and_takings(spark, docs, rows):
     assert curriculum.plan_mix(empty(spark)).count() == 0
 
 
+def test_ranks_are_the_training_order(spark, docs):
+    both = clash(docs).unionAll(clash(docs).limit(4))  # repeated rows too
+    out = curriculum.ranked_mix(both).collect()
+    pairs = sorted((k, p) for r in out for k, p in zip(r["ranks"], r["positions"], strict=True))
+    assert [k for k, _ in pairs] == list(range(len(pairs))) and [p for _, p in pairs] == sorted(p for _, p in pairs)
+    assert all(len(r["ranks"]) == r["copies"] for r in out) and len(out) == both.count()
+    again = Counter((r["doc_id"], tuple(r["ranks"])) for r in curriculum.ranked_mix(both.repartition(3)).collect())
+    stream = [r["doc_id"] for r in curriculum.mixed_documents(both, position="due").orderBy("due").collect()]
+    assert len(stream) == len(pairs) and again == Counter((r["doc_id"], tuple(r["ranks"])) for r in out)
+    assert curriculum.ranked_mix(empty(spark)).count() == 0
+
+
+def test_null_ids_are_told_apart_by_text(spark):
+    df = spark.createDataFrame([(None, f"word {i} " * 3, "en", "s", None) for i in range(30)], SCHEMA)
+    runs = [Counter(r["text"] for r in curriculum.mixed_documents(df.repartition(n), most_repeats=2).collect()) for n in (1, 4)]
+    assert runs[0] == runs[1] and runs[0]
+
+
 def test_schedule_inverts_its_integral(spark):
     df = spark.createDataFrame([(s, a, b) for s in (0.0, 0.2, 0.5, 0.9, 1.0) for a, b in ((1.0, 1.0), (1.5, 0.5), (0.5, 1.5), (0.0, 2.0))], "s double, a double, b double")
     for r in df.withColumn("t", curriculum.training_time(F.col("s"), F.col("a"), F.col("b"))).collect():
@@ -600,6 +636,17 @@ def test_shards_are_exact_and_uniform(spark, docs, rows):
     assert "Python" not in plan
 
 
+def test_written_shards_are_in_slot_order(spark, docs, rows, tmp_path):
+    shards.write_shards(docs, f"file://{tmp_path}/shards", 3)
+    got = spark.read.parquet(f"file://{tmp_path}/shards").select("*", F.col("_metadata.file_name").alias("f"), F.col("_metadata.row_index").alias("i")).collect()
+    want = {(r["shard"], r["slot"]): r["doc_id"] for r in shards.shard_rows(docs, 3).collect()}
+    assert {(r["shard"], r["slot"]): r["doc_id"] for r in got} == want
+    for shard in range(3):
+        mine = sorted((r for r in got if r["shard"] == shard), key=lambda r: (r["f"], r["i"]))
+        assert [r["slot"] for r in mine] == list(range(len(mine)))
+    assert {r["doc_id"]: r["text"] for r in got} == {i: t for i, t, *_ in rows}
+
+
 def test_hypergeometric_law():
     rng = random.Random(0)
     draws = [shards.hypergeometric(30, 40, 100, rng) for _ in range(4000)]
@@ -632,6 +679,36 @@ def test_nearest_recall_and_scores(spark, unit):
     assert hits >= 0.9 * 75 * 20 and {r["query_id"] for r in out} == set(range(0, 1500, 20))
 
 
+@pytest.mark.parametrize("scale", ["sf0.001", "sf0.01"])
+def test_nearest_recall_on_the_tables(spark, scale):
+    table = spark.read.parquet(f"/root/testdata/{scale}/embeddings.parquet")
+    rows = {r["vec_id"]: np.array(r["embedding"], np.float64) for r in table.collect() if r["embedding"] is not None}
+    ids = np.array(sorted(rows))
+    x = np.array([rows[i] for i in ids])
+    found = defaultdict(set)
+    for r in collision.nearest(table).collect():
+        found[r["query_id"]].add(r["vec_id"])
+    asked = [i for i in ids if i % 20 == 0]
+    hits = 0
+    for q in asked:
+        score = (x * rows[q]).sum(1)
+        score[ids == q] = -np.inf
+        hits += len(found[q] & set(ids[np.lexsort((ids, -score))[:20]].tolist()))
+    assert hits >= 0.9 * 20 * len(asked)
+
+
+def test_equal_vectors_tie_to_the_smaller_id(spark):
+    """Many equal vectors in several blocks score alike to the last bit, whatever rows stand around them."""
+    rng = np.random.default_rng(4)
+    v = rng.standard_normal(48) / 3
+    x = [v if i % 3 else rng.standard_normal(48) for i in range(600)]
+    out = collision.nearest(spark.createDataFrame([(i, a.tolist()) for i, a in enumerate(x)], "vec_id bigint, embedding array<double>")).collect()
+    for q in (20, 40):
+        mine = sorted((r for r in out if r["query_id"] == q), key=lambda r: r["rank"])
+        assert all((-a["score"], a["vec_id"]) < (-b["score"], b["vec_id"]) for a, b in zip(mine, mine[1:], strict=False))
+        assert len({r["score"] for r in mine if r["vec_id"] % 3}) <= 1
+
+
 def test_nearest_few_rows(spark):
     df = spark.createDataFrame([(0, [1.0, 0.0]), (1, [0.5, 0.5]), (2, [0.5, 0.5])], "vec_id bigint, embedding array<float>")
     assert [(r["rank"], r["vec_id"]) for r in collision.nearest(df).orderBy("rank").collect()] == [(1, 1), (2, 2)]
@@ -665,6 +742,49 @@ def test_pipeline_stages(spark, sf):
     assert sorted(ids["token_ids"]) == sorted(ids["mixing"])
 
 
+def test_pipeline_keeps_the_training_order(spark, docs, sf):
+    """Packed ids follow the order in which the mixing stage wrote its copies."""
+    import corpus_pipeline as p
+    from tilesieve.llm.common import stored
+
+    mixed = stored(p.mix_sources(spark, docs, sf), "test-mixed")
+    want = [r["doc_id"] for r in mixed.select("doc_id", F.col("_metadata.file_name").alias("f"), F.col("_metadata.row_index").alias("i")).orderBy("f", "i").collect()]
+    position = {r["doc_id"]: r["positions"] for r in curriculum.plan_mix(docs).collect()}
+    seen, last = Counter(), -1.0
+    for i in want:
+        assert position[i][seen[i]] >= last
+        last = position[i][seen[i]]
+        seen[i] += 1
+    packed = p.pack_tokens(spark, mixed, sf).orderBy("start").collect()
+    assert [r["doc_id"] for r in packed] == want
+    begin = 0
+    for r in packed:
+        assert r["start"] == begin
+        begin += r["n_tokens"]
+
+
+@pytest.mark.parametrize("name", [n for n, _ in __import__("corpus_pipeline").STAGES])
+def test_pipeline_stages_on_odd_tables(spark, rows, sf, name):
+    """Null and empty texts, null ids, repeated rows, clashing columns and no rows at all."""
+    import corpus_pipeline as p
+
+    stage = dict(p.STAGES)[name]
+    odd = [(None, None, None, None, None), (None, "", None, "a", 0), (1, None, "en", "a", None), (2, "", "en", "b", 0), (3, "one text of some words", "en", "b", 4), (3, "one text of some words", "en", "b", 4)]
+    df = clash(spark.createDataFrame(odd + rows[:8], SCHEMA))
+    out = stage(spark, df, sf)
+    got = out.collect()
+    none = stage(spark, empty(spark), sf)
+    assert none.count() == 0
+    if name != "token_ids":
+        assert out.columns == df.columns
+    if name in ("near_duplicates", "decontamination"):  # neither null nor empty texts are copies or hold a benchmark
+        assert sum(r["text"] is None for r in got) == sum(t is None for _, t, *_ in odd + rows[:8])
+    if name == "near_duplicates":
+        assert sum(r["doc_id"] == 3 and r["text"] == "one text of some words" for r in got) == 1
+    if name == "token_ids":
+        assert len(got) == len(odd) + 8
+
+
 def test_pipeline_near_duplicates_at_five_words(spark):
     import corpus_pipeline as p
 

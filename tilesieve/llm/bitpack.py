@@ -18,7 +18,8 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.errors import AnalysisException
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 from tokenizers import Tokenizer
 
@@ -111,8 +112,17 @@ class ColumnEncoder:
 FILE_SCHEMA = "part int, block int, n_docs int, n_ids bigint, bits int, doc_ids array<bigint>, payload binary"
 
 
-def write_ids(df: DataFrame, path: str, tokenizer: str, *, end_id: int = 1, block_ids: int = BLOCK_IDS) -> None:
-    """Encode every whole text and write packed blocks in ascending ``doc_id`` order (null first).
+def stored_order(df: DataFrame) -> list[Column] | None:
+    """The order of the rows of a frame read from files, by file name and place in it; None for any other frame."""
+    try:
+        df.select("_metadata.file_name", "_metadata.row_index")
+    except AnalysisException:
+        return None
+    return [F.col("_metadata.file_name"), F.col("_metadata.row_index")]
+
+
+def write_ids(df: DataFrame, path: str, tokenizer: str, *, end_id: int = 1, block_ids: int = BLOCK_IDS, order: list[Column] | None = None) -> None:
+    """Encode every whole text and write packed blocks in ascending ``doc_id`` order (null first), or by ``order``.
 
     ``tokenizer`` is a path that executors can open (an installed file). ``end_id`` ends each
     document; null and empty texts are that id alone. Equal ids keep an order by text; an empty table
@@ -157,8 +167,11 @@ def write_ids(df: DataFrame, path: str, tokenizer: str, *, end_id: int = 1, bloc
         if keys:
             yield close()
 
-    rows = df.selectExpr("cast(doc_id as bigint) doc_id", "text")
-    ordered = rows.repartitionByRange(F.col("doc_id").asc_nulls_first()).sortWithinPartitions(F.col("doc_id").asc_nulls_first(), "text")
+    keys_of = order or [F.col("doc_id").cast("bigint"), F.col("text")]
+    names_of = [f"_o{i}" for i in range(len(keys_of))]
+    rows = df.select(F.col("doc_id").cast("bigint").alias("doc_id"), F.col("text").alias("text"), *[c.alias(n) for c, n in zip(keys_of, names_of, strict=True)] if order else [])
+    by = [F.col(n).asc_nulls_first() for n in (names_of if order else ("doc_id", "text"))]
+    ordered = rows.repartitionByRange(*(by if order else by[:1])).sortWithinPartitions(*by).select("doc_id", "text")
     ordered.mapInArrow(run, FILE_SCHEMA).write.mode("errorifexists").option("compression", "zstd").parquet(path)
 
 
@@ -195,9 +208,13 @@ def read_ids(spark: SparkSession, path: str) -> DataFrame:
     return placed.select("block_start", "doc_ids", "payload").mapInArrow(run, READ_SCHEMA)
 
 
-def packed_documents(df: DataFrame, tokenizer: str, *, end_id: int = 1, path: str | None = None) -> DataFrame:
-    """Write the ids of all documents to ``path`` (a new shared folder unless given) and read them back."""
+def packed_documents(df: DataFrame, tokenizer: str, *, end_id: int = 1, path: str | None = None, order: list[Column] | None = None) -> DataFrame:
+    """Write the ids of all documents to ``path`` (a new shared folder unless given) and read them back.
+
+    Documents are packed by ``order``, or by id. Nulls, ties, repeated rows and empty tables are as in
+    ``write_ids``; other columns are left out.
+    """
     spark = df.sparkSession
     path = path or f"{scratch_root(spark)}/packed-{uuid.uuid4().hex}"
-    write_ids(df, path, tokenizer, end_id=end_id)
+    write_ids(df, path, tokenizer, end_id=end_id, order=order)
     return read_ids(spark, path)

@@ -5,7 +5,6 @@ from __future__ import annotations
 import contextlib
 import ctypes
 import sys
-import tempfile
 import uuid
 from collections.abc import Iterator
 
@@ -15,6 +14,8 @@ from pyspark import cloudpickle
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from tilesieve.sources.io import scratch_root
+
 #: A word of the contracts: a run of anything but ASCII white space.
 WORD = r"[^\x20\x09-\x0D]+"
 
@@ -27,12 +28,6 @@ def ship(name: str) -> None:
 ship(__name__)
 
 
-def scratch_root(spark: SparkSession) -> str:
-    """The folder shared by driver and executors; a local one only where the cluster names none."""
-    root = spark.conf.get("spark.checkpoint.dir", None)
-    return (root or f"file://{tempfile.gettempdir()}/tilesieve-scratch").rstrip("/")
-
-
 def stored(df: DataFrame, name: str, *, by: list[str] | None = None) -> DataFrame:
     """Write ``df`` as a Parquet table in the shared folder and read it back.
 

@@ -13,7 +13,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from tilesieve.llm.common import word_count
+from tilesieve.llm.common import stored, word_count
 
 #: Weights of sources in code-point order, null last, repeating.
 WEIGHTS = (1.0, 2.0, 3.0)
@@ -22,6 +22,8 @@ MOST_REPEATS = 3
 #: Relative demand at the beginning and end of training, in the order of WEIGHTS; linear between.
 SCHEDULES = ((1.0, 1.0), (1.5, 0.5), (0.5, 1.5))
 LANES = 256
+#: Stretches of training time that are sorted each for itself.
+STRETCHES = 1 << 14
 
 
 def source_targets(sized: DataFrame, *, weights: tuple[float, ...] = WEIGHTS, most_repeats: int = MOST_REPEATS) -> DataFrame:
@@ -58,17 +60,17 @@ def plan_mix(docs: DataFrame, *, weights: tuple[float, ...] = WEIGHTS, schedules
 
     Returns ``doc_id``, ``size`` (words), ``source_size``, ``target``,
     ``copies`` (0 to ``most_repeats``), ``taken`` (words, repeats counted) and ``positions`` (the
-    training time of each copy); ``payload`` adds ``row``, a
+    training time of each copy), ``spin`` (a hash of id and text, which breaks ties); ``payload`` adds ``row``, a
     struct of all columns of ``docs``, so none can clash. Copy r of a document is taken when the source's words before it, in
     a seeded hash order, plus r times the source's size fall short of the target; so a source's taken
     words end within one document of its target. Null texts and texts without words have size 0 and
-    are taken while their source still has demand; a null source is a source of its own; null or
-    repeated ids only share an order key, which ties break by size; an empty table gives no rows.
+    are taken while their source still has demand; a null source is a source of its own; null and
+    repeated ids are told apart by their texts, so reruns take the same; an empty table gives no rows.
     """
     row = [F.struct("*").alias("row")] if payload else []
-    sized = docs.select(*row, F.col("source").alias("source"), F.col("doc_id").alias("_id"), word_count(F.col("text")).alias("size"))
-    spin = F.xxhash64(F.lit(seed), F.col("_id"), F.col("size"))
-    sized = sized.withColumn("spin", F.shiftrightunsigned(spin, 1)).withColumn("lane", (F.shiftrightunsigned("spin", 55)).cast("int"))
+    sized = docs.select(*row, F.col("source").alias("source"), F.col("doc_id").alias("_id"), F.col("text").alias("text"), word_count(F.col("text")).alias("size"))
+    spin = F.xxhash64(F.lit(seed), F.col("_id"), F.col("text"))
+    sized = sized.withColumn("spin", F.shiftrightunsigned(spin, 1)).drop("text").withColumn("lane", (F.shiftrightunsigned("spin", 55)).cast("int"))
     targets = source_targets(sized, weights=weights, most_repeats=most_repeats)
     lanes = sized.groupBy("source", "lane").agg(F.sum("size").alias("n"))
     before = lanes.select("source", "lane", F.coalesce(F.sum("n").over(Window.partitionBy("source").orderBy("lane").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("base"))
@@ -83,14 +85,33 @@ def plan_mix(docs: DataFrame, *, weights: tuple[float, ...] = WEIGHTS, schedules
     out = both.withColumn("at", at).withColumn("copies", copies).withColumn("_a", pick(0)).withColumn("_b", pick(1))
     positions = F.transform(F.sequence(F.lit(0), F.lit(most_repeats - 1)), lambda r: training_time((F.col("at") + r * F.col("source_size")) / F.col("target"), F.col("_a"), F.col("_b")))
     chosen = F.when(F.col("copies") > 0, F.slice(positions, 1, F.col("copies"))).otherwise(F.array().cast("array<double>"))
-    return out.select(F.col("_id").alias("doc_id"), "size", "source_size", "target", "copies", (F.col("size") * F.col("copies")).cast("bigint").alias("taken"), chosen.alias("positions"), *(["row"] if payload else []))
+    return out.select(F.col("_id").alias("doc_id"), "size", "source_size", "target", "copies", (F.col("size") * F.col("copies")).cast("bigint").alias("taken"), chosen.alias("positions"), "spin", *(["row"] if payload else []))
 
 
 def mixed_documents(docs: DataFrame, *, position: str | None = "position", **how) -> DataFrame:
     """The training stream: a row of ``docs`` for each copy taken, range-sorted by its training time.
 
-    ``position`` names a column for that time; none is added if it is None.
+    ``position`` names a column for that time; none is added if it is None. Written to files, their names and the
+    rows in them keep the order. Nulls, ties, repeated rows and empty tables are as in ``plan_mix``; all columns of
+    ``docs`` are kept, whatever their names but ``position``.
     """
     plan = plan_mix(docs, payload=True, **how)
-    copies = plan.select("row", "doc_id", F.explode("positions").alias("at"))
-    return copies.repartitionByRange("at", "doc_id").sortWithinPartitions("at", "doc_id").select("row.*", *([F.col("at").alias(position)] if position else []))
+    copies = plan.select("row", "doc_id", "spin", F.explode("positions").alias("at"))
+    return copies.repartitionByRange("at", "spin", "doc_id").sortWithinPartitions("at", "spin", "doc_id").select("row.*", *([F.col("at").alias(position)] if position else []))
+
+
+def ranked_mix(docs: DataFrame, **how) -> DataFrame:
+    """``plan_mix`` with ``ranks``: the place (from 0) of each copy in the training order of all copies.
+
+    Copies are range-sorted by training time: STRETCHES of it are sorted each for itself and counted, and what lies
+    before a stretch is a running sum of their counts. The plan holds no texts, so only numbers are sorted.
+    """
+    plan = stored(plan_mix(docs, **how).withColumn("_row", F.monotonically_increasing_id()), "mix")
+    copies = plan.select("_row", "doc_id", "spin", F.posexplode("positions").alias("_copy", "at")).withColumn("_stretch", F.least(F.lit(STRETCHES - 1), F.floor(F.col("at") * STRETCHES)).cast("int"))
+    sizes = copies.groupBy("_stretch").agg(F.count("*").alias("n"))  # at most STRETCHES rows
+    begins = sizes.select("_stretch", F.coalesce(F.sum("n").over(Window.orderBy("_stretch").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("begin"))
+    inner = F.row_number().over(Window.partitionBy("_stretch").orderBy("at", "spin", "doc_id", "_row", "_copy"))
+    placed = copies.withColumn("inner", inner).join(F.broadcast(begins), "_stretch")
+    ranks = placed.groupBy("_row").agg(F.array_sort(F.collect_list(F.struct("_copy", (F.col("begin") + F.col("inner") - 1).alias("rank")))).alias("_r"))
+    out = plan.join(ranks, "_row", "left").withColumn("ranks", F.coalesce(F.col("_r.rank"), F.array().cast("array<bigint>")))
+    return out.drop("_row", "_r", "spin")

@@ -41,6 +41,8 @@ MOST_LIGHT = 24
 HUB_ROUNDS = 2
 #: Ids up to this many are sent to all tasks; more are joined by shuffle.
 BROADCAST_IDS = 2_000_000
+#: Sets of more copies than this are looked up apart from the others; there are few of those, whatever the corpus.
+HOT_COPIES = 1_000_000
 
 
 def needed(total: int, percent: int = PERCENT) -> int:
@@ -206,29 +208,40 @@ def _named(pairs: DataFrame) -> DataFrame:
     return stored(pairs.select(F.explode(F.array("a", "b")).alias("doc_id")).distinct(), "named")
 
 
+def _band(n: Column, percent: int) -> Column:
+    """Of sets that can link, bands differ by one at most."""
+    return F.floor(F.log(n.cast("double")) / math.log(100 / percent) + 1e-9).cast("int")
+
+
 def _possible(pairs: DataFrame, classes: DataFrame, percent: int) -> DataFrame:
     """Pairs that their rarest shingles don't rule out.
 
     Of two sets, one's prefix ends first in the global order; what they share up to there is in both
     prefixes, so the whole intersection is at most the prefixes' plus that set's remainder.
     """
-    small = stored(_only(classes.select("rep", "n", "prefix"), _named(pairs), "rep"), "prefixes")
+    named = _named(pairs)
+    small = stored(_only(classes.select("rep", "n", "prefix"), named, "rep"), "prefixes")
+    discard(named)
     left = pairs.join(small.select(F.col("rep").alias("a"), F.col("n").alias("na"), F.col("prefix").alias("pa")), "a")
     both = left.join(small.select(F.col("rep").alias("b"), F.col("n").alias("nb"), F.col("prefix").alias("pb")), "b")
     most = F.size(F.array_intersect("pa", "pb")) + F.greatest(F.col("na") - F.size("pa"), F.col("nb") - F.size("pb"))
-    return both.where(most * (100 + percent) >= percent * (F.col("na") + F.col("nb"))).select("a", "b")
+    possible = stored(both.where(most * (100 + percent) >= percent * (F.col("na") + F.col("nb"))).select("a", "b"), "possible")
+    discard(small)
+    return possible
 
 
 def _linked(pairs: DataFrame, classes: DataFrame, docs: DataFrame, percent: int, n: int, repeats: bool) -> DataFrame:
     """Of distinct pairs (a, b), those whose whole sets link. Only the sets that pairs still name are made and moved."""
-    pairs = stored(_possible(pairs, classes, percent), "possible")
-    whole = _sets_of(docs, _named(pairs), n)
+    pairs = _possible(pairs, classes, percent)
+    named = _named(pairs)
+    whole = _sets_of(docs, named, n)
     sets = stored(whole.dropDuplicates(["rep"]) if repeats else whole, "sets")
     left = pairs.join(sets.select(F.col("rep").alias("a"), F.col("s").alias("sa")), "a")
     both = left.join(sets.select(F.col("rep").alias("b"), F.col("s").alias("sb")), "b")
     common = F.size(F.array_intersect("sa", "sb"))
     links = stored(both.where(100 * common >= percent * (F.size("sa") + F.size("sb") - common)).select("a", "b"), "linked")
-    discard(sets)
+    for table in (sets, named, pairs):
+        discard(table)
     return links
 
 
@@ -308,27 +321,38 @@ def _digested_classes(docs: DataFrame, percent: int, n: int) -> DataFrame:
     shares = rooted.groupBy("token", "root").agg(F.count("*").alias("c"))
     major = shares.groupBy("token").agg(F.max(F.struct("c", "root")).alias("m"), F.count("*").alias("k")).where("k > 1").select("token", F.col("m.root").alias("major"))
     split = stored(rooted.join(major, "token"), "split")
-    minor = side(split.where("root != major"), "a")
-    other = split.select("token", *[F.col(c).alias(f"b_{c}") for c in ("rep", "n", "pos", "root", "major")])
-    crossed = minor.join(other, "token").where((F.col("a_root") != F.col("b_root")) & ((F.col("b_root") == F.col("b_major")) | (F.col("a_rep") < F.col("b_rep"))) & _can_link("a", "b", percent))
-    edges = stored(edges.unionByName(checked(crossed)), "links")
-
-    named = classes.select("digest", "rep")
+    # and only those of a size they can link with: a band's members meet those of the bands next to it
+    near = F.explode(F.transform(F.array(F.lit(-1), F.lit(0), F.lit(1)), lambda x: x + _band(F.col("a_n"), percent))).alias("band")
+    minor = side(split.where("root != major"), "a").select("*", near)
+    other = split.select("token", _band(F.col("n"), percent).alias("band"), *[F.col(c).alias(f"b_{c}") for c in ("rep", "n", "pos", "root", "major")])
+    crossed = minor.join(other, ["token", "band"]).where((F.col("a_root") != F.col("b_root")) & ((F.col("b_root") == F.col("b_major")) | (F.col("a_rep") < F.col("b_rep"))) & _can_link("a", "b", percent))
+    edges = stored(edges.unionByName(checked(crossed)), "links")  # the last of four tables of links
+
+    named = classes.select("digest", "rep", "copies")
     if edges.head(1):
-        named = named.join(components(edges).withColumnRenamed("id", "rep"), "rep", "left").select("digest", F.coalesce("root", "rep").alias("root"))
+        named = named.join(components(edges).withColumnRenamed("id", "rep"), "rep", "left").select("digest", "copies", F.coalesce("root", "rep").alias("root"))
     else:
-        named = named.select("digest", F.col("rep").alias("root"))
-    named = stored(named, "named")
-    for table in (postings, rooted, split):
+        named = named.select("digest", "copies", F.col("rep").alias("root"))
+    named = stored(named, "roots")
+    for table in (postings, rooted, split, classes, edges, *done):
         discard(table)
-    return signed.select("doc_id", "n", "digest").join(named, "digest", "left").select("doc_id", F.col("n").alias("n_shingles"), "digest", F.when(F.col("doc_id").isNotNull(), F.coalesce("root", "doc_id")).alias("component_id"))
+    ids = signed.select("doc_id", F.col("n").alias("n_shingles"), "digest")
+    shape = lambda df, root: df.select("doc_id", "n_shingles", "digest", F.when(F.col("doc_id").isNotNull(), root).alias("component_id"))
+    # empty sets meet nothing; the most copied sets, a row for each HOT_COPIES documents at most, go to all tasks; the
+    # others are dealt by digest, at most so many rows a key
+    held = ids.where("digest is not null")
+    hot = named.where(F.col("copies") > HOT_COPIES).select("digest", F.col("root").alias("hot"))
+    tagged = held.join(F.broadcast(hot), "digest", "left")
+    rest = tagged.where("hot is null").join(named.where(F.col("copies") <= HOT_COPIES).select("digest", "root"), "digest", "left")
+    found = shape(tagged.where("hot is not null"), F.col("hot")).unionByName(shape(rest, F.coalesce("root", "doc_id")))
+    return found.unionByName(shape(ids.where("digest is null"), F.col("doc_id")))
 
 
 def near_duplicate_classes(docs: DataFrame, *, percent: int = PERCENT, n: int = WORDS) -> DataFrame:
     """``doc_id``, ``n_shingles`` and ``component_id`` of every document.
 
     A set holds the distinct shingles of ``n`` words of the whole text, A-Z in lower case; fewer words
-    are one shingle; null and empty texts have none and link with nothing. Two documents link when
+    are one shingle; null and empty texts have none and link with nothing. Shingles are compared by 64-bit hash. Two documents link when
     percent * union <= 100 * intersection; a component is what links reach, named by its smallest id.
     Rows that repeat an id and text share a class; null ids are kept, with component null; ids are
     taken to name one text each otherwise. An empty table gives no rows; other columns are left out.
