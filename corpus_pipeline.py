@@ -2,6 +2,9 @@
 
 Quality, one document of each near-duplicate group, benchmark decontamination, mixing to target
 weights, packed token ids. Every stage's result is written as Parquet and read again for the next.
+
+Null and empty texts, null ids, repeated rows and further columns go through each stage as its operator's
+docstring says; empty tables give empty results; a stage that filters keeps all columns.
 """
 
 from __future__ import annotations
@@ -9,7 +12,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 
 from tilesieve.llm import curriculum, decontam, jaccard, quality
-from tilesieve.llm.bitpack import packed_documents
+from tilesieve.llm.bitpack import packed_documents, stored_order
 from tilesieve.llm.common import stored
 from tilesieve.llm.registry import table, word_tokenizer
 
@@ -34,13 +37,16 @@ def drop_benchmark(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFra
 
 
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """A row for each copy that the mix takes, in training order."""
+    """A row for each copy that the mix takes, in training order: that of the files and of the rows in them."""
     return curriculum.mixed_documents(docs, position=None)
 
 
 def pack_tokens(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Where each copy's ids stand in the packed files."""
-    return packed_documents(docs, word_tokenizer())
+    """Where each copy's ids stand in the packed files, which keep the training order of the stage before.
+
+    Rows that come from no file have no such order and are packed by id.
+    """
+    return packed_documents(docs, word_tokenizer(), order=stored_order(docs))
 
 
 STAGES = [
