@@ -469,9 +469,8 @@ def classify_balanced(s, d):
     return out
 
 
-@query(None)
-def classify_seconds(s, d):
-    """The time column beside ``classify_balanced``: seconds a document, means of five runs, filter and index at hand.
+def seconds_by_method(s, d, runs: int) -> DataFrame:
+    """(method, documents, seconds_per_document) on the balanced set, means of ``runs``, filter and index at hand.
 
     ``filter, one process`` asks the packed filter without a job, as a service does.
     """
@@ -485,14 +484,20 @@ def classify_seconds(s, d):
     index(s, d)
     whole = [r["text"] for r in texts.select("text").toLocalIterator()]
     began = time.perf_counter()
-    for _ in range(5):
+    for _ in range(runs):
         for t in whole:
             local.chains(t)
-    rows = [("filter, one process", n, (time.perf_counter() - began) / 5 / max(1, n))]
-    rows += [(method, n, checks.timed(lambda m=method: _balanced_verdicts(s, d, m, texts), runs=5) / max(1, n)) for method in _METHODS]
+    rows = [("filter, one process", n, (time.perf_counter() - began) / runs / max(1, n))]
+    rows += [(method, n, checks.timed(lambda m=method: _balanced_verdicts(s, d, m, texts), runs=runs) / max(1, n)) for method in _METHODS]
     return s.createDataFrame(rows, "method string, documents bigint, seconds_per_document double")
 
 
+@query(None)
+def classify_seconds(s, d):
+    """The time column beside ``classify_balanced``."""
+    return seconds_by_method(s, d, runs=5)
+
+
 @query(f"SELECT c::INT AS tiles, w AS windows, round(w * pow(0.001, c), 12) AS expected FROM range(1, 6) t(c), (SELECT sum(greatest(0, length({o.norm('text')}) - 49))::BIGINT AS w FROM {NOVEL})")
 def chain_chance(s, d):
     w = novel(s, d).agg(F.sum(F.greatest(F.lit(0), F.length("text") - N + 1)).cast("bigint").alias("windows"))
