@@ -23,7 +23,7 @@ from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 from tokenizers import Tokenizer
 
-from tilesieve.llm.common import frugal, scratch_root, ship, text_bytes, text_slices
+from tilesieve.llm.common import arrow_batches, frugal, scratch_root, ship, text_bytes, text_slices
 from tilesieve.llm.wordbpe import WordBPE
 
 ship(__name__)
@@ -33,7 +33,7 @@ HEADER = "<4sBBHIQ"
 #: A block closes with the document that brings it to so many ids.
 BLOCK_IDS = 1 << 17
 #: Bytes of text encoded at once: a word that they repeat is merged once.
-SLICE_BYTES = 8 << 20
+SLICE_BYTES = 4 << 20
 
 
 def width(vocabulary: int) -> int:
@@ -172,7 +172,8 @@ def write_ids(df: DataFrame, path: str, tokenizer: str, *, end_id: int = 1, bloc
     rows = df.select(F.col("doc_id").cast("bigint").alias("doc_id"), F.col("text").alias("text"), *[c.alias(n) for c, n in zip(keys_of, names_of, strict=True)] if order else [])
     by = [F.col(n).asc_nulls_first() for n in (names_of if order else ("doc_id", "text"))]
     ordered = rows.repartitionByRange(*(by if order else by[:1])).sortWithinPartitions(*by).select("doc_id", "text")
-    ordered.mapInArrow(run, FILE_SCHEMA).write.mode("errorifexists").option("compression", "zstd").parquet(path)
+    with arrow_batches(df.sparkSession, SLICE_BYTES):
+        ordered.mapInArrow(run, FILE_SCHEMA).write.mode("errorifexists").option("compression", "zstd").parquet(path)
 
 
 def block_index(spark: SparkSession, path: str) -> DataFrame:

@@ -78,6 +78,18 @@ def frugal(run):
     return wrapped
 
 
+@contextlib.contextmanager
+def arrow_batches(spark: SparkSession, most: int) -> Iterator[None]:
+    """Whatever runs inside sends Arrow batches of about ``most`` bytes, or one row of more, to Python."""
+    key = "spark.sql.execution.arrow.maxBytesPerBatch"
+    before = spark.conf.get(key)
+    spark.conf.set(key, str(most))
+    try:
+        yield
+    finally:
+        spark.conf.set(key, before)
+
+
 def text_slices(batch: pa.RecordBatch, column: str = "text", most: int = 1 << 20) -> Iterator[pa.RecordBatch]:
     """Runs of rows whose texts hold at most ``most`` bytes together, or one row of more."""
     ends = _offsets(batch.column(batch.schema.get_field_index(column)))
