@@ -542,6 +542,20 @@ def test_repeated_stretches_go_whole(spark):
     assert all(r["removed_lines"] == len(docs[i]) - (len(once[i].split("\n")) if once[i] else 0) for i, r in out.items())
 
 
+def test_short_passages_go_by_their_boundary_pairs(spark):
+    """A passage of few lines goes from all later places if two of its lines make a boundary, whatever surrounds it; else none does."""
+    rng = random.Random(13)
+    fresh = lambda n: [prose(rng, 4) + f" {rng.random()}" for _ in range(n)]
+    passages = [fresh(2 + k % 3) for k in range(40)]
+    docs = [fresh(rng.randint(1, 4)) + passages[k % 40] + fresh(rng.randint(1, 4)) for k in range(120)]
+    found = [r["c"] for r in spark.createDataFrame([(k, "\n".join(x)) for k, x in enumerate(passages)], "k long, text string").select("k", linechunks.closing_lines(linechunks.line_hashes(F.col("text"))).alias("c")).orderBy("k").collect()]
+    out = {r["doc_id"]: r["text"].split("\n") for r in linechunks.dedup_chunks(spark.createDataFrame([(i, "\n".join(x)) for i, x in enumerate(docs)], "doc_id bigint, text string"), extend=True).collect()}
+    for i, x in enumerate(docs):
+        gone = set(passages[i % 40]) if i >= 40 and found[i % 40] else set()
+        assert out[i] == [y for y in x if y not in gone]
+    assert 10 < sum(bool(c) for c in found) < 40
+
+
 def test_one_line_repeated_goes(spark):
     df = spark.createDataFrame([(i, "\n".join(["top", *[f"line {i} again"] * n, "end"])) for i, n in enumerate(range(4, 30))], "doc_id bigint, text string")
     out = linechunks.dedup_chunks(df, extend=True).collect()

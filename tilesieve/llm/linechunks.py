@@ -4,7 +4,9 @@ Each line is hashed, and a rolling hash over the hashes of adjacent lines closes
 a fixed residue. Boundaries so depend on nearby lines alone: a line put in or taken out moves those next
 to it, and the rest fall where they did. A chunk of several lines that occurs again anywhere in the
 corpus, byte for byte, is removed from all places but the first; on request with the lines around it
-that are repeated too, since a repeated passage seldom begins and ends where chunks do.
+that are repeated too, since a repeated passage seldom begins and ends where chunks do. A passage too
+short to hold a whole chunk may still hold the lines whose hash makes a boundary, which do not depend
+on what stands before it; these are then looked up as well.
 """
 
 from __future__ import annotations
@@ -15,7 +17,7 @@ from pyspark.sql import functions as F
 from tilesieve.llm.common import discard, stored
 
 #: A chunk closes after one line pair in so many, and never holds more than MOST lines.
-MODULUS = 3
+MODULUS = 2
 MOST = 32
 #: Lines that the rolling hash sees.
 ROLL = 2
@@ -33,6 +35,21 @@ def line_hashes(text: Column) -> Column:
     return F.transform(F.split(text, "\n", -1), lambda x: F.xxhash64(x))
 
 
+def _meets(a: Column, b: Column, modulus: int) -> Column:
+    return (F.pmod(F.xxhash64(a, b), F.lit(modulus)) == 0) | (a == b)
+
+
+def _meeting(hashes: Column, modulus: int) -> Column:
+    """For each line but the first, whether it and the line before meet the residue."""
+    pairs = F.zip_with(F.slice(hashes, F.lit(1), F.size(hashes) - 1), F.slice(hashes, F.lit(2), F.size(hashes) - 1), lambda a, b: _meets(a, b, modulus))
+    return F.when(F.size(hashes) > 1, pairs).otherwise(F.array().cast("array<boolean>"))
+
+
+def closing_lines(hashes: Column, *, modulus: int = MODULUS) -> Column:
+    """Positions (from 1) of all lines after which a boundary may follow by content, side by side or not."""
+    return F.filter(F.transform(_meeting(hashes, modulus), lambda hit, i: F.when(hit, i + 2)), lambda x: x.isNotNull())
+
+
 def chunk_ends(hashes: Column, *, modulus: int = MODULUS, most: int = MOST) -> Column:
     """Positions (from 1) of the lines that close a chunk, given all lines' hashes; the last line always does.
 
@@ -42,9 +59,7 @@ def chunk_ends(hashes: Column, *, modulus: int = MODULUS, most: int = MOST) -> C
     there is none for more than ``most`` lines, every ``most`` lines counted from the boundary before close
     a chunk; so no boundary depends on where in the document a passage stands.
     """
-    pairs = F.zip_with(F.slice(hashes, F.lit(1), F.size(hashes) - 1), F.slice(hashes, F.lit(2), F.size(hashes) - 1), lambda a, b: (F.pmod(F.xxhash64(a, b), F.lit(modulus)) == 0) | (a == b))
-    meets = F.when(F.size(hashes) > 1, pairs).otherwise(F.array().cast("array<boolean>"))
-    misses = F.filter(F.transform(meets, lambda hit, i: F.when(~hit, i + 2)), lambda x: x.isNotNull())
+    misses = F.filter(F.transform(_meeting(hashes, modulus), lambda hit, i: F.when(~hit, i + 2)), lambda x: x.isNotNull())
     low, high = F.concat(F.array(F.lit(1)), misses), F.array_append(misses, F.size(hashes) + 1)
     met = F.flatten(F.zip_with(low, high, lambda a, b: F.when(b - a > 1, F.sequence(a + 1, b - 1, F.lit(2))).otherwise(F.array().cast("array<int>"))))
     ends = F.array_distinct(F.array_append(met, F.size(hashes)))
@@ -82,8 +97,8 @@ def _repeats(meta: DataFrame, again: DataFrame) -> DataFrame:
 def _around(own: Column, lines: Column, mark: Column) -> Column:
     """What surrounds a chunk, line by line away from it: side, distance, hashes of the whole stretch, the line.
 
-    Beyond the next boundary equal lines are equal chunks, which are found for themselves; the boundary before needs
-    ROLL more lines, which its pairs see.
+    ``back`` and ``after`` are how many lines it goes. Beyond the next boundary equal lines are equal chunks, which are
+    found for themselves; the boundary before needs ROLL more lines, which its pairs see.
     """
     begin, end = mark["line"], mark["line"] + mark["lines"]
 
@@ -95,7 +110,7 @@ def _around(own: Column, lines: Column, mark: Column) -> Column:
     def steps(side: int, reach: Column) -> Column:
         return F.transform(F.when(reach > 0, F.sequence(F.lit(1), reach)).otherwise(F.array().cast("array<int>")), lambda k: step(side, k))
 
-    return F.concat(steps(-1, F.least(mark["before"] + ROLL, begin - 1)), steps(1, mark["after"]))
+    return F.concat(steps(-1, F.least(mark["back"], begin - 1)), steps(1, mark["after"]))
 
 
 def _later(parts: DataFrame, keys: list[str]) -> DataFrame:
@@ -120,7 +135,8 @@ def dedup_chunks(docs: DataFrame, *, least_lines: int = LEAST_LINES, modulus: in
     is never removed. Texts without a line break, empty ones among them, are left as they are; an empty
     table gives no rows; other columns are left out, whatever their names.
 
-    ``extend`` removes with a chunk the lines on both sides that surround it at an earlier place too,
+    ``extend`` looks up the two lines that make each boundary by content, too, whether or not a whole chunk
+    repeats; ``n_removed`` then counts such pairs as chunks. It removes with a chunk the lines on both sides that surround it at an earlier place too,
     whichever that is for each line. A line so removed equals, as bytes, one that stands earlier by as
     many lines as its chunk does; the lines between are compared by two hashes.
 
@@ -132,13 +148,21 @@ def dedup_chunks(docs: DataFrame, *, least_lines: int = LEAST_LINES, modulus: in
     owner = F.struct(F.xxhash64("doc_id", "text").alias("a"), F.xxhash64(F.lit(7), F.col("doc_id"), F.col("text")).alias("b")).alias("owner")
     several = F.coalesce(F.col("text").contains("\n"), F.lit(False))
     cut = rows.where(several).select(owner, line_hashes(F.col("text")).alias("hs")).withColumn("cs", chunks(F.col("hs"), modulus=modulus, most=most))
-    near = F.transform("cs", lambda c, i: F.struct(c["line"].alias("line"), c["lines"].alias("lines"), F.coalesce(F.get("cs", i - 1)["lines"], F.lit(0)).alias("before"), F.coalesce(F.get("cs", i + 1)["lines"], F.lit(0)).alias("after")))
-    spread = cut.select("owner", "hs", F.inline(F.filter(near, lambda c: c["lines"] >= least_lines)))
+    entry = lambda line, lines, back, after: F.struct(line.alias("line"), lines.alias("lines"), back.alias("back"), after.alias("after"))
+    near = F.transform("cs", lambda c, i: entry(c["line"], c["lines"], F.coalesce(F.get("cs", i - 1)["lines"], F.lit(0)) + ROLL, F.coalesce(F.get("cs", i + 1)["lines"], F.lit(0))))
+    found = F.filter(near, lambda c: c["lines"] >= least_lines)
+    if extend and least_lines <= ROLL:
+        cut = cut.withColumn("at", closing_lines(F.col("hs"), modulus=modulus))
+        # up to the lines of the pairs before and after, which go on from there; longer gaps have boundaries by length
+        closing = F.transform("at", lambda p, i: entry(p - 1, F.lit(ROLL), F.least(p - 1 - F.coalesce(F.get("at", i - 1), F.lit(1)), F.lit(most)), F.least(F.coalesce(F.get("at", i + 1), F.size("hs") + 1) - p - 1, F.lit(most))))
+        others = F.filter(found, lambda c: (c["lines"] != ROLL) | ~_meets(F.get("hs", c["line"] - 1), F.get("hs", c["line"]), modulus))
+        found = F.concat(others, closing)
+    spread = cut.select("owner", "hs", F.inline(found))
     own = F.slice("hs", F.col("line"), F.col("lines"))
     # all hashes equal to that of an empty line: dropped at once; other blank lines are seen with their texts
-    meta = stored(spread.where(F.size(F.array_except(own, F.array(F.xxhash64(F.lit(""))))) > 0).select("owner", "line", "lines", "before", "after", F.xxhash64(own).alias("h1"), F.xxhash64(F.lit(7), own).alias("h2")), "chunks")
+    meta = stored(spread.where(F.size(F.array_except(own, F.array(F.xxhash64(F.lit(""))))) > 0).select("owner", "line", "lines", "back", "after", F.xxhash64(own).alias("h1"), F.xxhash64(F.lit(7), own).alias("h2")), "chunks")
     again = stored(meta.groupBy("h1", "h2").agg(F.count("*").alias("n")).where("n > 1"), "repeated")
-    marks = stored(_repeats(meta, again).groupBy("owner").agg(F.collect_set(F.struct("line", "lines", "before", "after", "h1", "h2", "n")).alias("marks")), "marked")
+    marks = stored(_repeats(meta, again).groupBy("owner").agg(F.collect_set(F.struct("line", "lines", "back", "after", "h1", "h2", "n")).alias("marks")), "marked")
     lines = F.split("text", "\n", -1)
     held = rows.where(several).withColumn("owner", owner).join(_few(marks, 64 + 64 * F.size("marks")), "owner").withColumn("ls", lines)
     bodies = F.transform("marks", lambda m: F.struct(*[m[c].alias(c) for c in ("line", "lines", "h1", "h2", "n")], F.array_join(F.slice(F.col("ls"), m["line"], m["lines"]), "\n").alias("body")))
