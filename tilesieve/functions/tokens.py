@@ -2,26 +2,79 @@
 
 from __future__ import annotations
 
+import json
+import re
+import unicodedata
+from collections.abc import Iterator
+
 import pandas as pd
 from pyspark.sql import functions as F
 
+_LOADED: dict[str, tuple] = {}
 
-def library_tokens(path: str):
-    """A column function: text -> array of token ids as strings, by a definition file that executors can open.
 
-    Null texts give null. The library is loaded in the tasks only, once for each batch of rows.
+#: Pieces of texts whose tokens a worker remembers.
+PIECES = 1 << 18
+#: Characters below this have fixed classes; texts with others are left to the library.
+KNOWN = 0x250
+
+
+def _pieces() -> tuple[re.Pattern, re.Pattern]:
+    """The pieces that a byte-level tokenizer merges each for itself, and the characters that are not known here."""
+    cls = lambda kinds: "".join(f"\\u{i:04x}" for i in range(KNOWN) if unicodedata.category(chr(i))[0] in kinds)
+    letters, numbers, blanks = cls("L"), cls("N"), r"\t-\r \x85\xa0"
+    known = rf"'(?:[stmd]|re|ve|ll)| ?[{letters}]+| ?[{numbers}]+| ?[^{blanks}{letters}{numbers}]+|[{blanks}]+(?![^{blanks}])|[{blanks}]+"
+    return re.compile(known), re.compile(rf"[^\x00-\u{KNOWN - 1:04x}]|[\x1c-\x1f]")
+
+
+def local_tokens(path: str):
+    """A function of a worker: texts -> lists of token ids as strings, by a definition file that executors can open.
+
+    Null texts give null. The library is loaded in the tasks only, once for each worker. Where the definition is
+    plain byte-level BPE, it is asked for each different piece once, and for whole texts only where characters or
+    added tokens leave the pieces in doubt.
     """
 
-    @F.pandas_udf("array<string>")
-    def cut(texts: pd.Series) -> pd.Series:
+    def load():
         import os
 
         from tokenizers import Tokenizer
 
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         tokenizer = Tokenizer.from_file(path)
-        known = texts.notna()
-        found = iter(tokenizer.encode_batch_fast(texts[known].tolist(), add_special_tokens=False))
-        return pd.Series([[str(i) for i in next(found).ids] if k else None for k in known])
+        shape = json.loads(tokenizer.to_str())
+        pre, model = shape["pre_tokenizer"] or {}, shape["model"]
+        plain = pre.get("type") == "ByteLevel" and pre.get("use_regex") and not pre.get("add_prefix_space") and not shape["normalizer"] and model["type"] == "BPE" and not model.get("dropout") and not shape["truncation"] and not shape["padding"]
+        return tokenizer, [str(i) for i in range(1 + max(tokenizer.get_vocab().values()))], plain, [t["content"] for t in shape["added_tokens"]], *_pieces(), {}
+
+    def cut(texts: list[str | None]) -> Iterator[list[str] | None]:
+        if path not in _LOADED:
+            _LOADED[path] = load()
+        tokenizer, names, plain, added, pieces, unknown, seen = _LOADED[path]
+        whole = lambda some: [[names[i] for i in e.ids] for e in tokenizer.encode_batch_fast(some, add_special_tokens=False)]
+        for t in texts:
+            if t is None:
+                yield None
+            elif not plain or unknown.search(t) or any(x in t for x in added):
+                yield whole([t])[0]
+            else:
+                found = pieces.findall(t)
+                if new := [x for x in dict.fromkeys(found) if x not in seen]:
+                    if len(seen) > PIECES:
+                        seen.clear()
+                        new = list(dict.fromkeys(found))
+                    seen.update(zip(new, whole(new), strict=True))
+                yield [i for x in found for i in seen[x]]
+
+    return cut
+
+
+def library_tokens(path: str):
+    """A column function: text -> array of token ids as strings, for tables of few texts."""
+    local = local_tokens(path)
+
+    @F.pandas_udf("array<string>")
+    def cut(texts: pd.Series) -> pd.Series:
+        return pd.Series(list(local([t if isinstance(t, str) else None for t in texts])))
 
     return cut
