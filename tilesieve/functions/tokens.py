@@ -6,6 +6,7 @@ import json
 import re
 import unicodedata
 from collections.abc import Iterator
+from itertools import chain
 
 import pandas as pd
 from pyspark.sql import functions as F
@@ -27,12 +28,18 @@ def _pieces() -> tuple[re.Pattern, re.Pattern]:
     return re.compile(known), re.compile(rf"[^\x00-\u{KNOWN - 1:04x}]|[\x1c-\x1f]")
 
 
+def _letters_of_bytes() -> dict[int, str]:
+    """Byte-level BPE writes each byte as a character that can be seen: Latin-1 itself where that is one, others from 256 on."""
+    seen = {*range(0x21, 0x7F), *range(0xA1, 0xAD), *range(0xAE, 0x100)}
+    return {b: chr(256 + i) for i, b in enumerate(b for b in range(256) if b not in seen)}
+
+
 def local_tokens(path: str):
     """A function of a worker: texts -> lists of token ids as strings, by a definition file that executors can open.
 
     Null texts give null. The library is loaded in the tasks only, once for each worker. Where the definition is
-    plain byte-level BPE, it is asked for each different piece once, and for whole texts only where characters or
-    added tokens leave the pieces in doubt.
+    plain byte-level BPE, its model is asked for each different piece once, and the library for whole texts only where
+    characters or added tokens leave the pieces in doubt.
     """
 
     def load():
@@ -51,20 +58,25 @@ def local_tokens(path: str):
         if path not in _LOADED:
             _LOADED[path] = load()
         tokenizer, names, plain, added, pieces, unknown, seen = _LOADED[path]
-        whole = lambda some: [[names[i] for i in e.ids] for e in tokenizer.encode_batch_fast(some, add_special_tokens=False)]
+        whole = lambda t: [names[i] for i in tokenizer.encode_batch_fast([t], add_special_tokens=False)[0].ids]
+        model, letters = tokenizer.model, _letters_of_bytes()
         for t in texts:
             if t is None:
                 yield None
             elif not plain or unknown.search(t) or any(x in t for x in added):
-                yield whole([t])[0]
+                yield whole(t)
             else:
                 found = pieces.findall(t)
-                if new := [x for x in dict.fromkeys(found) if x not in seen]:
+                parts = list(map(seen.get, found))
+                if None in parts:
                     if len(seen) > PIECES:
                         seen.clear()
-                        new = list(dict.fromkeys(found))
-                    seen.update(zip(new, whole(new), strict=True))
-                yield [i for x in found for i in seen[x]]
+                    for i, x in enumerate(found):
+                        if parts[i] is None:
+                            if (some := seen.get(x)) is None:
+                                some = seen[x] = tuple([names[y.id] for y in model.tokenize(x.encode().decode("latin-1").translate(letters))])
+                            parts[i] = some
+                yield list(chain.from_iterable(parts))
 
     return cut
 
