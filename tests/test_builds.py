@@ -42,7 +42,7 @@ def test_large_build_sets_the_same_bits(spark, geometry, monkeypatch):
     spec = FilterSpec(m_bits=700 * BUCKET_BITS, k=10, **geometry)  # two units, the second not whole
     want = sorted(map(tuple, bloom.filter_digest(bloom.corpus_filter(df, spec=spec, build="native")).collect()))
     monkeypatch.setattr(bloom, "TASK_BYTES", 0)
-    monkeypatch.setattr(bloom, "FLUSH_BITS", bloom.STEP_LANES)
+    monkeypatch.setattr(bloom, "FLUSH_BYTES", 4 * bloom.STEP_LANES)
     large = bloom.corpus_filter(df, spec=spec)
     assert "bitmap_construct_agg" not in large.table._jdf.queryExecution().toString()
     assert sorted(map(tuple, bloom.filter_digest(large).collect())) == want
