@@ -2,6 +2,7 @@ import random
 from collections import Counter
 
 import numpy as np
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
@@ -84,3 +85,22 @@ def test_queries_on_spark_move_no_row_a_gram(spark):
     assert [tuple(r) for r in analysis.duplicate_share(by_name, (10,)).collect()] == [tuple(share[10])]
     sent = docs.where("doc_id is not null").select("doc_id", "text").mapInArrow(repeats._cutter(repeats.Shape(10, 10, 4, 7, 1), 0), repeats._SENT)
     assert sent.count() < docs.where("text is not null").count() < len(grams(rows, 10)) / 10
+
+
+def test_heads_are_dealt_evenly_by_their_rarest_gram(monkeypatch):
+    monkeypatch.setattr(repeats, "BUCKET_WINDOWS", 2000)
+    rng = random.Random(5)
+    rows = [(0, " ".join(rng.choices("in the of tion and ing that".split(), k=400)) + "".join(rng.choices("abcdefgh", k=400))) for _ in range(60)]
+    codes, lengths = np.frombuffer("".join(t for _, t in rows).encode("utf-32-le"), np.uint32), np.array([len(t) for _, t in rows])
+    rare = repeats.ranked(repeats._seen([t for _, t in rows], 4), 5)
+    shape = repeats.Shape(24, 8, 4, 90, 1)
+    _, size, _, bucket, _ = repeats._runs(shape, codes, lengths, 0, rare)
+    assert size.sum() == sum(lengths - 7)
+    heads = Counter(t[i : i + 8] for _, t in rows for i in range(len(t) - 7))
+    assert np.bincount(bucket, size).max() < 2000 + 5 * max(heads.values())  # by the least hash of three characters one has a tenth of all
+    sent = type("Sent", (), {"value": rare})
+    batch = pa.RecordBatch.from_arrays([pa.array([0] * len(rows), pa.int64()), pa.array([t for _, t in rows])], names=["key", "text"])
+    table = pa.Table.from_batches(repeats._cutter(shape, 0, sent)(iter([batch]))).sort_by("bucket")
+    got = next(repeats._teller(repeats.excess_of_widths(8, 24))(iter(table.to_batches())))
+    for w, n in zip(got["name"].to_pylist(), got["n"].to_pylist(), strict=True):
+        assert n == len(grams(rows, w)) - len({g for g, _ in grams(rows, w)})
